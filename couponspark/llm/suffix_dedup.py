@@ -38,6 +38,7 @@ from .common import TextHash, column_bytes, pack_arrays, total_bytes, unpack_arr
 
 GRAM = 24
 CHUNK = 1 << 17
+SALTS = 16
 MESSAGE = "block int, kind int, bucket int, payload binary"
 MSG = pa.schema([("block", pa.int32()), ("kind", pa.int32()), ("bucket", pa.int32()), ("payload", pa.binary())])
 HASH = TextHash(11)
@@ -493,7 +494,10 @@ def suffix_dedup(docs: DataFrame, min_len: int = 50, mode: str = "digest", block
     digests = docs.where("doc_id is not null").select("doc_id", F.sha2(F.col("text").cast("binary"), 256).alias("d")).where("d is not null")
     firsts = digests.groupBy("d").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("last > first").select("d", "first")
     pack = F.udf(lambda ids: pack_arrays(np.array(sorted(set(ids)), np.int64)), "binary")
-    copies = digests.join(firsts, "d").where("doc_id > first").withColumn("block", F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).cast("int"))
+    # a text with very many copies is dealt over SALTS keys
+    salted = digests.withColumn("salt", F.pmod(F.hash("doc_id"), F.lit(SALTS)))
+    spread = firsts.withColumn("salt", F.explode(F.array(*map(F.lit, range(SALTS)))))
+    copies = salted.join(spread, ["d", "salt"]).where("doc_id > first").withColumn("block", F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).cast("int"))
     copies = copies.groupBy("block").agg(F.collect_list("doc_id").alias("ids")).select("block", F.lit(COPIES).alias("kind"), F.lit(0).alias("bucket"), pack("ids").alias("payload"))
 
     def with_docs(messages: DataFrame, run, schema) -> DataFrame:
