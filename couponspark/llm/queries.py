@@ -10,6 +10,8 @@ from pyspark.sql import DataFrame, SparkSession
 from .byte_bpe import encode_documents
 from .common import documents
 from .packing import pack_documents
+from .quality_rules import judge
+from .secret_scan import scan_secrets
 from .set_join import near_duplicates
 from .suffix_dedup import suffix_dedup
 from .token_counts import token_counts
@@ -37,6 +39,14 @@ def op7_set_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(documents(spark, sf_dir))
 
 
+def op8_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return scan_secrets(documents(spark, sf_dir)).drop("found")
+
+
+def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return judge(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
 def queries() -> dict[str, Query]:
     return {name: f for name, f in globals().items() if name.startswith("op") and name[2].isdigit()}
 
