@@ -15,6 +15,7 @@ from .secret_scan import scan_secrets
 from .set_join import near_duplicates
 from .suffix_dedup import suffix_dedup
 from .token_counts import token_counts
+from .vector_dedup import near_vectors
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -31,6 +32,10 @@ def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_documents(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
 
 
+def op5_vector_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_vectors(spark.read.parquet(f"{sf_dir}/embeddings.parquet"))
+
+
 def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(documents(spark, sf_dir), public_tokenizers.path("word_bpe_49k.json"))
 
