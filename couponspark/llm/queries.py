@@ -15,6 +15,7 @@ from .secret_scan import scan_secrets
 from .set_join import near_duplicates
 from .suffix_dedup import suffix_dedup
 from .token_counts import token_counts
+from .toxicity import toxicity
 from .vector_dedup import near_vectors
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -52,6 +53,10 @@ def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
+def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
 def queries() -> dict[str, Query]:
     return {name: f for name, f in globals().items() if name.startswith("op") and name[2].isdigit()}
 
