@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from .byte_bpe import encode_documents
 from .common import documents
 from .packing import pack_documents
+from .pseudo_lm import pseudo_likelihood
 from .quality_rules import judge
 from .secret_scan import scan_secrets
 from .set_join import near_duplicates
@@ -29,6 +30,10 @@ def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts(documents(spark, sf_dir), public_tokenizers.path("word_bpe_49k.json"))
 
 
+def op3_pseudo_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pseudo_likelihood(documents(spark, sf_dir))
+
+
 def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_documents(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
 
