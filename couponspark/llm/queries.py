@@ -51,7 +51,7 @@ def op7_set_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return scan_secrets(documents(spark, sf_dir)).drop("found")
+    return scan_secrets(documents(spark, sf_dir)).drop("found", "key")
 
 
 def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

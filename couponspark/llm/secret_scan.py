@@ -53,6 +53,10 @@ def candidates(text: str) -> list[tuple[str, int, int, str]]:
     return sorted(out, key=lambda c: (c[1], ORDER[c[0]], c[2]))
 
 
+def row_key() -> Column:
+    return F.xxhash64(F.col("doc_id").cast("long"), F.col("text"))
+
+
 def looks_random(value: str) -> bool:
     """Several different characters, letters and digits, no run of one character, no placeholder word."""
     low = value.lower()
@@ -77,15 +81,15 @@ def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 counts[k].append(sum(c[0] == kind for c in base))
             digest.append(hashlib.sha256(",".join(f"{k}:{s}:{e}" for k, s, e, _ in base).encode()).hexdigest())
             cands.append([{"kind": k, "start": s, "end": e, "value_hash": int.from_bytes(hashlib.sha256(v.encode()).digest()[:8], "little", signed=True), "random": looks_random(v)} for k, s, e, v in found])
-        yield pa.record_batch([batch.column(0), batch.column(2), batch.column(3), *(pa.array(c, pa.int64()) for c in counts), pa.array(digest, pa.string()), pa.array(cands, CAND_TYPE)], names=["doc_id", "owner", "repo", "n_assign", "n_access", "n_hex", "base_sha256", "cands"])
+        yield pa.record_batch([batch.column(0), batch.column(2), batch.column(3), batch.column(4), *(pa.array(c, pa.int64()) for c in counts), pa.array(digest, pa.string()), pa.array(cands, CAND_TYPE)], names=["doc_id", "owner", "repo", "key", "n_assign", "n_access", "n_hex", "base_sha256", "cands"])
 
 
 def scan_secrets(docs: DataFrame, owner: Column | str = "source", repo: Column | None = None, max_owners: int = 4) -> DataFrame:
-    """A row for each row of ``docs``: doc_id, counts and digest of the base kinds, ``spans`` (kind:start:end, comma-joined), n_live, n_example, ``found`` (array of kind, start, end, owners, repos, verdict)."""
+    """A row for each row of ``docs``: doc_id, counts and digest of the base kinds, ``spans`` (kind:start:end, comma-joined), n_live, n_example, ``found`` (array of kind, start, end, owners, repos, verdict), ``key`` (hash of id and text)."""
     owner = F.col(owner) if isinstance(owner, str) else owner
     repo = F.concat_ws("/", owner.cast("string"), F.col("lang").cast("string")) if repo is None and "lang" in docs.columns else owner if repo is None else repo
-    picked = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text"), F.coalesce(owner.cast("string"), F.lit("")).alias("owner"), F.coalesce(repo.cast("string"), F.lit("")).alias("repo"))
-    scanned = picked.mapInArrow(_scan, f"doc_id long, owner string, repo string, n_assign long, n_access long, n_hex long, base_sha256 string, cands {CAND}")
+    picked = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text"), F.coalesce(owner.cast("string"), F.lit("")).alias("owner"), F.coalesce(repo.cast("string"), F.lit("")).alias("repo"), row_key().alias("key"))
+    scanned = picked.mapInArrow(_scan, f"doc_id long, owner string, repo string, key long, n_assign long, n_access long, n_hex long, base_sha256 string, cands {CAND}")
     scanned = stage(scanned.withColumn("row", F.monotonically_increasing_id()), "secrets")
     flat = scanned.select("row", "owner", "repo", F.explode("cands").alias("c")).select("row", "owner", "repo", "c.*")
     held = flat.groupBy("value_hash", "owner", "repo").agg(F.lit(1).alias("one")).groupBy("value_hash", "owner").agg(F.count("*").alias("repos"))
@@ -103,7 +107,7 @@ def scan_secrets(docs: DataFrame, owner: Column | str = "source", repo: Column |
     out = scanned.drop("cands", "owner", "repo").join(by_row, "row", "left").withColumn("found", found)
     spans = F.concat_ws(",", F.transform("found", lambda x: F.concat_ws(":", x["kind"], x["start"].cast("string"), x["end"].cast("string"))))
     count = lambda v: F.size(F.filter("found", lambda x: x["verdict"] == v)).cast("long")
-    return out.select("doc_id", "n_assign", "n_access", "n_hex", "base_sha256", spans.alias("spans"), count("live").alias("n_live"), count("example").alias("n_example"), "found")
+    return out.select("doc_id", "n_assign", "n_access", "n_hex", "base_sha256", spans.alias("spans"), count("live").alias("n_live"), count("example").alias("n_example"), "found", "key")
 
 
 def redact(text: str, spans: list[tuple[int, int]], mark: str = "[removed]") -> str:
@@ -116,3 +120,26 @@ def redact(text: str, spans: list[tuple[int, int]], mark: str = "[removed]") ->
             out += [text[at:s], mark]
         at = e
     return "".join([*out, text[at:]])
+
+
+def remove_live(docs: DataFrame, max_owners: int = 4, mark: str = "[removed]") -> DataFrame:
+    """``docs`` with live secrets replaced in the text (n_chars follows); copied examples and all other rows stay as they are."""
+    live = F.filter("found", lambda x: x["verdict"] == "live")
+    spans = scan_secrets(docs, max_owners=max_owners).where("n_live > 0").select(F.col("key").alias("__key"), F.transform(live, lambda x: F.array(x["start"], x["end"])).alias("__spans")).dropDuplicates(["__key"])
+    schema = docs.schema
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts, found = batch.column("text").to_pylist(), batch.column("__spans").to_pylist()
+            clean = [t if t is None or not s else redact(t, [tuple(x) for x in s], mark) for t, s in zip(texts, found, strict=True)]
+            columns = []
+            for f in schema:
+                old = batch.column(f.name)
+                if f.name == "text":
+                    old = pa.array(clean, old.type)
+                elif f.name == "n_chars":
+                    old = pa.array([n if t is c else len(c) for n, t, c in zip(old.to_pylist(), texts, clean, strict=True)], old.type)
+                columns.append(old)
+            yield pa.record_batch(columns, names=schema.names)
+
+    return docs.withColumn("__key", row_key()).join(spans, "__key", "left").select(*(F.col(f"`{c}`") for c in docs.columns), "__spans").mapInArrow(run, schema)

@@ -311,3 +311,10 @@ def near_duplicates(docs: DataFrame, percent: int = 75, words: int = 5) -> DataF
     out = rows.join(spread, ["k1", "k2", "salt"], "left")
     component = F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id")).otherwise(F.col("doc_id"))
     return out.select("doc_id", "n_shingles", component.alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+
+
+def drop_near_duplicates(docs: DataFrame, percent: int = 75, words: int = 5) -> DataFrame:
+    """The rows of ``docs`` without those whose component has a smaller id; all columns as they are."""
+    judged = near_duplicates(docs, percent, words).where("doc_id is not null").groupBy("doc_id").agg(F.bool_or("kept").alias("stay"))
+    gone = judged.where(~F.col("stay")).select(F.col("doc_id").alias("__gone"))
+    return docs.join(gone, docs["doc_id"] == gone["__gone"], "left_anti")
