@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import sketches  # noqa: F401
+from . import sketches, surface  # noqa: F401
 from .registry import ORACLES, QUERIES
 
 
