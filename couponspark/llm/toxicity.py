@@ -13,6 +13,7 @@ text of one of the classes every score is 0; extra columns are ignored; repeated
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -23,7 +24,7 @@ from pyspark.sql import functions as F
 
 from .common import TextHash, column_bytes
 
-SAMPLE = 2500  # labelled texts of each class that the fit reads at most
+SAMPLE = 1500  # labelled texts of each class that the fit reads at most
 WINDOW, STRIDE = 32, 24
 HIDDEN, VECTOR = 8, 6
 WORDS, GRAMS = 1 << 16, 1 << 16  # buckets of log odds
@@ -321,9 +322,17 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Network:
     known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("toxic")).where("doc_id is not null and toxic in (0, 1)").where(~held_out(F.col("doc_id"))).dropDuplicates(["doc_id"])
     picked = [known.where(F.col("toxic") == c).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample) for c in (0, 1)]
     picked = picked[0].union(picked[1])
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(picked), "doc_id").collect()
-    rows = sorted(((r.doc_id, r.toxic, (r.text or "").encode()) for r in rows), key=lambda r: (r[0], r[2]))
-    return train([r[2] for r in rows], np.array([r[1] == 1 for r in rows], bool))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(picked), "doc_id")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        found = [(d, t, x) for b in batches for d, x, t in zip(b.column(0).to_pylist(), column_bytes(b.column(1)), b.column(2).to_pylist(), strict=True)]
+        found.sort()
+        net = train([x for _, _, x in found], np.array([t == 1 for _, t, _ in found], bool))
+        yield pa.record_batch([pa.array([pickle.dumps(net)], pa.binary())], names=["net"])
+
+    # one task trains on the bounded sample; the driver gets the network alone
+    made = rows.select("doc_id", "text", "toxic").repartition(1).mapInArrow(run, "net binary").collect()
+    return pickle.loads(bytes(made[0]["net"])) if made else Network(constant=True)
 
 
 def score(docs: DataFrame, net: Network) -> DataFrame:
