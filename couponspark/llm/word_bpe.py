@@ -11,17 +11,19 @@ The vocabulary file of the ``tokenizers`` library (BPE with an end-of-word suffi
 from __future__ import annotations
 
 import json
-import re
 import unicodedata
 from functools import lru_cache
 
+import numpy as np
 import regex
+import tiktoken
 from tokenizers import Tokenizer
 
 #: Characters whose classes and case no recent Unicode version has changed; other texts go through the library's own steps.
 SETTLED = regex.compile("[^\x00-\u017E\u0391-\u03A9\u03B1-\u03C9\u0410-\u044F\u2010-\u2027\u2030-\u205E\u20AC\u2122\u3041-\u3096\u30A1-\u30FA\u4E00-\u9FA5\uAC00-\uD7A3]")
 NEVER = 1 << 60
-CACHE = 300_000
+END = b"\xff"
+CACHE = 200_000
 LONG = 64
 
 
@@ -39,15 +41,19 @@ def byte_symbols() -> list[str]:
 
 
 class _Cache(dict):
-    """A bounded memo: emptied when full; long words are not kept."""
+    """A bounded memo of two generations: when the new one is full it becomes the old one; long words are not kept."""
 
-    def __init__(self, make) -> None:
-        self.make = make
+    def __init__(self, make, share: int = 1) -> None:
+        self.make, self.bound = make, CACHE // share
+        self.old: dict = {}
 
     def __missing__(self, key):
-        value = self.make(key)
+        value = self.old.get(key)
+        if value is None:
+            value = self.make(key)
         if len(key) <= LONG:
-            if len(self) >= CACHE:
+            if len(self) >= self.bound:
+                self.old = dict(self)
                 self.clear()
             self[key] = value
         return value
@@ -65,8 +71,6 @@ class WordBpe:
         self.special_pattern = regex.compile("|".join(regex.escape(x) for x in sorted(self.special, key=len, reverse=True))) if self.special else None
         split = spec["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"]
         self.pattern = regex.compile(split)
-        # the same classes for texts of ASCII alone, for the faster standard module
-        self.ascii_pattern = re.compile(split.replace(r"[\p{L}]", "[A-Za-z]").replace(r"[\p{N}]", "[0-9]").replace(r"\p{L}\p{N}", "A-Za-z0-9"), re.ASCII)
         self.symbols = byte_symbols()
         self.merge: dict[tuple[int, int], tuple[int, int]] = {}
         self.parts: dict[int, tuple[int, int, int]] = {}
@@ -86,11 +90,21 @@ class WordBpe:
             (self.final if ends else self.inner)[raw] = i
             self.text_of[i] = (raw, ends)
         self.longest = max(map(len, [*self.inner, *self.final]))
+        # longest token by its last two bytes
+        self.back_inner: dict[bytes, int] = {}
+        self.back_final: dict[bytes, int] = {}
+        for raw in self.inner:
+            self.back_inner[raw[-2:]] = max(self.back_inner.get(raw[-2:], 0), len(raw))
+        for raw in self.final:
+            self.back_final[raw[-2:]] = max(self.back_final.get(raw[-2:], 0), len(raw))
         self._edge_memo: dict[tuple[int, bool], list[tuple[int, int]]] = {}
         self._fits: dict[tuple[int, int], bool] = {}
         self._whole: dict[int, bool] = {}
-        self.counts = _Cache(lambda w: self.solve(w)[0][-1])
-        self.ids = _Cache(self._id_bytes)
+        self._piece, self.four = None, []
+        self.counts = _Cache(lambda w: self.solve(w, prefixes=False)[0][-1], 4)
+        # for whole runs between white space, which most texts repeat: one look-up a run
+        self.run_ids = _Cache(self._run_ids)
+        self.run_counts = _Cache(self._run_counts)
 
     # ---- compatibility
 
@@ -111,7 +125,7 @@ class WordBpe:
     def fits(self, a: int, b: int) -> bool:
         key = (a, b)
         if key not in self._fits:
-            if len(self._fits) > 2_000_000:
+            if len(self._fits) > 500_000:
                 self._fits.clear()
             merge = self.merge
             self._fits[key] = not any((m := merge.get((x, y))) and m[0] < gone_x and m[0] <= gone_y for x, gone_x in self._edge(a, True) for y, gone_y in self._edge(b, False))
@@ -141,23 +155,38 @@ class WordBpe:
         counts: list[int] = []
         inner, final, fits = self.inner, self.final, self.fits
         end, end_at = 0, 0
+        back_inner, back_final, memo = self.back_inner, self.back_final, self._fits
         for i in range(1, n + 1):
-            low = max(0, i - self.longest)
-            found = False
-            for j in range(low, i):
-                t = inner.get(raw[j:i])
-                if t is not None and (fits(last[j], t) if j else self.whole(t)):
-                    last[i], back[i], size[i], found = t, j, size[j] + 1, True
-                    break
-            if not found:
-                raise ValueError("the vocabulary lacks a byte")
+            tail = raw[i - 2 : i] if i > 1 else raw[:1]
+            if i < n:
+                for j in range(max(0, i - back_inner.get(tail, 1)), i):
+                    t = inner.get(raw[j:i])
+                    if t is not None:
+                        if not j:
+                            ok = self.whole(t)
+                        else:
+                            ok = memo.get(key := (last[j], t))
+                            if ok is None:
+                                ok = fits(*key)
+                        if ok:
+                            last[i], back[i], size[i] = t, j, size[j] + 1
+                            break
+                else:
+                    raise ValueError("the vocabulary lacks a byte")
             if i == n or prefixes and raw[i] & 0xC0 != 0x80:
-                for j in range(low, i):
+                for j in range(max(0, i - back_final.get(tail, 1)), i):
                     t = final.get(raw[j:i])
-                    if t is not None and (fits(last[j], t) if j else self.whole(t)):
-                        end, end_at = t, j
-                        counts.append(size[j] + 1)
-                        break
+                    if t is not None:
+                        if not j:
+                            ok = self.whole(t)
+                        else:
+                            ok = memo.get(key := (last[j], t))
+                            if ok is None:
+                                ok = fits(*key)
+                        if ok:
+                            end, end_at = t, j
+                            counts.append(size[j] + 1)
+                            break
                 else:
                     raise ValueError("the vocabulary lacks a final byte")
         ids = [end]
@@ -166,13 +195,40 @@ class WordBpe:
             end_at = back[end_at]
         return counts, ids[::-1]
 
-    def _id_bytes(self, word: str) -> bytes:
-        if word in self.special:
-            return self.special[word].to_bytes(4, "little")
-        raw = word.encode()
-        if raw in self.final and self.whole(self.final[raw]):
-            return self.final[raw].to_bytes(4, "little")
-        return b"".join(i.to_bytes(4, "little") for i in self.solve(word, prefixes=False)[1])
+    def _merger(self):
+        """The same merges for tiktoken: a byte that no UTF-8 text holds ends the word, and joins the last byte first.
+
+        tiktoken merges any two pieces whose bytes are a token's. Inside a token's own bytes the pieces are always those of the
+        token alone, so for tokens that encoding their own text gives, that is the merge of the vocabulary; others are left out.
+        """
+        single = {bytes([b]): b for b in range(256) if b != 255} | {END: 256}
+        ranks, out = dict(single), np.zeros(513 + len(self.merge), np.int64)
+        for b in range(256):
+            out[b] = self.inner[bytes([b])]
+            ranks[bytes([b]) + END] = 257 + b
+            out[257 + b] = self.final[bytes([b])]
+        for token, (rank, _, _) in self.parts.items():
+            if self.whole(token):
+                raw, ends = self.text_of[token]
+                ranks[raw + END if ends else raw] = 513 + rank
+                out[513 + rank] = token
+        core = tiktoken.Encoding("words", pat_str=r"\S+", mergeable_ranks=ranks, special_tokens={})
+        return core._core_bpe.encode_single_piece, [int(i).to_bytes(4, "little") for i in out]
+
+    def split(self, raw: bytes) -> bytes:
+        """The ids of a word as bytes, without counts."""
+        if self._piece is None:
+            self._piece, self.four = self._merger()
+        four = self.four
+        return b"".join([four[t] for t in self._piece(raw + END)])
+
+    def _run_ids(self, run: bytes) -> bytes:
+        if run.isalpha():  # ASCII letters: one pre-token
+            return self.split(run)
+        return b"".join([self.split(w.encode()) for w in self.pattern.findall(run.decode())])
+
+    def _run_counts(self, run: bytes) -> int:
+        return sum([self.counts[w] for w in self.pattern.findall(run.decode())])
 
     def prefix_counts(self, word: str) -> list[int]:
         """Exact counts of all prefixes of one pre-token; a cut contraction falls apart into two pre-tokens."""
@@ -184,32 +240,40 @@ class WordBpe:
 
     # ---- texts
 
-    def plain_words(self, text: str) -> list[str]:
+    def fold(self, text: str) -> bytes | None:
+        """The normalised text, if ASCII white space then splits it as the pattern does; None sends it the long way."""
+        if self.special_pattern is not None and "<|" in text and self.special_pattern.search(text):
+            return None
         if text.isascii():
-            return self.ascii_pattern.findall(text.lower())
+            return text.lower().encode()
         if SETTLED.search(text) is None:
-            return self.pattern.findall(unicodedata.normalize("NFC", text).replace("Σ", "σ").lower())
+            return unicodedata.normalize("NFC", text).replace("Σ", "σ").lower().replace("\x85", " ").replace("\xa0", " ").encode()
+        return None
+
+    def plain_words(self, text: str) -> list[str]:
+        """Pre-tokens of a text without special strings, by the library's own steps."""
         done = self.library.normalizer.normalize_str(text)
         back = {s: i for i, s in enumerate(self.symbols)}
         return [bytes(back[c] for c in p).decode() for p, _ in self.library.pre_tokenizer.pre_tokenize_str(done)]
 
     def words(self, text: str) -> list[str]:
         """Pre-tokens of a text; special strings stay whole, as the library's default has it."""
-        if self.special_pattern is None or "<|" not in text or not self.special_pattern.search(text):
-            return self.plain_words(text)
+        folded = self.fold(text)
+        if folded is not None:
+            return self.pattern.findall(folded.decode())
         out, at = [], 0
-        for m in self.special_pattern.finditer(text):
+        for m in self.special_pattern.finditer(text) if self.special_pattern is not None else ():
             out += self.plain_words(text[at : m.start()])
             out.append(m.group())
             at = m.end()
         return out + self.plain_words(text[at:])
 
-    def count(self, word: str) -> int:
-        return 1 if word in self.special else self.counts[word]
-
     def encode_bytes(self, text: str) -> bytes:
         """Ids as little-endian unsigned 32-bit integers."""
-        return b"".join(map(self.ids.__getitem__, self.words(text)))
+        folded = self.fold(text)
+        if folded is not None:
+            return b"".join(map(self.run_ids.__getitem__, folded.split()))
+        return b"".join([self.special[w].to_bytes(4, "little") if w in self.special else self.split(w.encode()) for w in self.words(text)])
 
 
 @lru_cache(maxsize=4)
