@@ -24,67 +24,97 @@ from .word_bpe import WordBpe, word_bpe
 
 
 class PrefixTable:
-    """Token counts at every prefix of one text (offsets are those of the text after NFC and lower-casing)."""
+    """Token counts at every prefix of one text (offsets are those of the text after NFC and lower-casing).
+
+    ``ends`` holds the count up to the end of each piece: a run between white space, or a pre-token of a text that needs the
+    library's own splitting.
+    """
 
     def __init__(self, bpe: WordBpe, text: str) -> None:
-        self.bpe, self.words = bpe, bpe.words(text)
-        get, special = bpe.counts.__getitem__, bpe.special
-        if any(s in text for s in special):
-            each = np.fromiter((1 if w in special else get(w) for w in self.words), np.int64, len(self.words))
+        self.bpe, folded = bpe, bpe.fold(text)
+        self.by_runs = folded is not None
+        if folded is not None:
+            self.folded: bytes | None = folded
+            self.pieces: list = folded.split()
+            each = np.fromiter(map(bpe.run_counts.__getitem__, self.pieces), np.int64, len(self.pieces))
         else:
-            each = np.fromiter(map(get, self.words), np.int64, len(self.words))
+            self.pieces = bpe.words(text)
+            each = np.fromiter((1 if w in bpe.special else bpe.counts[w] for w in self.pieces), np.int64, len(self.pieces))
+            parts, at = [], 0  # special strings are not normalised
+            for m in bpe.special_pattern.finditer(text) if bpe.special_pattern is not None else ():
+                parts += [bpe.library.normalizer.normalize_str(text[at : m.start()]), m.group()]
+                at = m.end()
+            self.folded = "".join([*parts, bpe.library.normalizer.normalize_str(text[at:])]).encode()
         self.ends = np.cumsum(each)
-        self.text = text
-        self._places: tuple[list[int], list[int]] | None = None
+        self._places: tuple[list[int], list[int], str] | None = None
 
     @property
     def total(self) -> int:
         return int(self.ends[-1]) if len(self.ends) else 0
 
-    def places(self) -> tuple[list[int], list[int]]:
-        """Start and end of each pre-token."""
-        if self._places is None:
-            text = self.text if self.text.isascii() else self.bpe.library.normalizer.normalize_str(self.text)
-            folded, at, a, z = text.lower() if text.isascii() else text, 0, [], []
-            for w in self.words:
-                i = folded.find(w, at)
-                at = i + len(w)
-                a.append(i)
-                z.append(at)
-            self._places = (a, z)
-        return self._places
+    def _piece(self, k: int) -> str:
+        return self.pieces[k].decode() if self.by_runs else self.pieces[k]
+
+    def places(self, upto: int | None = None) -> tuple[list[int], list[int]]:
+        """Start and end of each piece, in characters (of the first ``upto`` only, if given)."""
+        if self._places is not None:
+            return self._places[:2]
+        text, at, a, z = self.folded.decode(), 0, [], []
+        for k in range(len(self.pieces) if upto is None else min(upto, len(self.pieces))):
+            w = self._piece(k)
+            i = text.find(w, at)
+            at = i + len(w)
+            a.append(i)
+            z.append(at)
+        if upto is None:
+            self._places = (a, z, text)
+        return a, z
+
+    def _inside(self, piece: str, m: int) -> int:
+        """Tokens of the first ``m`` characters of a piece."""
+        out = 0
+        for w in self.bpe.pattern.finditer(piece):
+            if w.end() <= m:
+                out += self.bpe.counts[w.group()]
+            else:
+                return out + (self.bpe.prefix_counts(w.group())[m - w.start() - 1] if m > w.start() else 0)
+        return out
 
     def count_at(self, i: int) -> int:
         """Tokens of the first ``i`` characters, encoded as a text of their own."""
         starts, ends = self.places()
         k = bisect_right(ends, i)
         before = int(self.ends[k - 1]) if k else 0
-        if k == len(self.words) or i <= starts[k]:
+        if k == len(self.pieces) or i <= starts[k]:
             return before
-        word = self.words[k]
-        if word in self.bpe.special:  # a cut special string is ordinary text and may join the symbols before it
-            k0 = k - 1 if k and ends[k - 1] == starts[k] and self.words[k - 1] not in self.bpe.special else k
+        piece = self._piece(k)
+        if piece in self.bpe.special:  # a cut special string is ordinary text and may join the symbols before it
+            k0 = k - 1 if k and ends[k - 1] == starts[k] and self.pieces[k - 1] not in self.bpe.special else k
             before = int(self.ends[k0 - 1]) if k0 else 0
-            tail = "".join(self.words[k0:k]) + word[: i - starts[k]]
+            tail = "".join(self.pieces[k0:k]) + piece[: i - starts[k]]
             return before + sum(self.bpe.counts[w] for w in self.bpe.plain_words(tail))
-        return before + self.bpe.prefix_counts(word)[i - starts[k] - 1]
+        return before + self._inside(piece, i - starts[k])
 
     def cut(self, budget: int) -> int:
-        """Length of a longest prefix that ends with a whole pre-token or inside one and has ``budget`` tokens at most."""
+        """Length of the longest prefix, up to the first piece that breaks the budget, with ``budget`` tokens at most."""
         if self.total <= budget:
-            return self.places()[1][-1] if self.words else 0
+            return self.places()[1][-1] if self.pieces else 0
         k = int(np.searchsorted(self.ends, budget, side="right"))
-        starts, ends = self.places()
-        best = ends[k - 1] if k else 0
+        starts, ends = self.places(k + 1)
         before = int(self.ends[k - 1]) if k else 0
-        if self.words[k] not in self.bpe.special:
-            inside = [i for i, c in enumerate(self.bpe.prefix_counts(self.words[k]), 1) if before + c <= budget]
-            best = starts[k] + inside[-1] if inside else best
-        return best
+        piece, best = self._piece(k), ends[k - 1] if k else 0
+        if piece in self.bpe.special:
+            return best
+        counts: list[int] = []
+        for w in self.bpe.pattern.finditer(piece):
+            base = counts[-1] if counts else 0
+            counts += [base + c for c in self.bpe.prefix_counts(w.group())]
+        inside = [m for m, c in enumerate(counts, 1) if before + c <= budget]
+        return starts[k] + inside[-1] if inside else best
 
 
 def token_counts(docs: DataFrame, tokenizer: str, limit: int = 2048) -> DataFrame:
-    """doc_id, n_bytes, n_tokens, over_limit, n_words, cut_chars (how much of the text fits ``limit`` tokens)."""
+    """doc_id, n_bytes, n_tokens, over_limit, n_pieces, cut_chars (how much of the text fits ``limit`` tokens)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = word_bpe(tokenizer)
@@ -94,8 +124,8 @@ def token_counts(docs: DataFrame, tokenizer: str, limit: int = 2048) -> DataFram
             for x in raw:
                 table = PrefixTable(bpe, x.decode())
                 over = table.total > limit
-                rows.append((len(x), table.total, over, len(table.words), table.cut(limit) if over else None))
+                rows.append((len(x), table.total, over, len(table.pieces), table.cut(limit) if over else None))
             cols = list(zip(*rows, strict=True)) or [[]] * 5
-            yield pa.record_batch([batch.column(0), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.bool_()), pa.array(cols[3], pa.int64()), pa.array(cols[4], pa.int64())], names=["doc_id", "n_bytes", "n_tokens", "over_limit", "n_words", "cut_chars"])
+            yield pa.record_batch([batch.column(0), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.bool_()), pa.array(cols[3], pa.int64()), pa.array(cols[4], pa.int64())], names=["doc_id", "n_bytes", "n_tokens", "over_limit", "n_pieces", "cut_chars"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n_bytes long, n_tokens long, over_limit boolean, n_words long, cut_chars long")
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n_bytes long, n_tokens long, over_limit boolean, n_pieces long, cut_chars long")
