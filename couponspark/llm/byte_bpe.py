@@ -25,8 +25,29 @@ from pyspark.sql import functions as F
 
 from .common import column_bytes
 
-CACHE = 300_000
+CACHE = 200_000
 LONG = 64
+UNEVEN = re.compile(r"\s |[ ]\s")
+SINGLE = re.compile(r"(?<=\S) (?=\S)")
+
+
+class Memo(dict):
+    """A bounded memo of two generations; long keys are not kept."""
+
+    def __init__(self, make, share: int = 1) -> None:
+        self.make, self.bound = make, CACHE // share
+        self.old: dict = {}
+
+    def __missing__(self, key: str) -> bytes:
+        value = self.old.get(key)
+        if value is None:
+            value = self.make(key)
+        if len(key) <= LONG:
+            if len(self) >= self.bound:
+                self.old = dict(self)
+                self.clear()
+            self[key] = value
+        return value
 
 
 class RankQueue:
@@ -76,20 +97,9 @@ class ByteBpe:
         self.longest = max(map(len, self.ranks))
         self.queue = RankQueue(max(self.bytes_of) + 1)
         self.pattern = regex.compile(pattern)
-        plain = pattern.replace(r"\p{L}+", "[A-Za-z]+").replace(r"\p{N}+", "[0-9]+").replace(r"\p{L}\p{N}", "A-Za-z0-9")
-        self.ascii_pattern = None if r"\p" in plain else re.compile(plain, re.ASCII)
-        outer = self
-
-        class Memo(dict):
-            def __missing__(self, piece: str) -> bytes:
-                out = np.array(outer.merge(piece.encode()), "<u4").tobytes()
-                if len(piece) <= LONG:
-                    if len(self) >= CACHE:
-                        self.clear()
-                    self[piece] = out
-                return out
-
-        self.memo = Memo()
+        self.words = Memo(lambda w: np.array(self.merge(w.encode()), "<u4").tobytes(), 4)
+        #: A run between two single spaces, taken with the space before it. No pre-token of the pattern lies across such a space.
+        self.runs = Memo(lambda run: b"".join([self.words[w] for w in self.pattern.findall(" " + run)]))
 
     def merge(self, raw: bytes) -> list[int]:
         """Ids of one pre-token."""
@@ -136,8 +146,8 @@ class ByteBpe:
 
     def encode_bytes(self, text: str) -> bytes:
         """Ids as little-endian unsigned 32-bit integers."""
-        find = self.ascii_pattern.findall if self.ascii_pattern is not None and text.isascii() else self.pattern.findall
-        return b"".join(map(self.memo.__getitem__, find(text)))
+        first, *runs = text.split(" ") if UNEVEN.search(text) is None else SINGLE.split(text)
+        return b"".join([self.words[w] for w in self.pattern.findall(first)]) + b"".join(map(self.runs.__getitem__, runs))
 
     def decode(self, ids: bytes) -> bytes:
         return b"".join(map(self.bytes_of.__getitem__, np.frombuffer(ids, "<u4").tolist()))
