@@ -29,7 +29,8 @@ WIDTH = 64
 LEAF = 64
 TREES = 12
 DEPTH = 8
-BRANCH = 0.6  # chance that a node picks a second coordinate
+STUBBORN = 3  # from this level on, a large node that keeps half of its parent is one cluster
+BRANCH = 0.33  # chance that a node picks a second coordinate
 CHUNK = 256
 SALTS = 16
 HASH = TextHash(3)
@@ -130,33 +131,36 @@ def _compare(least: float):
 def candidate_links(classes: DataFrame, similarity: float, leaf: int = LEAF, trees: int = TREES, depth: int = DEPTH) -> DataFrame:
     """Links (a, b) between classes (rep, sig) that connect all likely similar ones."""
     roots = F.flatten(F.array(*[_children(F.xxhash64(F.lit(t)), F.col("sig")) for t in range(trees)]))
-    at = classes.select("rep", F.explode(roots).alias("node"))
+    at = classes.select("rep", F.explode(roots).alias("node"), F.lit(0).cast("long").alias("above"))
     found: DataFrame | None = None
-    for level in range(depth):
+    for level in range(1, depth + 1):
         at = stage(at, f"level{level}")
-        sizes = at.groupBy("node").agg(F.count("*").alias("n")).where("n > 1")
-        large = stage(sizes.where(F.col("n") > leaf).select("node"), "large")
-        small = sizes.where(F.col("n") <= leaf).select("node")
+        sizes = stage(at.groupBy("node").agg(F.count("*").alias("n"), F.max("above").alias("above")).where("n > 1"), "nodes")
+        large = sizes.where(F.col("n") > leaf)
         # members of small nodes; those of a large one are dealt over SALTS keys
         spread = large.withColumn("salt", F.explode(F.array(*map(F.lit, range(SALTS)))))
         salted = at.withColumn("salt", F.pmod(F.hash("rep"), F.lit(SALTS)))
-        rest = salted.join(spread, ["node", "salt"], "left_anti").join(small, "node", "left_semi").select("node", "rep")
+        any_large = large.limit(1).count() > 0
+        rest = salted.join(spread, ["node", "salt"], "left_anti") if any_large else at
         lists = rest.groupBy("node").agg(F.array_sort(F.collect_set("rep")).alias("reps")).where("size(reps) > 1").select("reps").distinct()
         lists = lists.select(F.xxhash64("reps").alias("list"), F.explode("reps").alias("rep"))
         groups = lists.join(classes.select("rep", "sig"), "rep").groupBy("list").agg(F.collect_list(F.struct("rep", "sig")).alias("m")).select("m")
         links = stage(groups.mapInArrow(_compare(similarity - 0.25), "a long, b long"), "near")
         found = links if found is None else found.union(links)
-        if not large.limit(1).count():
+        if not any_large:
             return found
-        inside = salted.join(spread, ["node", "salt"], "left_semi").select("node", "rep")
-        if level + 1 < depth:
-            at = inside.join(classes.select("rep", "sig"), "rep").select("rep", F.explode(_children(F.col("node"), F.col("sig"))).alias("node"))
-        else:
-            # chains of slices, tied by the smallest class of each slice: no class has many links
-            slices = inside.withColumn("slice", F.pmod(F.hash("rep"), F.lit(SALTS)))
+        inside = stage(salted.select("rep", "node", "salt").join(spread.select("node", "salt", "n", "above"), ["node", "salt"]).select("node", "rep", "n", "above"), "large")
+        dense = (F.lit(level) == depth) | (F.lit(level) >= STUBBORN) & (2 * F.col("n") >= F.col("above"))
+        if level >= STUBBORN or level == depth:
+            # links by slices to the smallest class of each slice, and these to one another: no class has very many
+            slices = inside.where(dense).select("node", "rep", F.pmod(F.hash("rep"), F.ceil(F.col("n") / leaf)).alias("slice"))
             heads = slices.groupBy("node", "slice").agg(F.min("rep").alias("head"))
             tied = heads.groupBy("node").agg(F.min("head").alias("a"), F.collect_set("head").alias("h")).select("a", F.explode("h").alias("b"))
             found = found.union(stage(slices.join(heads, ["node", "slice"]).select(F.col("head").alias("a"), F.col("rep").alias("b")).union(tied).where("a <> b").distinct(), "dense"))
+        if level == depth:
+            return found
+        more = inside.where(~dense)
+        at = more.join(classes.select("rep", "sig"), "rep").select("rep", F.explode(_children(F.col("node"), F.col("sig"))).alias("node"), F.col("n").alias("above"))
     return found
 
 
@@ -189,21 +193,11 @@ class Sets:
 LINKS = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
 
-def _rows_of(table: pa.Table, words: int) -> tuple[list[int], list[np.ndarray]]:
-    """One set for each class: of rows that repeat an id, the one whose set is the class's."""
-    seen: dict[int, np.ndarray] = {}
-    for rep, k1, k2, text in zip(table.column("rep").to_pylist(), table.column("k1").to_pylist(), table.column("k2").to_pylist(), column_bytes(table.column("text")), strict=True):
-        if rep not in seen:
-            s = shingles(text, words)
-            if set_key(s) == (k1, k2):
-                seen[rep] = s
-    reps = sorted(seen)
-    return reps, [seen[r] for r in reps]
-
-
-def _exact_small(words: int, percent: int):
+def _exact_small(percent: int):
     def run(table: pa.Table) -> pa.Table:
-        reps, sets = _rows_of(table, words)
+        seen = dict(zip(table.column("rep").to_pylist(), table.column("shingles").to_pylist(), strict=True))
+        reps = sorted(seen)
+        sets = [np.frombuffer(seen[r], np.uint64) for r in reps]
         joined, forest, out = Sets(sets), Forest(), []
         for i, s in enumerate(sets):
             if i and all(forest.root(r) == forest.root(reps[0]) for r in reps[i:]):
@@ -245,46 +239,40 @@ def _to_sets(words: int):
                     keep.append(i)
                     raw.append(s.tobytes())
             rows = batch.take(pa.array(keep, pa.int64()))
-            yield pa.record_batch([rows.column("rep"), rows.column("cluster"), rows.column("chunk"), pa.array(raw, pa.binary())], names=["rep", "cluster", "chunk", "shingles"])
+            yield pa.record_batch([rows.column("rep"), rows.column("cluster"), rows.column("chunk"), rows.column("size"), pa.array(raw, pa.binary())], names=["rep", "cluster", "chunk", "size", "shingles"])
 
     return run
 
 
-def _large_clusters(members: DataFrame, percent: int, words: int) -> DataFrame:
-    """Links in clusters of many classes, by rounds of pivots; ``members``: rep, cluster, chunk, k1, k2, text."""
-    sets = stage(members.mapInArrow(_to_sets(words), "rep long, cluster long, chunk int, shingles binary"), "sets").dropDuplicates(["rep"])
+def _large_clusters(sets: DataFrame, percent: int) -> DataFrame:
+    """Links in clusters of many classes, by rounds of pivots; ``sets``: rep, cluster, chunk, shingles."""
     chunks = sets.select("cluster", "chunk").distinct()
-    done: DataFrame | None = None
     label = sets.select("rep", "cluster", F.col("rep").alias("component"))
-    links: DataFrame | None = None
-    share = 16
-    first = True
+    done = links = None
+    share = 64
     while True:
-        if first:
+        if done is None:
             open_ = label.select("rep", "cluster")
         else:
             # all outside the largest component of their cluster that have not been pivots
             counts = label.groupBy("cluster", "component").count()
             main = counts.groupBy("cluster").agg(F.max(F.struct("count", "component")).alias("m")).select("cluster", F.col("m.component").alias("main"))
-            open_ = label.join(main, "cluster").where("component <> main").select("rep", "cluster").join(done, "rep", "left_anti")
-        # the smallest hashes below a bar that about ``share`` members of each cluster pass; all, once few are open
+            open_ = stage(label.join(main, "cluster").where("component <> main").select("rep", "cluster").join(done, "rep", "left_anti"), "pivot-open")
+        # those whose hash is below a bar that about ``share`` members of each cluster pass; all, once few are open
         sizes = open_.groupBy("cluster").agg(F.count("*").alias("open"))
         bar = F.pmod(F.xxhash64("rep", F.lit(share)), F.lit(1 << 30)) < (F.lit(float(share)) / F.col("open") * (1 << 30))
         pivots = stage(open_.join(sizes, "cluster").where(bar | (F.col("open") <= share)).select("rep", "cluster"), "pivots")
+        share *= 8
         if not pivots.limit(1).count():
             if not open_.limit(1).count():
                 return links
-            share *= 4
             continue
-        sent = pivots.join(sets.select("rep", "shingles"), "rep").join(chunks, "cluster")
-        new = stage(sets.groupBy("cluster", "chunk").cogroup(sent.groupBy("cluster", "chunk")).applyInArrow(_exact_pivots(percent), "a long, b long"), "pivot-links")
-        links = new if links is None else links.union(new)
-        links = stage(links, "pivot-all")
+        sent = pivots.join(sets.select("rep", "shingles"), "rep").join(chunks, "cluster").select("cluster", "chunk", "rep", "shingles").toDF("cluster", "chunk", "rep", "shingles")
+        new = sets.groupBy("cluster", "chunk").cogroup(sent.groupBy("cluster", "chunk")).applyInArrow(_exact_pivots(percent), "a long, b long")
         done = pivots.select("rep") if done is None else stage(done.union(pivots.select("rep")), "pivot-done")
-        found = components(links)
-        label = stage(sets.select("rep", "cluster").join(found.withColumnRenamed("id", "rep"), "rep", "left").select("rep", "cluster", F.coalesce("component", "rep").alias("component")), "pivot-labels")
-        share *= 4
-        first = False
+        found = stage(components(new if links is None else new.union(links)), "pivot-labels")
+        links = found.toDF("a", "b")
+        label = sets.select("rep", "cluster").join(found.withColumnRenamed("id", "rep"), "rep", "left").select("rep", "cluster", F.coalesce("component", "rep").alias("component"))
 
 
 def near_duplicates(docs: DataFrame, percent: int = 75, words: int = 5) -> DataFrame:
@@ -298,11 +286,12 @@ def near_duplicates(docs: DataFrame, percent: int = 75, words: int = 5) -> DataF
     sizes = clusters.groupBy("cluster").agg(F.count("*").alias("size"))
     placed = clusters.join(sizes, "cluster").withColumn("chunk", F.pmod(F.hash("rep"), F.ceil(F.col("size") / CHUNK)).cast("int"))
     placed = stage(placed.join(classes.select("rep", "k1", "k2"), "rep"), "placed")
-    members = docs.withColumnRenamed("doc_id", "rep").join(placed, "rep")
-    small = members.where(F.col("size") <= CHUNK).groupBy("cluster").applyInArrow(_exact_small(words, percent), "a long, b long")
-    links = stage(small, "links")
+    # texts meet their classes by shuffle at any size; then only the sets of candidates are moved
+    members = docs.withColumnRenamed("doc_id", "rep").join(placed.hint("merge"), "rep").select("rep", "cluster", "chunk", "size", "k1", "k2", "text")
+    sets = stage(members.mapInArrow(_to_sets(words), "rep long, cluster long, chunk int, size long, shingles binary").dropDuplicates(["rep"]), "sets")
+    links = stage(sets.where(F.col("size") <= CHUNK).groupBy("cluster").applyInArrow(_exact_small(percent), "a long, b long"), "links")
     if placed.where(F.col("size") > CHUNK).limit(1).count():
-        links = links.union(_large_clusters(members.where(F.col("size") > CHUNK).select("rep", "cluster", "chunk", "k1", "k2", "text"), percent, words))
+        links = links.union(_large_clusters(sets.where(F.col("size") > CHUNK).select("rep", "cluster", "chunk", "shingles"), percent))
     final = components(links)
     named = classes.join(final.withColumnRenamed("id", "rep"), "rep", "left").select("k1", "k2", F.coalesce("component", "rep").alias("component_id"), ((F.col("n") > 1) | F.col("component").isNotNull()).alias("moved"))
     # a class of very many copies is dealt over SALTS keys
