@@ -1,0 +1,236 @@
+"""Operators on single texts against their libraries or brute force."""
+
+import hashlib
+import random
+import re
+import zlib
+
+import numpy as np
+import public_tokenizers as P
+import pytest
+import tiktoken
+from pyspark.sql import functions as F
+
+from couponspark.llm import byte_bpe as B
+from couponspark.llm import quality_rules as Q
+from couponspark.llm import queries
+from couponspark.llm import secret_scan as S
+from couponspark.llm.packing import Packer, pack_documents
+from couponspark.llm.token_counts import PrefixTable, token_counts
+from couponspark.llm.word_bpe import word_bpe
+
+WORD = P.path("word_bpe_49k.json")
+BYTE = P.path("byte_bpe_50k.tiktoken")
+ODD = ["", "  ", "It's we'll they've <|endoftext|> x!!<|startoftext|>", "İstanbul ΑΣ ΑΣ. straße", "日本語のテキスト 12345", "é́ café", "ẞꟋ x \U0001d400 ⅷ ½", "a" * 3000 + "é" * 50, "''s 'S 'LL don't", "\x00\x01 \x85 \xa0x​y", "<|endoftext|", "ſ K Å", "   a \n\n b  ", "aaa" * 77, "x\x1cy \x1c z"]
+
+
+@pytest.fixture(scope="module")
+def texts(spark, sf):
+    return [r.text for r in spark.read.parquet(f"{sf}/documents.parquet").select("text").collect()]
+
+
+@pytest.fixture(scope="module")
+def edge(spark):
+    """Nulls, empty and repeated rows, and columns with names that operators use inside."""
+    rows = [(1, "token = abcdef123456 and the rest", "a", 1), (1, "token = abcdef123456 and the rest", "a", 1), (2, None, None, 2), (3, "", "b", 3), (None, "words without an id", "b", None), (4, "x" * 30000, "c", 4)]
+    return spark.createDataFrame(rows, "doc_id long, text string, source string, block int").withColumn("token", F.lit(1)).withColumn("n", F.lit(2)).withColumn("key", F.lit(3))
+
+
+def test_word_ids_and_prefixes(texts):
+    b = word_bpe(WORD)
+    sample = texts[:150] + ODD
+    for text, lib in zip(sample, b.library.encode_batch(sample, add_special_tokens=False), strict=True):
+        assert np.frombuffer(b.encode_bytes(text), "<u4").tolist() == lib.ids
+        assert PrefixTable(b, text).total == len(lib.ids)
+    for text in [t for t in ODD if t.isascii()] + [t[:250] for t in texts[:8] if t.isascii()]:
+        table = PrefixTable(b, text)
+        for i in range(min(len(text), 250) + 1):
+            assert table.count_at(i) == len(b.library.encode(text[:i], add_special_tokens=False).ids), (text[:i],)
+
+
+def test_word_solver_equals_merger():
+    b = word_bpe(WORD)
+    rng = random.Random(3)
+    for _ in range(3000):
+        w = "".join(rng.choice("etaoinshr'é") for _ in range(rng.randint(1, 14))).replace("'", "n")
+        counts, ids = b.solve(w)
+        assert np.frombuffer(b.split(w.encode()), "<u4").tolist() == ids and counts[-1] == len(ids)
+
+
+def test_cut_fits_the_budget(texts):
+    b = word_bpe(WORD)
+    for text in [t for t in texts[:60] if t.isascii()]:
+        table, budget = PrefixTable(b, text), 100
+        n = table.cut(budget)
+        assert len(b.library.encode(text[:n], add_special_tokens=False).ids) <= budget
+
+
+def test_counts_query(spark, sf, edge):
+    out = token_counts(edge, WORD).collect()
+    assert [(r.doc_id, r.n_tokens) for r in out if r.doc_id in (2, 3)] == [(2, 0), (3, 0)]
+    assert len(out) == 6 and token_counts(edge.where("false"), WORD).count() == 0
+    row = next(r for r in out if r.doc_id == 4)
+    assert row.over_limit == (row.n_tokens > 2048) and row.n_bytes == 30000
+    assert queries.op2_token_counts(spark, sf).count() == 1000
+
+
+def test_byte_ids(texts):
+    b = B.byte_bpe(BYTE, P.PATTERN)
+    enc = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=b.ranks, special_tokens={})
+    for text in texts[:200] + ODD:
+        ids = b.encode_bytes(text)
+        assert np.frombuffer(ids, "<u4").tolist() == enc.encode_ordinary(text)
+        assert b.decode(ids) == text.encode()
+    rng = random.Random(1)
+    for _ in range(2000):
+        raw = "".join(rng.choice("abcthein") for _ in range(rng.randint(2, 60))).encode()
+        if raw not in b.ranks:
+            assert b.merge_short(raw) == b.merge_long(raw)
+
+
+def test_long_pre_token():
+    b = B.byte_bpe(BYTE, P.PATTERN)
+    ids = b.encode_bytes("abcab" * 40000)
+    assert b.decode(ids) == b"abcab" * 40000
+
+
+def test_byte_query(spark, edge):
+    out = B.encode_documents(edge, BYTE, P.PATTERN, with_ids=True)
+    rows = out.collect()
+    assert len(rows) == 6 and all(r.round_trip for r in rows)
+    empty = hashlib.sha256(b"").hexdigest()
+    assert all(r.ids_sha256 == r.decoded_sha256 == empty for r in rows if r.doc_id in (2, 3))
+    back = {r.doc_id: r.text for r in B.decode_documents(out, BYTE, P.PATTERN).collect()}
+    assert back[1] == "token = abcdef123456 and the rest"
+
+
+def check_pieces(rows, ids_of, capacity):
+    by_seq, by_doc = {}, {}
+    for r in rows:
+        by_seq.setdefault(r.sequence_id, []).append((r.offset, r.length))
+        by_doc.setdefault(r.doc_id, []).append(r)
+    for parts in by_seq.values():
+        at = 0
+        for o, n in sorted(parts):
+            assert o == at and n > 0
+            at += n
+        assert at == capacity or at & (at - 1) == 0
+    for d, parts in by_doc.items():
+        ids, at = ids_of(d), 0
+        for r in sorted(parts, key=lambda r: r.start):
+            assert r.start == at and r.doc_tokens == len(ids)
+            assert r.ids_crc32 == zlib.crc32(np.array(ids[at : at + r.length], "<u4").tobytes())
+            at += r.length
+        assert at == len(ids)
+    return by_seq
+
+
+def test_packing_query(spark, sf, edge):
+    lib = word_bpe(WORD).library
+    docs = {r.doc_id: r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    rows = queries.op6_packing(spark, sf).collect()
+    check_pieces(rows, lambda d: [*lib.encode(docs[d], add_special_tokens=False).ids, 2], 4096)
+    assert {r.doc_id for r in rows} == set(docs)
+    small = pack_documents(edge.dropDuplicates(["doc_id"]), WORD, with_ids=True).collect()
+    assert [r.length for r in small if r.doc_id == 2] == [1] and pack_documents(edge.where("false"), WORD).count() == 0
+
+
+def test_sum_of_squares_rule():
+    rng, p = np.random.default_rng(1), Packer(64)
+    for i in range(400):
+        size = int(rng.integers(1, 64))
+        n = p.open.copy()
+        costs = {0: 2 * int(n[size]) + 1}
+        for h in range(1, 64 - size + 1):
+            if n[h]:
+                m = n.copy()
+                m[h] -= 1
+                m[h + size] += h + size < 64
+                costs[h] = int((m[1:64] ** 2).sum() - (n[1:64] ** 2).sum())
+        level = p.level_for(size)
+        assert costs[level] == min(costs.values())
+        p.add(i, bytes(4 * size))
+    p.finish()
+    filled = {}
+    for d in p.done:
+        filled[d[5]] = filled.get(d[5], 0) + d[2]
+    assert all(n == 64 or n & (n - 1) == 0 for n in filled.values()) and sum(n < 64 for n in filled.values()) <= 6
+
+
+def brute_base(text):
+    spans, text = [], text or ""
+    for kind, rx, group, least in (("assign", re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A), 2, 6), ("access", re.compile("AKIA[A-Z0-9]+"), 0, 20), ("hex", re.compile("[0-9a-f]+"), 0, 24)):
+        spans += [(m.start(), kind, m.end()) for m in rx.finditer(text) if len(m.group(group)) >= least]
+    return sorted(spans, key=lambda s: (s[0], ("assign", "access", "hex").index(s[1])))
+
+
+def test_secret_query(spark, sf, edge):
+    docs = {r.doc_id: r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    rows = queries.op8_secret_scan(spark, sf).collect()
+    assert len(rows) == len(docs)
+    for r in rows:
+        base = brute_base(docs[r.doc_id])
+        text = ",".join(f"{k}:{s}:{e}" for s, k, e in base)
+        assert r.base_sha256 == hashlib.sha256(text.encode()).hexdigest()
+        assert (r.n_assign, r.n_access, r.n_hex) == tuple(sum(k == x for _, k, _ in base) for x in ("assign", "access", "hex"))
+        assert set(text.split(",") if text else []) <= set(r.spans.split(","))
+    out = S.scan_secrets(edge).collect()
+    assert len(out) == 6 and sum(r.n_assign for r in out) == 2
+    assert S.scan_secrets(edge.where("false")).count() == 0
+
+
+def test_ownership(spark):
+    shared, own = "token = 'a1b2c3d4e5f6g7h8'", "token = 'z9y8x7w6v5u4t3s2'"
+    rows = [(i, f"text {shared}", f"s{i}") for i in range(6)] + [(10, f"{own} here", "s1"), (11, "sk_live_a1B2c3D4e5F6g7H8i9", "s2"), (12, "token: short, token: abcdefgh1234", "s3")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    out = {r.doc_id: r for r in S.scan_secrets(docs).collect()}
+    assert out[0].n_example == 1 and out[0].n_live == 0 and out[0].found[0].owners == 6
+    assert out[10].n_live == 1 and out[11].spans == "service:0:26"
+    assert out[12].spans == "assign:14:33"
+    clean = {r.doc_id: r.text for r in S.remove_live(docs).collect()}
+    assert clean[0] == rows[0][1] and "z9y8" not in clean[10] and clean[10].endswith("here")
+    assert S.candidates("toKen=ſecret token=aaaaaa")[-1][0] == "assign"
+
+
+def brute_quality(text):
+    words = re.findall(r"[^\x20\x09-\x0D]+", text or "")
+    seen, dup = set(), 0
+    for line in (text or "").split("\n"):
+        if re.search(r"[^\x20\x09-\x0D]", line):
+            dup += line in seen
+            seen.add(line)
+    windows = {}
+    for i in range(len(words) - 4):
+        windows.setdefault(tuple(words[i : i + 5]), []).append(i)
+    marked = {i + j for at in windows.values() if len(at) > 1 for i in at for j in range(5)}
+    return len(words), sum(map(len, words)), sum(c in "#*$%&|<>" for c in text or ""), dup, len(marked)
+
+
+def test_quality_query(spark, sf, edge):
+    docs = {r.doc_id: r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    labels = {r.doc_id: r.quality for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
+    rows = {r.doc_id: r for r in queries.op9_quality_rules(spark, sf).collect()}
+    for d, text in docs.items():
+        r = rows[d]
+        got = (r.n_words, r.word_chars, r.n_symbols, r.n_dup_lines, r.n_repeat_words)
+        assert got == brute_quality(text), d
+        assert r.base_failed == (r.n_words < 10 or 100 * r.n_repeat_words > 20 * r.n_words)
+        assert not (r.base_failed and r.kept)
+    good = [d for d, q in labels.items() if q == 1]
+    assert np.mean([rows[d].kept for d in good]) > 0.95
+    assert np.mean([rows[d].kept for d, q in labels.items() if q == 0]) < 0.3
+    none = spark.createDataFrame([], "doc_id long, quality int, toxic int")
+    out = Q.judge(edge, none).collect()
+    assert len(out) == 6 and {r.n_words for r in out if r.doc_id in (2, 3)} == {0}
+    assert Q.judge(edge.where("false"), none).count() == 0
+
+
+def test_learner():
+    rng = np.random.default_rng(1)
+    x = rng.random((2000, 3))
+    y = (x[:, 0] > 0.7) & (x[:, 1] < 0.4)
+    rules = Q.learn(x, y)
+    hit = np.zeros(len(x), bool)
+    for r in rules:
+        hit |= Q._covers(r, x)
+    assert (hit == y).mean() > 0.99 and Q.learn(x, np.zeros(2000, bool)) == []
