@@ -1,8 +1,9 @@
 """Byte-level BPE by a queue over merge ranks.
 
-The pieces of a pre-token form a linked list. Each possible merge lies in the bucket of its rank; three levels of 64-bit
-words mark buckets that hold something, so find-first-set gives the next rank in three steps, however long the pre-token.
-An entry whose piece has since merged otherwise is stale and skipped; within a bucket the leftmost place comes first.
+The pieces of a pre-token form a linked list. Each possible merge lies in the bucket of its rank; a bitmap of buckets in two
+levels of 256-bit words marks those that hold something, so find-first-set gives the next rank in two steps, however long the
+pre-token. An entry whose piece has since merged otherwise is stale and skipped; within a bucket the leftmost place comes
+first: the buckets of short pre-tokens are bitmaps of places themselves, those of long ones are heaps.
 
 Edge cases: null text is empty; special strings are ordinary text; pre-tokens of any length take O(n log n); extra columns are
 ignored, repeated rows repeat, an empty table gives an empty one.
@@ -25,8 +26,9 @@ from pyspark.sql import functions as F
 
 from .common import column_bytes
 
-CACHE = 200_000
+CACHE = 400_000
 LONG = 64
+SHORT = 200  # bytes of a pre-token whose buckets are bitmaps of places
 UNEVEN = re.compile(r"\s |[ ]\s")
 SINGLE = re.compile(r"(?<=\S) (?=\S)")
 
@@ -51,41 +53,38 @@ class Memo(dict):
 
 
 class RankQueue:
-    """Buckets of positions by rank under a three-level bitmap."""
+    """Buckets of positions by rank under a two-level bitmap."""
 
     def __init__(self, ranks: int) -> None:
         self.buckets: dict[int, list[int]] = {}
-        self.low = [0] * (ranks // 64 + 1)
-        self.mid = [0] * (len(self.low) // 64 + 1)
+        self.low = [0] * (ranks // 256 + 1)
         self.top = 0
 
     def push(self, rank: int, place: int) -> None:
         bucket = self.buckets.get(rank)
         if bucket is None:
             self.buckets[rank] = [place]
-            w = rank >> 6
-            self.low[w] |= 1 << (rank & 63)
-            self.mid[w >> 6] |= 1 << (w & 63)
-            self.top |= 1 << (w >> 6)
+            self.low[rank >> 8] |= 1 << (rank & 255)
+            self.top |= 1 << (rank >> 8)
         else:
             heapq.heappush(bucket, place)
 
     def pop(self) -> tuple[int, int] | None:
         """The lowest rank and the leftmost place in its bucket."""
-        if not self.top:
+        top = self.top
+        if not top:
             return None
-        m = (self.top & -self.top).bit_length() - 1
-        w = m << 6 | (self.mid[m] & -self.mid[m]).bit_length() - 1
-        rank = w << 6 | (self.low[w] & -self.low[w]).bit_length() - 1
+        w = (top & -top).bit_length() - 1
+        bits = self.low[w]
+        rank = w << 8 | (bits & -bits).bit_length() - 1
         bucket = self.buckets[rank]
         place = heapq.heappop(bucket)
         if not bucket:
             del self.buckets[rank]
-            self.low[w] &= ~(1 << (rank & 63))
-            if not self.low[w]:
-                self.mid[m] &= ~(1 << (w & 63))
-                if not self.mid[m]:
-                    self.top &= ~(1 << m)
+            bits &= bits - 1
+            self.low[w] = bits
+            if not bits:
+                self.top = top & top - 1
         return rank, place
 
 
@@ -96,17 +95,105 @@ class ByteBpe:
         self.bytes_of: dict[int, bytes] = {i: b for b, i in self.ranks.items()}
         self.longest = max(map(len, self.ranks))
         self.queue = RankQueue(max(self.bytes_of) + 1)
+        self.pairs = [self.ranks.get(bytes([a, b]), -1) for a in range(256) for b in range(256)]
         self.pattern = regex.compile(pattern)
-        self.words = Memo(lambda w: np.array(self.merge(w.encode()), "<u4").tobytes(), 4)
+        self.four = {i: i.to_bytes(4, "little") for i in self.bytes_of}
+        self.words = Memo(lambda w: self.ids_of(w.encode()), 4)
         #: A run between two single spaces, taken with the space before it. No pre-token of the pattern lies across such a space.
-        self.runs = Memo(lambda run: b"".join([self.words[w] for w in self.pattern.findall(" " + run)]))
+        self.runs = Memo(self._run)
+
+    def _run(self, run: str) -> bytes:
+        if run.isascii() and run.isalpha():  # one pre-token
+            return self.ids_of(b" " + run.encode())
+        return b"".join([self.words[w] for w in self.pattern.findall(" " + run)])
+
+    def ids_of(self, raw: bytes) -> bytes:
+        four = self.four
+        return b"".join([four[i] for i in self.merge(raw)])
 
     def merge(self, raw: bytes) -> list[int]:
         """Ids of one pre-token."""
-        ranks, n, longest = self.ranks, len(raw), self.longest
-        whole = ranks.get(raw)
+        whole = self.ranks.get(raw)
         if whole is not None:
             return [whole]
+        return self.merge_short(raw) if len(raw) <= SHORT else self.merge_long(raw)
+
+    def merge_short(self, raw: bytes) -> list[int]:
+        """The queue with bitmaps of places as buckets, written out in line."""
+        get, low, n = self.ranks.get, self.queue.low, len(raw)
+        pairs = self.pairs
+        pair = [pairs[a << 8 | b] for a, b in zip(raw, raw[1:], strict=False)]
+        pair.append(-1)
+        buckets: dict[int, int] = {}
+        top, place = 0, 1
+        for r in pair:
+            if r >= 0:
+                if r in buckets:
+                    buckets[r] |= place
+                else:
+                    buckets[r] = place
+                    low[r >> 8] |= 1 << (r & 255)
+                    top |= 1 << (r >> 8)
+            place <<= 1
+        nxt, prev = list(range(1, n + 2)), list(range(-1, n))
+        while top:
+            w = (top & -top).bit_length() - 1
+            bits = low[w]
+            first = bits & -bits
+            rank = w << 8 | first.bit_length() - 1
+            mask = buckets[rank]
+            one = mask & -mask
+            if mask == one:
+                del buckets[rank]
+                bits ^= first
+                low[w] = bits
+                if not bits:
+                    top &= top - 1
+            else:
+                buckets[rank] = mask ^ one
+            i = one.bit_length() - 1
+            if pair[i] != rank:
+                continue
+            j = nxt[i]
+            k = nxt[j]
+            nxt[i] = k
+            pair[j] = -1
+            r = None
+            if k < n:
+                prev[k] = i
+                r = get(raw[i : nxt[k]])
+            if r is None:
+                pair[i] = -1
+            else:
+                pair[i] = r
+                if r in buckets:
+                    buckets[r] |= 1 << i
+                else:
+                    buckets[r] = 1 << i
+                    low[r >> 8] |= 1 << (r & 255)
+                    top |= 1 << (r >> 8)
+            h = prev[i]
+            if h >= 0:
+                r = get(raw[h:k])
+                if r is None:
+                    pair[h] = -1
+                else:
+                    pair[h] = r
+                    if r in buckets:
+                        buckets[r] |= 1 << h
+                    else:
+                        buckets[r] = 1 << h
+                        low[r >> 8] |= 1 << (r & 255)
+                        top |= 1 << (r >> 8)
+        out, i, ranks = [], 0, self.ranks
+        while i < n:
+            out.append(ranks[raw[i : nxt[i]]])
+            i = nxt[i]
+        return out
+
+    def merge_long(self, raw: bytes) -> list[int]:
+        """The queue with heaps of places as buckets: O(n log n) however long the pre-token."""
+        ranks, n, longest = self.ranks, len(raw), self.longest
         nxt, prev = list(range(1, n + 1)), list(range(-1, n - 1))
         pair = [-1] * (n + 1)  # rank of the merge of the piece at a place with the next
         queue = self.queue
