@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import reports, sketches, streams, surface, theory  # noqa: F401
+from . import extras, reports, sketches, streams, surface, theory  # noqa: F401
 from .registry import ORACLES, QUERIES
 
 
