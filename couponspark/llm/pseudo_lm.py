@@ -188,7 +188,11 @@ def fit(docs: DataFrame, seed: int = 1, rate: float = 0.1) -> tuple[Lexicon, Net
         return None
     lexicon = Lexicon(counts)
     net = Net.start(lexicon, seed)
-    first = [(r.text or "").encode() for r in docs.select("text").where("text is not null").orderBy(F.xxhash64("text"), F.length("text")).limit(START_DOCS).collect()]
+    # the smallest hashes come first, so that tasks send numbers and not texts
+    key = F.xxhash64("text")
+    keys = texts.where("text is not null").select(key.alias("h")).distinct().orderBy("h").limit(START_DOCS).collect()
+    rows = texts.where("text is not null").where(key <= keys[-1]["h"]).distinct().collect()
+    first = sorted(r.text.encode() for r in rows)
     ids, sizes = tokenize(first)
     memory = np.full(Net.SIZE, 1e-6, np.float32)
     for _ in range(3):
