@@ -66,5 +66,24 @@ def queries() -> dict[str, Query]:
     return {name: f for name, f in globals().items() if name.startswith("op") and name[2].isdigit()}
 
 
+_REACH = "reach AS (SELECT id, id AS root FROM ids UNION SELECT p.b, r.root FROM reach r JOIN p ON p.a = r.id)"
+
+ORACLES = {
+    "op5_vector_dedup": f"""WITH RECURSIVE ids AS (SELECT vec_id AS id FROM embeddings),
+v AS (SELECT vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS e FROM embeddings WHERE embedding IS NOT NULL),
+p AS MATERIALIZED (SELECT a.vec_id AS a, b.vec_id AS b FROM v a JOIN v b ON a.vec_id <> b.vec_id AND list_cosine_similarity(a.e, b.e) >= 0.9),
+{_REACH}
+SELECT id AS vec_id, (SELECT count(*) FROM p WHERE p.a = c.id)::BIGINT AS n_links, root AS component_id, id = root AS kept FROM (SELECT id, min(root) AS root FROM reach GROUP BY id) c""",
+    "op7_set_join": f"""WITH RECURSIVE ids AS (SELECT doc_id AS id FROM documents),
+w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x20\\x09-\\x0D]+') AS w FROM documents),
+s AS MATERIALIZED (SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [array_to_string(w, ' ')] ELSE list_distinct(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' '))) END AS s FROM w),
+x AS MATERIALIZED (SELECT doc_id, len(s) AS n, unnest(s) AS g FROM s),
+p AS MATERIALIZED (SELECT a.doc_id AS a, b.doc_id AS b FROM x a JOIN x b ON a.g = b.g AND a.doc_id <> b.doc_id GROUP BY a.doc_id, b.doc_id, a.n, b.n HAVING 100 * count(*) >= 75 * (a.n + b.n - count(*))),
+{_REACH}
+SELECT c.id AS doc_id, len(s.s)::BIGINT AS n_shingles, root AS component_id, c.id = root AS kept FROM (SELECT id, min(root) AS root FROM reach GROUP BY id) c JOIN s ON s.doc_id = c.id""",
+}
+
+
 def oracle_sql() -> dict[str, str]:
-    return {}
+    """The other results need hashes of byte spans, tokenizer files or trained models: tests hold them against brute force."""
+    return dict(ORACLES)
