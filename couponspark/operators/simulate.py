@@ -135,11 +135,11 @@ def simulate_direct(spark: SparkSession, k: int, n: int, trials: int, seed: int
     return spark.range(trials).repartition(spark.sparkContext.defaultParallelism * 2).mapInPandas(run, "k long, trial long, n double, estimator string, estimate double")
 
 
-def moments(runs: DataFrame) -> DataFrame:
-    """(k, estimator, runs, scaled_error = sqrt(k) RMSE / n, scaled_bias = k bias / n), averaged over counts."""
+def moments(runs: DataFrame, by: Sequence[str] = ()) -> DataFrame:
+    """(by.., k, estimator, runs, scaled_error = sqrt(k) RMSE / n, scaled_bias = k bias / n), averaged over counts."""
     r = F.col("estimate") / F.col("n") - 1
-    per = runs.groupBy("k", "estimator").agg(F.count("*").alias("runs"), F.sqrt(F.avg(r * r)).alias("e"), F.avg(r).alias("b"))
-    return per.select("k", "estimator", "runs", (F.sqrt("k") * F.col("e")).alias("scaled_error"), (F.col("k") * F.col("b")).alias("scaled_bias"))
+    per = runs.groupBy(*by, "k", "estimator").agg(F.count("*").alias("runs"), F.sqrt(F.avg(r * r)).alias("e"), F.avg(r).alias("b"))
+    return per.select(*by, "k", "estimator", "runs", (F.sqrt("k") * F.col("e")).alias("scaled_error"), (F.col("k") * F.col("b")).alias("scaled_bias"))
 
 
 def fit_inverse_k(points: DataFrame, value: str) -> DataFrame:
@@ -155,6 +155,21 @@ def fit_inverse_k(points: DataFrame, value: str) -> DataFrame:
     return points.groupBy("estimator").applyInPandas(fit, "estimator string, c0 double, c1 double, c2 double")
 
 
+def digits_uncertain(runs: DataFrame, folds: int = 8) -> DataFrame:
+    """(estimator, c0, digits): the fitted limit and how many digits of it the spread over disjoint parts of the trials leaves."""
+    parts = moments(runs.withColumn("fold", F.pmod("trial", F.lit(folds))), ["fold"])
+
+    def fit(g: pd.DataFrame) -> pd.DataFrame:
+        limits = []
+        for _, part in g.groupby("fold"):
+            x = 1 / part["k"].to_numpy(float)
+            limits.append(np.linalg.lstsq(np.stack([np.ones_like(x), x], axis=1), part["scaled_error"].to_numpy(float), rcond=None)[0][0])
+        mean, error = float(np.mean(limits)), float(np.std(limits, ddof=1) / len(limits) ** 0.5)
+        return pd.DataFrame({"estimator": [g["estimator"].iloc[0]], "c0": [mean], "digits": [-np.log10(error / mean)]})
+
+    return parts.groupBy("estimator").applyInPandas(fit, "estimator string, c0 double, digits double")
+
+
 def sample_state(k: int, n: float, rng: np.random.Generator, columns: int = 63) -> np.ndarray:
     """Row words of a state whose cells are independent: what a large count leaves."""
     q = -np.expm1(n * np.log1p(-(2.0 ** -np.minimum(np.arange(1, columns + 1), columns - 1)) / k))

@@ -36,6 +36,12 @@ def _(spark, d):
     return X.fit_inverse_k(flat(spark), "scaled_error")
 
 
+@query("digits_uncertain")
+def _(spark, d):
+    """How many digits of each limit these few runs fix."""
+    return X.digits_uncertain(X.simulate(spark, KS, TRIALS, 25, 70, POINTS))
+
+
 @query("error_curve_simulated")
 def _(spark, d):
     """Scaled error against n for six estimators, k = 64: the ordering of the methods, from small counts to the flat part."""

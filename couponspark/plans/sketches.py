@@ -311,7 +311,7 @@ def _(spark, d):
     """Spark's own sketches beside ours, on pairs."""
     li = table(spark, d, "lineitem")
     ours = E.est_count_inverse(state.row_words(li, PAIR, k=4096), k=4096)
-    theirs = li.agg(F.approx_count_distinct(F.struct(*PAIR)).alias("builtin_approx"), F.hll_sketch_estimate(F.hll_sketch_agg(F.concat_ws("|", *PAIR))).alias("builtin_sketch"), F.count_distinct(*PAIR).alias("exact"))
+    theirs = li.agg(F.approx_count_distinct(F.struct(*PAIR)).alias("builtin_approx"), F.hll_sketch_estimate(F.hll_sketch_agg(F.concat_ws("|", *PAIR))).alias("builtin_sketch"), F.expr("theta_sketch_estimate(theta_sketch_agg(concat_ws('|', l_partkey, l_suppkey)))").alias("builtin_theta"), F.count_distinct(*PAIR).alias("exact"))
     return theirs.crossJoin(ours.select("estimate"))
 
 
