@@ -4,8 +4,10 @@ from __future__ import annotations
 
 import tempfile
 from collections.abc import Sequence
+from functools import lru_cache
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -13,12 +15,18 @@ from pyspark.sql import functions as F
 from couponspark.operators.codec import decode_window, encode_window
 
 
+@lru_cache(maxsize=1)
+def _local_dir() -> str:
+    return "file://" + tempfile.mkdtemp(prefix="couponspark-")
+
+
 def scratch(spark: SparkSession) -> str:
     """A folder that all executors see: the session's checkpoint folder; a local one where it is unset (tests)."""
     where = spark.conf.get("spark.checkpoint.dir", None)
     if not where:
-        where = "file://" + tempfile.mkdtemp(prefix="couponspark-")
-        spark.conf.set("spark.checkpoint.dir", where)
+        if not (spark.sparkContext.master == "local" or spark.sparkContext.master.startswith("local[")):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+        where = _local_dir()
     return where.rstrip("/")
 
 
@@ -34,8 +42,6 @@ def pack(words: DataFrame, by: Sequence[str], k: int, columns: int, profile: str
             for x in r:
                 w[x["row_id"]] = x["word"]
             out.append(encode_window(w))
-        import pandas as pd
-
         return pd.Series(out)
 
     return gathered.select(*by, F.lit(k).alias("k"), F.lit(profile).alias("profile"), F.lit(columns).alias("columns"), "coupons", body("rows").alias("body"))
