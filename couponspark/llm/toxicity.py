@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from .common import TextHash, column_bytes
 
-SAMPLE = 1500  # labelled texts of each class that the fit reads at most
+SAMPLE = 1200  # labelled texts of each class that the fit reads at most
 WINDOW, STRIDE = 32, 24
 HIDDEN, VECTOR = 8, 6
 WORDS, GRAMS = 1 << 16, 1 << 16  # buckets of log odds
@@ -33,6 +33,7 @@ INPUTS = 3 + 2 * VECTOR
 TABLES, DECAY = 0.05, 0.1  # learned vectors move slowly, and all weights shrink, or else single words are learned by heart
 SLICE = 4096  # windows at a time
 PIECE = 200_000  # words at a time
+CHUNK = 30_000  # distinct words at a time
 HASH = TextHash(23)
 
 
@@ -49,6 +50,10 @@ class Vocabulary:
 
     @staticmethod
     def of(words: list[bytes]) -> Vocabulary:
+        if len(words) > CHUNK:  # arrays of n-grams stay small on the way
+            parts = [Vocabulary.of(words[i : i + CHUNK]) for i in range(0, len(words), CHUNK)]
+            base = np.cumsum([0] + [len(p.gram) for p in parts[:-1]])
+            return Vocabulary(np.concatenate([p.word for p in parts]), np.concatenate([p.gram for p in parts]), np.concatenate([p.first + b for p, b in zip(parts, base, strict=True)]))
         joined = np.frombuffer(b"".join(b"^" + w + b"$" for w in words), np.uint8)
         size = np.fromiter(map(len, words), np.int64, len(words)) + 2
         start = np.cumsum(size) - size
@@ -116,6 +121,10 @@ class Network:
 
     def inputs(self, v: Vocabulary) -> np.ndarray:
         """Input of each distinct word."""
+        if len(v.word) > CHUNK:
+            cuts = np.r_[v.first, len(v.gram)]
+            spans = [(i, min(i + CHUNK, len(v.word))) for i in range(0, len(v.word), CHUNK)]
+            return np.concatenate([self.inputs(Vocabulary(v.word[a:z], v.gram[cuts[a] : cuts[z]], v.first[a:z] - cuts[a])) for a, z in spans])
         n = np.diff(np.r_[v.first, len(v.gram)])[:, None]
         odds = self.gram_odds[v.gram % np.uint64(GRAMS)]
         chars = np.add.reduceat(self.weights["gram"][v.gram % np.uint64(ROWS)], v.first, axis=0) / n
@@ -223,20 +232,14 @@ class Network:
 
 def _odds(texts: list[list[bytes]], toxic: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Log odds of hashed words and n-grams by the number of texts that hold them, as far from 0 as is sure."""
-    distinct, ids = number(texts)
-    v = Vocabulary.of(distinct)
-    owner = np.repeat(np.arange(len(texts)), [len(t) for t in texts])
-    pairs = np.unique(owner * len(distinct) + ids)
-    text, word = pairs // len(distinct), pairs % len(distinct)
-    n = np.diff(np.r_[v.first, len(v.gram)])
-    count = n[word]
-    at = np.repeat(v.first[word] - np.r_[0, np.cumsum(count)[:-1]], count) + np.arange(count.sum())
-    gram_pairs = np.unique(np.repeat(text, count) * GRAMS + (v.gram[at] % np.uint64(GRAMS)).astype(np.int64))
-    word_pairs = np.unique(text * WORDS + (v.word[word] % np.uint64(WORDS)).astype(np.int64))
+    kinds: list[tuple[np.ndarray, np.ndarray]] = [(np.zeros(WORDS), np.zeros(WORDS)), (np.zeros(GRAMS), np.zeros(GRAMS))]
+    for words, bad in zip(texts, toxic, strict=True):
+        v = Vocabulary.of(list(dict.fromkeys(words))) if words else None
+        if v is not None:
+            for (yes, no), h, size in ((kinds[0], v.word, WORDS), (kinds[1], v.gram, GRAMS)):
+                (yes if bad else no)[np.unique(h % np.uint64(size)).astype(np.int64)] += 1
     out = []
-    for size, p in ((WORDS, word_pairs), (GRAMS, gram_pairs)):
-        bad = toxic[p // size]
-        yes, no = np.bincount(p[bad] % size, minlength=size), np.bincount(p[~bad] % size, minlength=size)
+    for yes, no in kinds:
         raw = np.log((yes + 0.5) / (toxic.sum() + 1)) - np.log((no + 0.5) / ((~toxic).sum() + 1))
         sure = np.abs(raw) - 2 * np.sqrt(1 / (yes + 0.5) + 1 / (no + 0.5))  # what is left two standard errors nearer to 0
         out.append((np.sign(raw) * np.clip(sure, 0, 4)).astype(np.float32))
