@@ -29,6 +29,7 @@ CLASSES, OWN_CLASS = 64, 32
 CONTEXTS, OWN_CONTEXT = 1024, 768
 HIDDEN, SIDES = 16, (-2, -1, 1, 2)
 BATCH = 4096
+PORTION = 2 << 20  # bytes of text whose windows are laid out at once
 START_DOCS = 200  # texts the common start is trained on; all others follow in the distributed pass
 SLICES, FAN = 16, 256
 HASH = TextHash(31)
@@ -57,6 +58,18 @@ def tokenize(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return (np.concatenate(ids) if ids else np.zeros(0, np.int64)), sizes
 
 
+def portions(texts: list[bytes]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Buckets and sizes of texts, some hundred texts or one long one at a time: window arrays take many times the text."""
+    lo = 0
+    while lo < len(texts):
+        hi, size = lo, 0
+        while hi < len(texts) and (hi == lo or size + len(texts[hi]) < PORTION):
+            size += len(texts[hi])
+            hi += 1
+        yield tokenize(texts[lo:hi])
+        lo = hi
+
+
 class Lexicon:
     """Classes, shares and context numbers of buckets, from corpus counts."""
 
@@ -203,12 +216,11 @@ def fit(docs: DataFrame, seed: int = 1, rate: float = 0.1) -> tuple[Lexicon, Net
         lexicon, flat, memory = shared.value
         mine, memory, seen = Net(flat.copy()), memory.copy(), 0
         for batch in batches:
-            texts = column_bytes(batch.column(0))
-            ids, sizes = tokenize(texts)
-            around, klass = windows(ids, sizes, lexicon.context), lexicon.klass[ids]
-            mix = np.random.default_rng(zlib.crc32(ids.tobytes())).permutation(len(ids))  # words of one text do not come in a row
-            mine.learn(around[:, mix], klass[mix], rate, memory)
-            seen += len(ids)
+            for ids, sizes in portions(column_bytes(batch.column(0))):
+                around, klass = windows(ids, sizes, lexicon.context), lexicon.klass[ids]
+                mix = np.random.default_rng(zlib.crc32(ids.tobytes())).permutation(len(ids))  # words of one text do not come in a row
+                mine.learn(around[:, mix], klass[mix], rate, memory)
+                seen += len(ids)
         yield _message(mine.flat.astype(np.float64) * seen, float(seen), TaskContext.get().partitionId())
 
     total, seen = _sum(texts.mapInArrow(copies, MESSAGE))
@@ -221,16 +233,20 @@ def score(docs: DataFrame, model: tuple[Lexicon, Net] | None) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids, sizes = tokenize(column_bytes(batch.column(1)))
-            ends = np.cumsum(sizes)
-            total, single = np.zeros(len(sizes)), np.zeros(len(sizes))
-            if shared.value is not None and len(ids):
-                lexicon, flat = shared.value
-                for out, logp in ((total, Net(flat).log_probability(ids, sizes, lexicon)), (single, lexicon.log_prior[lexicon.klass[ids]] + lexicon.log_share[ids])):
-                    run_ = np.r_[0.0, np.cumsum(logp, dtype=np.float64)]
-                    out[:] = run_[ends] - run_[ends - sizes]
-            mean = pa.array([t / n if n else None for t, n in zip(total.tolist(), sizes.tolist(), strict=True)], pa.float64())
-            yield pa.record_batch([batch.column(0), pa.array(sizes), pa.array(total), mean, pa.array(single)], names=["doc_id", "n_tokens", "log_probability", "mean_log_probability", "unigram_log_probability"])
+            n, total, single = [], [], []
+            for ids, sizes in portions(column_bytes(batch.column(1))):
+                ends = np.cumsum(sizes)
+                sums = [np.zeros(len(sizes)), np.zeros(len(sizes))]
+                if shared.value is not None and len(ids):
+                    lexicon, flat = shared.value
+                    for out, logp in zip(sums, (Net(flat).log_probability(ids, sizes, lexicon), lexicon.log_prior[lexicon.klass[ids]] + lexicon.log_share[ids]), strict=True):
+                        upto = np.r_[0.0, np.cumsum(logp, dtype=np.float64)]
+                        out[:] = upto[ends] - upto[ends - sizes]
+                n += sizes.tolist()
+                total += sums[0].tolist()
+                single += sums[1].tolist()
+            mean = pa.array([t / c if c else None for t, c in zip(total, n, strict=True)], pa.float64())
+            yield pa.record_batch([batch.column(0), pa.array(n, pa.int64()), pa.array(total, pa.float64()), mean, pa.array(single, pa.float64())], names=["doc_id", "n_tokens", "log_probability", "mean_log_probability", "unigram_log_probability"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, n_tokens long, log_probability double, mean_log_probability double, unigram_log_probability double")
 
