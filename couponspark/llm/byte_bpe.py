@@ -24,7 +24,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import column_bytes
+from .common import claim, column_bytes
 
 CACHE = 400_000
 LONG = 64
@@ -249,6 +249,7 @@ def encode_documents(docs: DataFrame, tokenizer: str, pattern: str, with_ids: bo
     """doc_id, n_tokens, ids_sha256, decoded_sha256, round_trip (and the ids, ``with_ids``)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("bytes", byte_bpe.cache_clear)
         bpe = byte_bpe(tokenizer, pattern)
         for batch in batches:
             rows = []
@@ -272,6 +273,7 @@ def decode_documents(encoded: DataFrame, tokenizer: str, pattern: str) -> DataFr
     """doc_id, text of rows with doc_id and ids (array of int); bytes that are no UTF-8 become replacement characters."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("bytes", byte_bpe.cache_clear)
         bpe = byte_bpe(tokenizer, pattern)
         for batch in batches:
             texts = [bpe.decode(np.array(x or [], "<u4").tobytes()).decode("utf-8", "replace") for x in batch.column(1).to_pylist()]

@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import itertools
 import tempfile
 import uuid
+from collections.abc import Callable
 from functools import lru_cache
 
 import numpy as np
@@ -38,6 +42,31 @@ def stage(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+_HELD: dict[str, Callable[[], None]] = {}
+
+
+@lru_cache(maxsize=1)
+def _libc() -> ctypes.CDLL | None:
+    """The C library, told to give arrays of some megabytes back as soon as they are freed (fixed value: M_MMAP_THRESHOLD = -3)."""
+    with contextlib.suppress(OSError, AttributeError):
+        libc = ctypes.CDLL(None)
+        libc.mallopt(-3, 4 << 20)
+        return libc
+    return None
+
+
+def claim(operator: str, drop: Callable[[], None] = lambda: None) -> None:
+    """Say at a task's start which operator uses this Python worker. What another one has kept in it (memos, vocabularies) is
+    dropped, and freed memory goes back to the system, so that a chain of operators needs no more than the largest of them."""
+    for other in [k for k in _HELD if k != operator]:
+        _HELD.pop(other)()
+        gc.collect()
+    _HELD[operator] = drop
+    pa.default_memory_pool().release_unused()
+    if _libc() is not None:
+        _libc().malloc_trim(0)
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 

@@ -21,7 +21,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import column_bytes
+from .common import claim, column_bytes
 from .word_bpe import word_bpe
 
 Piece = tuple  # doc_id, start, ids (bytes), tokens of the document
@@ -151,6 +151,7 @@ def pack_documents(docs: DataFrame, tokenizer: str, capacity: int = 4096, end_id
     end = end_id.to_bytes(4, "little")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("words", word_bpe.cache_clear)
         bpe, packer = word_bpe(tokenizer), Packer(capacity, TaskContext.get().partitionId() << 40)
         for batch in batches:
             for doc, text in zip(batch.column(0).to_pylist(), column_bytes(batch.column(1)), strict=True):

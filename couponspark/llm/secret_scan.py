@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import stage
+from .common import claim, stage
 
 SALTS = 16
 #: Fixed patterns of the base kinds, with the group that holds the value and its least length.
@@ -70,6 +70,7 @@ CAND_TYPE = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("
 
 
 def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    claim("secrets")
     base_kinds = [k for k, *_ in BASE]
     for batch in batches:
         counts: list[list[int]] = [[] for _ in BASE]
@@ -129,6 +130,7 @@ def remove_live(docs: DataFrame, max_owners: int = 4, mark: str = "[removed]") -
     schema = docs.schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("secrets")
         for batch in batches:
             texts, found = batch.column("text").to_pylist(), batch.column("__spans").to_pylist()
             clean = [t if t is None or not s else redact(t, [tuple(x) for x in s], mark) for t, s in zip(texts, found, strict=True)]

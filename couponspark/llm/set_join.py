@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import TextHash, column_bytes, stage
+from .common import TextHash, claim, column_bytes, stage
 from .components import Forest, components
 
 WIDTH = 64
@@ -73,6 +73,7 @@ def signature(s: np.ndarray) -> np.ndarray:
 
 def _sketch(words: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("sets")
         for batch in batches:
             n, k1, k2, sig = [], [], [], []
             for text in column_bytes(batch.column(1)):
@@ -231,6 +232,7 @@ def _exact_pivots(percent: int):
 
 def _to_sets(words: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("sets")
         for batch in batches:
             keep, raw = [], []
             for i, (k1, k2, text) in enumerate(zip(batch.column("k1").to_pylist(), batch.column("k2").to_pylist(), column_bytes(batch.column("text")), strict=True)):

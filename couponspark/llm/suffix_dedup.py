@@ -34,7 +34,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 
-from .common import TextHash, column_bytes, pack_arrays, total_bytes, unpack_arrays
+from .common import TextHash, claim, column_bytes, pack_arrays, total_bytes, unpack_arrays
 
 GRAM = 24
 CHUNK = 1 << 17
@@ -119,6 +119,7 @@ class Block:
     """The documents of one block and what came back for it."""
 
     def __init__(self, table: pa.Table, messages: pa.Table | None, min_len: int) -> None:
+        claim("suffixes")
         self.min_len = min_len
         self.block = table.column(KEY)[0].as_py() if table.num_rows else -1
         self.ids = table.column("doc_id").to_pylist()
@@ -128,7 +129,7 @@ class Block:
         if messages is not None:
             for kind, payload in zip(messages.column("kind").to_pylist(), messages.column("payload").to_pylist(), strict=True):
                 if kind == COPIES:
-                    self.copies.update(unpack_arrays(payload)[0].tolist())
+                    self.copies.update(map(int, payload.split(b",")))
 
     def of_kind(self, kind: int) -> Iterator[tuple[int, bytes]]:
         m = self.messages
@@ -493,12 +494,11 @@ def suffix_dedup(docs: DataFrame, min_len: int = 50, mode: str = "digest", block
     placed = docs.select(*(F.col(f"`{c}`") for c in names)).withColumn(KEY, F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).cast("int"))
     digests = docs.where("doc_id is not null").select("doc_id", F.sha2(F.col("text").cast("binary"), 256).alias("d")).where("d is not null")
     firsts = digests.groupBy("d").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("last > first").select("d", "first")
-    pack = F.udf(lambda ids: pack_arrays(np.array(sorted(set(ids)), np.int64)), "binary")
     # a text with very many copies is dealt over SALTS keys
     salted = digests.withColumn("salt", F.pmod(F.hash("doc_id"), F.lit(SALTS)))
     spread = firsts.withColumn("salt", F.explode(F.array(*map(F.lit, range(SALTS)))))
     copies = salted.join(spread, ["d", "salt"]).where("doc_id > first").withColumn("block", F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).cast("int"))
-    copies = copies.groupBy("block").agg(F.collect_list("doc_id").alias("ids")).select("block", F.lit(COPIES).alias("kind"), F.lit(0).alias("bucket"), pack("ids").alias("payload"))
+    copies = copies.groupBy("block").agg(F.collect_set(F.col("doc_id").cast("string")).alias("ids")).select("block", F.lit(COPIES).alias("kind"), F.lit(0).alias("bucket"), F.concat_ws(",", "ids").cast("binary").alias("payload"))
 
     def with_docs(messages: DataFrame, run, schema) -> DataFrame:
         return placed.groupBy(KEY).cogroup(messages.groupBy("block")).applyInArrow(run, schema)

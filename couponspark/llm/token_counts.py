@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import column_bytes
+from .common import claim, column_bytes
 from .word_bpe import WordBpe, word_bpe
 
 
@@ -117,6 +117,7 @@ def token_counts(docs: DataFrame, tokenizer: str, limit: int = 2048) -> DataFram
     """doc_id, n_bytes, n_tokens, over_limit, n_pieces, cut_chars (how much of the text fits ``limit`` tokens)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("words", word_bpe.cache_clear)
         bpe = word_bpe(tokenizer)
         for batch in batches:
             raw = column_bytes(batch.column(1))

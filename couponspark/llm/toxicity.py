@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import TextHash, column_bytes
+from .common import TextHash, claim, column_bytes
 
 SAMPLE = 1200  # labelled texts of each class that the fit reads at most
 WINDOW, STRIDE = 32, 24
@@ -328,6 +328,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Network:
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(picked), "doc_id")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("toxicity")
         found = [(d, t, x) for b in batches for d, x, t in zip(b.column(0).to_pylist(), column_bytes(b.column(1)), b.column(2).to_pylist(), strict=True)]
         found.sort()
         net = train([x for _, _, x in found], np.array([t == 1 for _, t, _ in found], bool))
@@ -343,6 +344,7 @@ def score(docs: DataFrame, net: Network) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast(net)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("toxicity")
         for batch in batches:
             yield pa.record_batch([batch.column(0), pa.array(shared.value.scores(column_bytes(batch.column(1))), pa.float64())], names=["doc_id", "score"])
 
@@ -360,6 +362,7 @@ def keep_clean(docs: DataFrame, net: Network, threshold: float = 0.3) -> DataFra
     shared, schema = docs.sparkSession.sparkContext.broadcast(net), docs.schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("toxicity")
         for batch in batches:
             at = batch.schema.get_field_index("text")
             yield batch.filter(pa.array(shared.value.scores(column_bytes(batch.column(at))) < threshold, pa.bool_()))

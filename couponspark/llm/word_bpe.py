@@ -12,7 +12,7 @@ from __future__ import annotations
 
 import json
 import unicodedata
-from functools import lru_cache
+from functools import cached_property, lru_cache
 
 import numpy as np
 import regex
@@ -66,7 +66,7 @@ class WordBpe:
         model = spec["model"]
         self.suffix = model["end_of_word_suffix"]
         self.vocab: dict[str, int] = model["vocab"]
-        self.library = Tokenizer.from_file(path)
+        self.path = path
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.special_pattern = regex.compile("|".join(regex.escape(x) for x in sorted(self.special, key=len, reverse=True))) if self.special else None
         split = spec["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"]
@@ -106,6 +106,11 @@ class WordBpe:
         self.run_ids = _Cache(self._run_ids)
         self.run_counts = _Cache(self._run_counts)
 
+    @cached_property
+    def library(self) -> Tokenizer:
+        """The library's own steps, for texts whose characters are not settled; loaded when the first of them comes."""
+        return Tokenizer.from_file(self.path)
+
     # ---- compatibility
 
     def _edge(self, token: int, right: bool) -> list[tuple[int, int]]:
