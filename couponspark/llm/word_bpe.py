@@ -101,7 +101,7 @@ class WordBpe:
         self._fits: dict[tuple[int, int], bool] = {}
         self._whole: dict[int, bool] = {}
         self._piece, self.four = None, []
-        self.counts = _Cache(lambda w: self.solve(w, prefixes=False)[0][-1], 4)
+        self.counts = _Cache(self._count, 4)
         # for whole runs between white space, which most texts repeat: one look-up a run
         self.run_ids = _Cache(self._run_ids)
         self.run_counts = _Cache(self._run_counts)
@@ -200,6 +200,51 @@ class WordBpe:
             end_at = back[end_at]
         return counts, ids[::-1]
 
+    def _count(self, word: str) -> int:
+        """Tokens of a word: the same program from its end, which asks only for the prefixes that some token leaves."""
+        raw = word.encode()
+        n = len(raw)
+        if n > LONG:
+            return self.solve(word, prefixes=False)[0][-1]
+        inner, whole, memo, fits, reach = self.inner, self.whole, self._fits, self.fits, self.back_inner
+        last, size = [-1] * n, [0] * n
+
+        def prefix(i: int) -> int:
+            for j in range(max(0, i - reach.get(raw[i - 2 : i] if i > 1 else raw[:1], 1)), i):
+                t = inner.get(raw[j:i])
+                if t is None:
+                    continue
+                if not j:
+                    ok = whole(t)
+                else:
+                    a = last[j]
+                    if a < 0:
+                        a = prefix(j)
+                    ok = memo.get(key := (a, t))
+                    if ok is None:
+                        ok = fits(a, t)
+                if ok:
+                    last[i], size[i] = t, size[j] + 1
+                    return t
+            raise ValueError("the vocabulary lacks a byte")
+
+        final = self.final
+        for j in range(max(0, n - self.back_final.get(raw[n - 2 :], 1)), n):
+            t = final.get(raw[j:])
+            if t is None:
+                continue
+            if not j:
+                if whole(t):
+                    return 1
+            else:
+                a = last[j] if last[j] >= 0 else prefix(j)
+                ok = memo.get(key := (a, t))
+                if ok is None:
+                    ok = fits(a, t)
+                if ok:
+                    return size[j] + 1
+        raise ValueError("the vocabulary lacks a final byte")
+
     def _merger(self):
         """The same merges for tiktoken: a byte that no UTF-8 text holds ends the word, and joins the last byte first.
 
