@@ -1,35 +1,41 @@
 """Pseudo-likelihood of texts under a bidirectional window network.
 
 Every word is predicted from two words on each side: the contexts' vectors add up to a hidden layer, whose output is a
-distribution over classes of words; a class gives each of its words (hashed to ``BUCKETS``) its share by corpus counts. The sum
-of the conditional log probabilities of all words scores a text.
+distribution over classes of words; a class gives each of its words its share by corpus counts. The sum of the conditional log
+probabilities of all words scores a text.
 
-What the model knows comes from the whole corpus. One pass counts all words. The network starts from a few texts, then every
+What the model knows comes from the whole corpus. The exact count of each word is a row of a distributed table that grows with
+the corpus, in parts by hash; a block of documents asks it for the words that it holds. Only the network's inputs are hashed: beyond the
+``OWN_CONTEXT`` most frequent words, words beside the one predicted share slots. The network starts from a few texts, then every
 partition trains its own copy on all its texts, and the copies are averaged by their words, in two levels. A last pass scores.
 
-Edge cases: null or blank text has no words, sum 0 and no mean; a corpus without words gives each text 0; extra columns are
-ignored; repeated rows repeat; an empty table gives an empty one.
+Edge cases: null or blank text has no words, sum 0 and no mean; a corpus without words gives each text 0; a word that the corpus
+does not hold counts half; extra columns are ignored; repeated rows repeat; an empty table gives an empty one.
 """
 
 from __future__ import annotations
 
 import zlib
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import TextHash, column_bytes, pack_arrays, unpack_arrays
+from .common import TextHash, claim, column_bytes, pack_arrays, stage, total_bytes, unpack_arrays
 
-BUCKETS = 1 << 16
+BUCKETS = 1 << 16  # of the network's inputs only
 CLASSES, OWN_CLASS = 64, 32
 CONTEXTS, OWN_CONTEXT = 1024, 768
 HIDDEN, SIDES = 16, (-2, -1, 1, 2)
 BATCH = 4096
-PORTION = 2 << 20  # bytes of text whose windows are laid out at once
+PORTION = 1 << 18  # words whose windows are laid out at once
+BLOCK = 4 << 20  # bytes of text that ask for their words together
+SHARE = 16 << 20  # bytes of text for each part of the word table
 START_DOCS = 200  # texts the common start is trained on; all others follow in the distributed pass
 SLICES, FAN = 16, 256
 HASH = TextHash(31)
@@ -37,55 +43,79 @@ _SPACE = np.zeros(256, bool)
 _SPACE[[9, 10, 11, 12, 13, 32]] = True
 
 
-def tokenize(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """Bucket of each word of all texts, and how many words each text has."""
-    ids, sizes, lo = [], np.zeros(len(texts), np.int64), 0
-    while lo < len(texts):
-        hi, size = lo, 0
-        while hi < len(texts) and (hi == lo or size + len(texts[hi]) < 1 << 18):
-            size += len(texts[hi]) + 1
-            hi += 1
-        buf = np.frombuffer(b" ".join(texts[lo:hi]) + b" ", np.uint8)
-        gap = _SPACE[buf]
-        word = ~gap
-        start = np.flatnonzero(word & np.r_[True, gap[:-1]])
-        end = np.flatnonzero(gap & np.r_[False, word[:-1]])
-        edges = np.cumsum([len(t) + 1 for t in texts[lo:hi]])
-        sizes[lo:hi] = np.diff(np.r_[0, np.searchsorted(start, edges)])
-        if len(start):
-            ids.append((HASH.spans(HASH.prefixes(buf), start, end) % np.uint64(BUCKETS)).astype(np.int64))
-        lo = hi
-    return (np.concatenate(ids) if ids else np.zeros(0, np.int64)), sizes
-
-
-def portions(texts: list[bytes]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Buckets and sizes of texts, some hundred texts or one long one at a time: window arrays take many times the text."""
-    lo = 0
-    while lo < len(texts):
-        hi, size = lo, 0
-        while hi < len(texts) and (hi == lo or size + len(texts[hi]) < PORTION):
-            size += len(texts[hi])
-            hi += 1
-        yield tokenize(texts[lo:hi])
+def split(texts: list[bytes]) -> tuple[pa.Array, np.ndarray, np.ndarray]:
+    """The distinct words of all texts, the number among them of each word, and how many words each text has."""
+    buf = np.frombuffer(b" ".join(texts) + b" ", np.uint8)
+    gap = _SPACE[buf]
+    word = ~gap
+    start = np.flatnonzero(word & np.r_[True, gap[:-1]])
+    end = np.flatnonzero(gap & np.r_[False, word[:-1]])
+    sizes = np.diff(np.r_[0, np.searchsorted(start, np.cumsum([len(t) + 1 for t in texts]))]) if texts else np.zeros(0, np.int64)
+    offsets = np.r_[0, np.cumsum(end - start)].astype(np.int64)
+    all_words = pa.Array.from_buffers(pa.large_binary(), len(start), [None, pa.py_buffer(offsets), pa.py_buffer(buf[word])])
+    coded = all_words.dictionary_encode()
+    return coded.dictionary, coded.indices.to_numpy().astype(np.int64), sizes.astype(np.int64)
+
+
+def spans(words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Bytes of all words, and where each ends."""
+    at = np.frombuffer(words.buffers()[1], np.int64)[words.offset : words.offset + len(words) + 1] if len(words) else np.zeros(1, np.int64)
+    return (np.frombuffer(words.buffers()[2], np.uint8)[at[0] : at[-1]] if at[-1] > at[0] else np.zeros(0, np.uint8)), at[1:] - at[0]
+
+
+def hashes(words: pa.Array) -> np.ndarray:
+    buf, ends = spans(words)
+    out, lo = [np.zeros(0, np.uint64)], 0
+    while lo < len(ends):
+        first = int(ends[lo - 1]) if lo else 0
+        hi = max(lo + 1, int(np.searchsorted(ends, first + (1 << 18), "right")))
+        near = np.r_[first, ends[lo:hi]] - first
+        out.append(HASH.spans(HASH.prefixes(buf[first : int(ends[hi - 1])]), near[:-1], near[1:]))
         lo = hi
+    return np.concatenate(out)
+
+
+def tokenize(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """Input bucket of each word of all texts, and how many words each text has."""
+    words, ids, sizes = split(texts)
+    return (hashes(words) % np.uint64(BUCKETS)).astype(np.int64)[ids], sizes
 
 
+@dataclass
 class Lexicon:
-    """Classes, shares and context numbers of buckets, from corpus counts."""
-
-    def __init__(self, counts: np.ndarray) -> None:
-        order = np.argsort(-counts, kind="stable")
-        self.klass = np.empty(BUCKETS, np.int64)
-        self.klass[order[:OWN_CLASS]] = np.arange(OWN_CLASS)
-        rest = order[OWN_CLASS:]
-        mass = np.cumsum(counts[rest] + 0.5)
-        self.klass[rest] = OWN_CLASS + np.minimum((mass / mass[-1] * (CLASSES - OWN_CLASS)).astype(np.int64), CLASSES - OWN_CLASS - 1)
-        weight = counts + 0.5
-        total = np.bincount(self.klass, weight, CLASSES)
-        self.log_share = np.log(weight / total[self.klass]).astype(np.float32)
-        self.log_prior = np.log(total / total.sum()).astype(np.float32)
-        self.context = OWN_CONTEXT + np.arange(BUCKETS) % (CONTEXTS - OWN_CONTEXT)
-        self.context[order[:OWN_CONTEXT]] = np.arange(OWN_CONTEXT)
+    """Classes, shares and context numbers of words, from their exact counts. Nothing here grows with the corpus but ``level``
+    and ``above``, which have an entry for each count that some word has."""
+
+    top: list[bytes]  # the most frequent words
+    level: np.ndarray  # counts that words outside the first OWN_CLASS have, falling
+    above: np.ndarray  # words in the text that belong to larger counts than the level, and to all at the end
+    total: np.ndarray | None = None  # of each class
+
+    def klass(self, words: pa.Array, counts: np.ndarray) -> np.ndarray:
+        """Of distinct words: the most frequent have their own; all others lie in bands of about equal mass by falling count, equal counts by hash."""
+        rank = self.rank(words)
+        part = (hashes(words) >> np.uint64(40)).astype(np.float64) / (1 << 24)
+        at = np.searchsorted(-self.level, -counts)
+        lo, hi = self.above[np.minimum(at, len(self.level))], self.above[np.minimum(at + 1, len(self.level))]
+        band = ((lo + part * (hi - lo)) / max(self.above[-1], 1) * (CLASSES - OWN_CLASS)).astype(np.int64)
+        return np.where(rank < OWN_CLASS, rank, OWN_CLASS + np.minimum(band, CLASSES - OWN_CLASS - 1))
+
+    def rank(self, words: pa.Array) -> np.ndarray:
+        found = pc.index_in(words, value_set=pa.array(self.top, pa.large_binary()))
+        return pc.fill_null(found, len(self.top) + BUCKETS).to_numpy(zero_copy_only=False).astype(np.int64)
+
+    def log_share(self, klass: np.ndarray, counts: np.ndarray) -> np.ndarray:
+        return np.log(np.maximum(counts, 0.5) / np.maximum(self.total[klass], 0.5)).astype(np.float32)
+
+    @property
+    def log_prior(self) -> np.ndarray:
+        weight = np.maximum(self.total, 0.5)
+        return np.log(weight / weight.sum()).astype(np.float32)
+
+    def context(self, words: pa.Array) -> np.ndarray:
+        rank = self.rank(words)
+        slot = (hashes(words) % np.uint64(BUCKETS)).astype(np.int64) % (CONTEXTS - OWN_CONTEXT)
+        return np.where(rank < OWN_CONTEXT, rank, OWN_CONTEXT + slot)
 
 
 def windows(ids: np.ndarray, sizes: np.ndarray, context: np.ndarray) -> np.ndarray:
@@ -146,14 +176,14 @@ class Net:
             memory += g * g
             self.flat -= rate * g / (np.sqrt(memory) + 1e-6)
 
-    def log_probability(self, ids: np.ndarray, sizes: np.ndarray, lexicon: Lexicon) -> np.ndarray:
+    def log_probability(self, context: np.ndarray, sizes: np.ndarray, klass: np.ndarray, log_share: np.ndarray) -> np.ndarray:
         """Of each word given both its sides."""
-        around, klass = windows(ids, sizes, lexicon.context), lexicon.klass[ids]
-        out = np.empty(len(ids), np.float32)
-        for lo in range(0, len(ids), BATCH):
+        around = windows(context, sizes, np.arange(CONTEXTS))
+        out = np.empty(len(klass), np.float32)
+        for lo in range(0, len(klass), BATCH):
             _, logp = self.forward(around[:, lo : lo + BATCH])
             out[lo : lo + BATCH] = logp[np.arange(len(logp)), klass[lo : lo + BATCH]]
-        return out + lexicon.log_share[ids]
+        return out + log_share
 
 
 # ---- the corpus -----------------------------------------------------------------------------------------------------------
@@ -185,73 +215,277 @@ def _sum(messages: DataFrame) -> tuple[np.ndarray, float]:
     return np.concatenate([parts[i][0] for i in range(SLICES)]), float(parts[0][1][0])
 
 
-def _counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    counts = np.zeros(BUCKETS)
+PACKED = "block long, docs binary, words binary"
+
+
+def pack_words(words: pa.Array, *more: np.ndarray) -> bytes:
+    buf, ends = spans(words)
+    return pack_arrays(buf, np.diff(ends, prepend=0).astype(np.int32), *more)
+
+
+def unpack_words(message: bytes) -> list:
+    """The words as an Arrow array, then the arrays that lie with them."""
+    raw, sizes, *more = unpack_arrays(message)
+    return [pa.Array.from_buffers(pa.large_binary(), len(sizes), [None, pa.py_buffer(np.r_[0, np.cumsum(sizes, dtype=np.int64)]), pa.py_buffer(raw)]), *more]
+
+
+def pack_texts(docs: DataFrame, parts: int) -> DataFrame:
+    """A row for every block: its documents as numbers of words, and its distinct words with counts, ordered by their part of the word table."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("lm")
+        block, size = TaskContext.get().partitionId() << 32, 0
+        ids, keys, texts = [], [], []
+
+        def flush() -> pa.RecordBatch:
+            words, at, sizes = split(texts)
+            part = (hashes(words) >> np.uint64(16)) % np.uint64(parts)
+            order = np.argsort(part, kind="stable")
+            place = np.empty(len(words), np.int32)
+            place[order] = np.arange(len(words), dtype=np.int32)
+            n = np.bincount(at, minlength=len(words))[order]
+            body = pack_arrays(np.array([i or 0 for i in ids], np.int64), np.array([i is None for i in ids], np.int8), np.array(keys, np.int64), sizes, place[at])
+            held = pack_words(words.take(pa.array(order)), n, np.bincount(part.astype(np.int64), minlength=parts))
+            return pa.record_batch([pa.array([block], pa.int64()), pa.array([body], pa.binary()), pa.array([held], pa.binary())], names=["block", "docs", "words"])
+
+        for batch in batches:
+            for i, key, text in zip(batch.column(0).to_pylist(), batch.column(2).to_pylist(), column_bytes(batch.column(1)), strict=True):
+                if texts and size + len(text) > BLOCK:
+                    yield flush()
+                    block, size, ids, keys, texts = block + 1, 0, [], [], []
+                ids.append(i)
+                keys.append(key)
+                texts.append(text)
+                size += len(text)
+        if texts:
+            yield flush()
+
+    number = F.col("doc_id").cast("long") if "doc_id" in docs.columns else F.lit(None).cast("long")
+    return stage(docs.select(number.alias("doc_id"), F.col("text").cast("string").alias("text"), F.xxhash64("text").alias("key")).mapInArrow(run, PACKED), "lm-texts")
+
+
+def _ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(part, block, words) of every block."""
     for batch in batches:
-        ids, _ = tokenize(column_bytes(batch.column(0)))
-        counts += np.bincount(ids, minlength=BUCKETS)
-    yield _message(counts, float(counts.sum()), TaskContext.get().partitionId())
+        for block, message in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            words, n, sizes = unpack_words(message)
+            ends = np.cumsum(sizes)
+            sent = [(p, pack_words(words.slice(hi - m, m), n[hi - m : hi])) for p, (m, hi) in enumerate(zip(sizes.tolist(), ends.tolist(), strict=True)) if m]
+            yield pa.record_batch([pa.array([p for p, _ in sent], pa.int32()), pa.array([block] * len(sent), pa.int64()), pa.array([x for _, x in sent], pa.binary())], names=["part", "block", "words"])
 
 
-def fit(docs: DataFrame, seed: int = 1, rate: float = 0.1) -> tuple[Lexicon, Net] | None:
-    """The model of a corpus (a column ``text``); None if it has no word."""
-    spark, texts = docs.sparkSession, docs.select("text")
-    counts, words = _sum(texts.mapInArrow(_counts, MESSAGE))
-    if not words:
+def asked(packed: DataFrame) -> DataFrame:
+    return packed.select("block", "words").mapInArrow(_ask, "part int, block long, words binary")
+
+
+def _merge(table: pa.Table) -> pa.Table:
+    claim("lm")
+    sent = [unpack_words(x) for x in table.column("words").to_pylist()]
+    coded = pa.chunked_array([w for w, _ in sent]).combine_chunks().dictionary_encode()
+    n = np.bincount(coded.indices.to_numpy(), np.concatenate([n for _, n in sent])).astype(np.int64)
+    return pa.table([pa.array([table.column("part")[0].as_py()], pa.int32()), pa.array([pack_words(coded.dictionary, n)], pa.binary())], names=["part", "held"])
+
+
+def merge_words(packed: DataFrame) -> DataFrame:
+    """(part, held): all words of a part of the word table with their exact counts."""
+    return stage(asked(packed).groupBy("part").applyInArrow(_merge, "part int, held binary"), "lm-words")
+
+
+def _rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for message in batch.column(0).to_pylist():
+            words, n = unpack_words(message)
+            for lo in range(0, len(words), 1 << 16):
+                yield pa.record_batch([words.slice(lo, 1 << 16).cast(pa.binary()), pa.array(n[lo : lo + (1 << 16)])], names=["word", "n"])
+
+
+def word_counts(held: DataFrame) -> DataFrame:
+    """(word, n): a row for every word of the corpus."""
+    return held.select("held").mapInArrow(_rows, "word binary, n long")
+
+
+def lexicon_of(counts: DataFrame) -> Lexicon | None:
+    spark = counts.sparkSession
+    first = counts.orderBy(F.desc("n"), "word").limit(OWN_CONTEXT).collect()
+    if not first:
         return None
-    lexicon = Lexicon(counts)
+    levels = {r["n"]: r["m"] * r["n"] for r in counts.groupBy("n").agg(F.count("*").alias("m")).collect()}
+    for r in first[:OWN_CLASS]:
+        levels[r["n"]] -= r["n"]
+    level = np.array(sorted((n for n, m in levels.items() if m), reverse=True), np.int64)
+    lexicon = Lexicon([bytes(r["word"]) for r in first], level, np.r_[0, np.cumsum([levels[n] for n in level.tolist()])].astype(np.float64))
+    shared = spark.sparkContext.broadcast(lexicon)
+
+    def totals(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(CLASSES)
+        for batch in batches:
+            n = batch.column(1).to_numpy()
+            total += np.bincount(shared.value.klass(batch.column(0).cast(pa.large_binary()), n), n, CLASSES)
+        yield pa.record_batch([pa.array(range(CLASSES), pa.int32()), pa.array(total)], names=["class", "n"])
+
+    sums = {r["class"]: r["n"] for r in counts.mapInArrow(totals, "class int, n double").groupBy("class").agg(F.sum("n").alias("n")).collect()}
+    lexicon.total = np.array([sums[c] for c in range(CLASSES)])
+    return lexicon
+
+
+ANSWER = pa.schema([("block", pa.int64()), ("part", pa.int32()), ("codes", pa.binary())])
+CODED = "docs binary, codes binary"
+
+
+def encode(packed: DataFrame, held: DataFrame, lexicon: Lexicon) -> DataFrame:
+    """Blocks with context number, class and log share of each of their words, which the word table sends them."""
+    shared = packed.sparkSession.sparkContext.broadcast(lexicon)
+
+    def answer(asks: pa.Table, table: pa.Table) -> pa.Table:
+        claim("lm")
+        if not asks.num_rows:
+            return ANSWER.empty_table()
+        code = lambda words, n: (shared.value.context(words).astype(np.int16), k := shared.value.klass(words, n), shared.value.log_share(k, n))
+        sent = [unpack_words(x)[0] for x in asks.column("words").to_pylist()]
+        words = pa.concat_arrays(sent)
+        known, n = unpack_words(table.column("held")[0].as_py()) if table.num_rows else (words.slice(0, 0), np.zeros(0, np.int64))
+        at = pc.index_in(words, value_set=known)
+        new = np.flatnonzero(at.is_null().to_numpy(zero_copy_only=False))
+        at = pc.fill_null(at, 0).to_numpy().astype(np.int64)
+        at[new] = len(known) + np.arange(len(new))
+        codes = [np.r_[a, b][at] for a, b in zip(code(known, n), code(words.take(pa.array(new)), np.zeros(len(new), np.int64)), strict=True)]
+        ends = np.cumsum([len(w) for w in sent])
+        out = [pack_arrays(codes[0][hi - len(w) : hi], codes[1][hi - len(w) : hi].astype(np.int16), codes[2][hi - len(w) : hi]) for w, hi in zip(sent, ends.tolist(), strict=True)]
+        return pa.table([asks.column("block"), asks.column("part"), pa.array(out, pa.binary())], schema=ANSWER)
+
+    def join(docs: pa.Table, codes: pa.Table) -> pa.Table:
+        claim("lm")
+        parts = [unpack_arrays(x) for _, x in sorted(zip(codes.column("part").to_pylist(), codes.column("codes").to_pylist(), strict=True))]
+        kinds = (np.int16, np.int16, np.float32)
+        whole = pack_arrays(*(np.concatenate([np.zeros(0, kind), *(p[i] for p in parts)]) for i, kind in enumerate(kinds)))
+        return pa.table([docs.column("docs").cast(pa.binary()), pa.array([whole], pa.binary())], names=["docs", "codes"])
+
+    answers = asked(packed).groupBy("part").cogroup(held.groupBy("part")).applyInArrow(answer, "block long, part int, codes binary")
+    return stage(packed.select("block", "docs").groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(join, CODED), "lm-coded")
+
+
+def portions(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, ...]]:
+    """Ids, whether they are null, keys, sizes, contexts, classes and log shares of some hundred texts or one long one at a time: window arrays take many times the text."""
+    claim("lm")
+    for batch in batches:
+        for row in range(batch.num_rows):
+            ids, null, keys, sizes, place = unpack_arrays(batch.column(0)[row].as_py())
+            context, klass, share = unpack_arrays(batch.column(1)[row].as_py())
+            ends, lo = np.r_[0, np.cumsum(sizes)], 0
+            while lo < len(sizes):
+                hi = max(lo + 1, int(np.searchsorted(ends, ends[lo] + PORTION, "right")) - 1)
+                at = place[ends[lo] : ends[hi]]
+                yield ids[lo:hi], null[lo:hi], keys[lo:hi], sizes[lo:hi], context[at].astype(np.int64), klass[at].astype(np.int64), share[at]
+                lo = hi
+
+
+@dataclass
+class Model:
+    held: DataFrame  # the word table
+    parts: int
+    lexicon: Lexicon
+    flat: np.ndarray
+
+
+def train(coded: DataFrame, lexicon: Lexicon, seed: int = 1, rate: float = 0.1) -> np.ndarray:
+    """Weights of the network, from all documents."""
+    spark = coded.sparkSession
     net = Net.start(lexicon, seed)
+
+    def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for _, _, keys, sizes, *_ in portions(batches):
+            yield pa.record_batch([pa.array(np.unique(keys[sizes > 0])[:START_DOCS], pa.int64())], names=["key"])
+
     # the smallest hashes come first, so that tasks send numbers and not texts
-    key = F.xxhash64("text")
-    keys = texts.where("text is not null").select(key.alias("h")).distinct().orderBy("h").limit(START_DOCS).collect()
-    rows = texts.where("text is not null").where(key <= keys[-1]["h"]).distinct().collect()
-    first = sorted(r.text.encode() for r in rows)
-    ids, sizes = tokenize(first)
+    last = coded.mapInArrow(keys, "key long").distinct().orderBy("key").limit(START_DOCS).collect()[-1]["key"]
+
+    def texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for _, _, keys, sizes, context, klass, _ in portions(batches):
+            ends = np.cumsum(sizes)
+            for i in np.flatnonzero((keys <= last) & (sizes > 0)).tolist():
+                lo, hi = ends[i] - sizes[i], ends[i]
+                yield pa.record_batch([pa.array([keys[i]], pa.int64()), pa.array([pack_arrays(context[lo:hi], klass[lo:hi])], pa.binary())], names=["key", "text"])
+
+    first = [unpack_arrays(bytes(r["text"])) for r in coded.mapInArrow(texts, "key long, text binary").dropDuplicates(["key"]).orderBy("key").collect()]
+    sizes, context, klass = np.array([len(c) for c, _ in first]), np.concatenate([c for c, _ in first]), np.concatenate([k for _, k in first])
     memory = np.full(Net.SIZE, 1e-6, np.float32)
     for _ in range(3):
-        net.learn(windows(ids, sizes, lexicon.context), lexicon.klass[ids], rate, memory)
-    shared = spark.sparkContext.broadcast((lexicon, net.flat, memory))
+        net.learn(windows(context, sizes, np.arange(CONTEXTS)), klass, rate, memory)
+    shared = spark.sparkContext.broadcast((net.flat, memory))
 
     def copies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        lexicon, flat, memory = shared.value
+        flat, memory = shared.value
         mine, memory, seen = Net(flat.copy()), memory.copy(), 0
-        for batch in batches:
-            for ids, sizes in portions(column_bytes(batch.column(0))):
-                around, klass = windows(ids, sizes, lexicon.context), lexicon.klass[ids]
-                mix = np.random.default_rng(zlib.crc32(ids.tobytes())).permutation(len(ids))  # words of one text do not come in a row
-                mine.learn(around[:, mix], klass[mix], rate, memory)
-                seen += len(ids)
+        for _, _, _, sizes, context, klass, _ in portions(batches):
+            around = windows(context, sizes, np.arange(CONTEXTS))
+            mix = np.random.default_rng(zlib.crc32(context.tobytes())).permutation(len(klass))  # words of one text do not come in a row
+            mine.learn(around[:, mix], klass[mix], rate, memory)
+            seen += len(klass)
         yield _message(mine.flat.astype(np.float64) * seen, float(seen), TaskContext.get().partitionId())
 
-    total, seen = _sum(texts.mapInArrow(copies, MESSAGE))
-    return lexicon, Net(total / seen)
+    total, seen = _sum(coded.mapInArrow(copies, MESSAGE))
+    return total / seen
 
 
-def score(docs: DataFrame, model: tuple[Lexicon, Net] | None) -> DataFrame:
-    """doc_id, n_tokens, log_probability (sum over words), mean_log_probability, unigram_log_probability."""
-    shared = docs.sparkSession.sparkContext.broadcast(None if model is None else (model[0], model[1].flat))
+def _score(coded: DataFrame, lexicon: Lexicon, flat: np.ndarray) -> DataFrame:
+    shared = coded.sparkSession.sparkContext.broadcast((lexicon.log_prior, flat))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        prior, flat = shared.value
+        net = Net(flat)
+        for ids, null, _, sizes, context, klass, share in portions(batches):
+            ends = np.cumsum(sizes)
+            sums = [np.zeros(len(sizes)), np.zeros(len(sizes))]
+            for out, logp in zip(sums, (net.log_probability(context, sizes, klass, share), prior[klass] + share), strict=True):
+                upto = np.r_[0.0, np.cumsum(logp, dtype=np.float64)]
+                out[:] = upto[ends] - upto[ends - sizes]
+            mean = pa.array([t / c if c else None for t, c in zip(sums[0].tolist(), sizes.tolist(), strict=True)], pa.float64())
+            yield pa.record_batch([pa.array(ids, pa.int64(), mask=null.astype(bool)), pa.array(sizes, pa.int64()), pa.array(sums[0]), mean, pa.array(sums[1])], names=["doc_id", "n_tokens", "log_probability", "mean_log_probability", "unigram_log_probability"])
+
+    return coded.mapInArrow(run, SCORES)
+
+
+SCORES = "doc_id long, n_tokens long, log_probability double, mean_log_probability double, unigram_log_probability double"
+
+
+def _unknown(docs: DataFrame) -> DataFrame:
+    """Scores under a corpus without words."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            n, total, single = [], [], []
-            for ids, sizes in portions(column_bytes(batch.column(1))):
-                ends = np.cumsum(sizes)
-                sums = [np.zeros(len(sizes)), np.zeros(len(sizes))]
-                if shared.value is not None and len(ids):
-                    lexicon, flat = shared.value
-                    for out, logp in zip(sums, (Net(flat).log_probability(ids, sizes, lexicon), lexicon.log_prior[lexicon.klass[ids]] + lexicon.log_share[ids]), strict=True):
-                        upto = np.r_[0.0, np.cumsum(logp, dtype=np.float64)]
-                        out[:] = upto[ends] - upto[ends - sizes]
-                n += sizes.tolist()
-                total += sums[0].tolist()
-                single += sums[1].tolist()
-            mean = pa.array([t / c if c else None for t, c in zip(total, n, strict=True)], pa.float64())
-            yield pa.record_batch([batch.column(0), pa.array(n, pa.int64()), pa.array(total, pa.float64()), mean, pa.array(single, pa.float64())], names=["doc_id", "n_tokens", "log_probability", "mean_log_probability", "unigram_log_probability"])
-
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, n_tokens long, log_probability double, mean_log_probability double, unigram_log_probability double")
+            _, _, n = split(column_bytes(batch.column(1)))
+            zero = np.zeros(len(n))
+            mean = pa.array([0.0 if c else None for c in n], pa.float64())
+            yield pa.record_batch([batch.column(0), pa.array(n), pa.array(zero), mean, pa.array(zero)], names=["doc_id", "n_tokens", "log_probability", "mean_log_probability", "unigram_log_probability"])
+
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, SCORES)
+
+
+def _fit(docs: DataFrame, seed: int, rate: float) -> tuple[Model, DataFrame] | None:
+    parts = max(16, total_bytes(docs) // SHARE)
+    packed = pack_texts(docs, parts)
+    held = merge_words(packed)
+    lexicon = lexicon_of(word_counts(held))
+    if lexicon is None:
+        return None
+    coded = encode(packed, held, lexicon)
+    return Model(held, parts, lexicon, train(coded, lexicon, seed, rate)), coded
+
+
+def fit(docs: DataFrame, seed: int = 1, rate: float = 0.1) -> Model | None:
+    """The model of a corpus (a column ``text``); None if it has no word."""
+    fitted = _fit(docs, seed, rate)
+    return fitted and fitted[0]
+
+
+def score(docs: DataFrame, model: Model | None) -> DataFrame:
+    """doc_id, n_tokens, log_probability (sum over words), mean_log_probability, unigram_log_probability."""
+    if model is None:
+        return _unknown(docs)
+    return _score(encode(pack_texts(docs, model.parts), model.held, model.lexicon), model.lexicon, model.flat)
 
 
 def pseudo_likelihood(docs: DataFrame) -> DataFrame:
     """Fit on all of ``docs`` (doc_id, text) and score each row."""
-    return score(docs, fit(docs))
-
+    fitted = _fit(docs, 1, 0.1)
+    return _unknown(docs) if fitted is None else _score(fitted[1], fitted[0].lexicon, fitted[0].flat)

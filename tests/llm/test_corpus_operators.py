@@ -191,6 +191,23 @@ def test_masked_words_do_not_see_themselves():
     assert around[1][1] == own[0] and around[2][1] == own[2]
 
 
+def test_language_model_counts_words_exactly(spark):
+    rng = random.Random(4)
+    rows = [(i, " ".join(f"{'common' if j % 2 else 'plain'}{rng.randrange(40)}" if j % 4 else f"once{i}x{j}" for j in range(400))) for i in range(1500)]
+    docs = spark.createDataFrame([*rows, (-1, "once0x0"), (-2, "common1"), (-3, "once7x4")], "doc_id long, text string")
+    want = {}
+    for _, text in [*rows, (-1, "once0x0"), (-2, "common1"), (-3, "once7x4")]:
+        for w in text.split():
+            want[w] = want.get(w, 0) + 1
+    assert len(want) > 2 * L.BUCKETS
+    got = {r.doc_id: r.unigram_log_probability for r in L.pseudo_likelihood(docs).collect()}
+    total = sum(want.values())
+    for d, w in ((-1, "once0x0"), (-2, "common1"), (-3, "once7x4")):
+        assert got[d] == pytest.approx(np.log(want[w] / total), abs=1e-3), w
+    model = L.fit(docs)
+    assert {bytes(r.word).decode(): r.n for r in L.word_counts(model.held).collect()} == want
+
+
 def test_toxicity_gradient():
     texts = [b"an idiot of the worst kind we see here today", b"good and clean words are all that is in here", b"short text"]
     net = T.Network()
