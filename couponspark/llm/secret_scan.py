@@ -3,7 +3,7 @@
 Every text gives candidates: assignments, access keys and long hexadecimal runs (the base kinds), and some wider kinds (service
 tokens, signed web tokens, private key headers, mixed long strings). Each candidate's value is hashed and aggregated over the
 corpus by distinct owners and repositories. A value that at least ``max_owners`` owners hold is an example that people copy;
-one that few hold, and that looks random, is taken as live. Base spans are always reported; wider ones only while live.
+one that few hold is taken as live, unless it is short and a placeholder. Base spans are always reported; wider ones only while live.
 
 Edge cases: null text is empty; null owner or repository counts as one unnamed; a repeated row counts once in ownership and
 is reported each time; extra columns are ignored; an empty table gives an empty one. Offsets are code points.
@@ -22,6 +22,7 @@ from pyspark.sql import functions as F
 from .common import claim, stage
 
 SALTS = 16
+SHORT = 40  # characters up to which a value may be a placeholder
 #: Fixed patterns of the base kinds, with the group that holds the value and its least length.
 BASE = (
     ("assign", re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII), 2, 6),
@@ -57,16 +58,14 @@ def row_key() -> Column:
     return F.xxhash64(F.col("doc_id").cast("long"), F.col("text"))
 
 
-def looks_random(value: str) -> bool:
-    """Several different characters, letters and digits, no run of one character, no placeholder word."""
+def placeholder(value: str) -> bool:
+    """A short value with a word that stands for a secret; longer ones may hold such letters by chance."""
     low = value.lower()
-    if any(w in low for w in ("example", "changeme", "placeholder", "xxxx", "your_", "dummy", "sample")):
-        return False
-    return len(set(value)) >= 6 and any(c.isdigit() for c in value) and re.search(r"(.)\1{5}", value) is None
+    return len(value) <= SHORT and any(w in low for w in ("example", "changeme", "placeholder", "xxxx", "your_", "dummy", "sample"))
 
 
-CAND = "array<struct<kind:string,start:bigint,end:bigint,value_hash:bigint,random:boolean>>"
-CAND_TYPE = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64()), ("value_hash", pa.int64()), ("random", pa.bool_())]))
+CAND = "array<struct<kind:string,start:bigint,end:bigint,value_hash:bigint,placeholder:boolean>>"
+CAND_TYPE = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64()), ("value_hash", pa.int64()), ("placeholder", pa.bool_())]))
 
 
 def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -81,7 +80,7 @@ def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for k, kind in enumerate(base_kinds):
                 counts[k].append(sum(c[0] == kind for c in base))
             digest.append(hashlib.sha256(",".join(f"{k}:{s}:{e}" for k, s, e, _ in base).encode()).hexdigest())
-            cands.append([{"kind": k, "start": s, "end": e, "value_hash": int.from_bytes(hashlib.sha256(v.encode()).digest()[:8], "little", signed=True), "random": looks_random(v)} for k, s, e, v in found])
+            cands.append([{"kind": k, "start": s, "end": e, "value_hash": int.from_bytes(hashlib.sha256(v.encode()).digest()[:8], "little", signed=True), "placeholder": placeholder(v)} for k, s, e, v in found])
         yield pa.record_batch([batch.column(0), batch.column(2), batch.column(3), batch.column(4), *(pa.array(c, pa.int64()) for c in counts), pa.array(digest, pa.string()), pa.array(cands, CAND_TYPE)], names=["doc_id", "owner", "repo", "key", "n_assign", "n_access", "n_hex", "base_sha256", "cands"])
 
 
@@ -99,7 +98,7 @@ def scan_secrets(docs: DataFrame, owner: Column | str = "source", repo: Column |
     spread = held.withColumn("salt", F.explode(F.array(*map(F.lit, range(SALTS)))))
     judged = flat.withColumn("salt", F.pmod(F.hash("row"), F.lit(SALTS))).join(spread, ["value_hash", "salt"], "left")
     owners = F.coalesce("owners", F.lit(1))
-    verdict = F.when(owners >= max_owners, "example").when(F.col("random"), "live").otherwise("plain")
+    verdict = F.when(owners >= max_owners, "example").when(F.col("placeholder"), "plain").otherwise("live")
     judged = judged.select("row", "kind", "start", "end", owners.cast("long").alias("owners"), F.coalesce("repos", F.lit(1)).cast("long").alias("repos"), verdict.alias("verdict"))
     judged = judged.where(F.col("kind").isin([k for k, *_ in BASE]) | (F.col("verdict") == "live"))
     rank = F.element_at(F.create_map(*[F.lit(x) for k, i in ORDER.items() for x in (k, i)]), F.col("kind"))
