@@ -8,7 +8,8 @@ import gc
 import itertools
 import tempfile
 import uuid
-from collections.abc import Callable
+import weakref
+from collections.abc import Callable, Sequence
 from functools import lru_cache
 
 import numpy as np
@@ -34,12 +35,52 @@ def shared_dir(spark: SparkSession) -> str:
     return where.rstrip("/")
 
 
+_STAGED: list[str] = []
+_PATHS: weakref.WeakKeyDictionary[DataFrame, str] = weakref.WeakKeyDictionary()
+
+
 def stage(df: DataFrame, name: str) -> DataFrame:
-    """Write a small intermediate table to the shared folder and read it back: lineage ends there."""
+    """Write an intermediate table to the shared folder and read it back: lineage ends there."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex[:12]}-{next(_SEQ)}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    _STAGED.append(path)
+    _PATHS[out] = path
+    return out
+
+
+def mark() -> int:
+    """The number of tables staged so far, for ``sweep``."""
+    return len(_STAGED)
+
+
+def sweep(spark: SparkSession, since: int, *keep: DataFrame) -> None:
+    """Delete the tables staged after ``since`` but for those in ``keep``: whatever was made from them has been written."""
+    stay = {_PATHS.get(df) for df in keep}
+    jvm = spark.sparkContext._jvm
+    for path in [p for p in _STAGED[since:] if p not in stay]:
+        where = jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+        _STAGED.remove(path)
+
+
+def unused(df: DataFrame, name: str) -> str:
+    """A column name that ``df`` does not have, in any case of its letters."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
+SALTS = 16
+
+
+def salted_join(many: DataFrame, one: DataFrame, on: Sequence[str], by: str, how: str = "inner") -> DataFrame:
+    """Join rows that may share a key very often (``many``, told apart by column ``by``) with at most one row a key (``one``):
+    each key is dealt over SALTS tasks."""
+    spread = one.withColumn("__salt", F.explode(F.array(*map(F.lit, range(SALTS)))))
+    return many.withColumn("__salt", F.pmod(F.hash(by), F.lit(SALTS))).join(spread, [*on, "__salt"], how).drop("__salt")
 
 
 _HELD: dict[str, Callable[[], None]] = {}

@@ -17,15 +17,14 @@ Exact copies of whole documents are found first, by digest, and only the first o
 contexts travel once, with the smallest id, so that a passage in a third of all documents is one entry a block.
 
 Edge cases: null text is empty; texts shorter than ``min_len`` keep all; rows without an id never match and keep all; rows
-that repeat an id belong to one document (only strictly smaller ids count); an empty table gives an empty result; other
-columns pass through unchanged in ``mode="text"`` and are ignored otherwise.
+that repeat an id are cut each by its own text, and only by strictly smaller ids, so never by one another; an empty table gives
+an empty result; other columns, whatever their names, pass through unchanged in ``mode="text"`` and are ignored otherwise.
 """
 
 from __future__ import annotations
 
 import hashlib
 import math
-import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -34,11 +33,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 
-from .common import TextHash, claim, column_bytes, pack_arrays, total_bytes, unpack_arrays
+from .common import TextHash, claim, column_bytes, pack_arrays, salted_join, total_bytes, unpack_arrays, unused
 
 GRAM = 24
 CHUNK = 1 << 17
-SALTS = 16
+BLOCK_MOST = 64 << 20
 MESSAGE = "block int, kind int, bucket int, payload binary"
 MSG = pa.schema([("block", pa.int32()), ("kind", pa.int32()), ("bucket", pa.int32()), ("payload", pa.binary())])
 HASH = TextHash(11)
@@ -65,14 +64,14 @@ def anchors(buf: np.ndarray, starts: np.ndarray, min_len: int) -> tuple[np.ndarr
     if n < min_len:
         return np.zeros(0, np.int64), np.zeros(0, np.uint64)
     h = HASH.windows(HASH.prefixes(buf), GRAM)
-    low = h.astype(np.uint32)
+    low = np.maximum(h.astype(np.uint32), 1)  # 0 stands for places that are no gram of one text
     least = np.array(_slide(low, width, np.minimum))
     for s in starts:  # windows across two texts do not count
         least[max(0, s - min_len + 1) : s] = 0
     padded = np.zeros(n - GRAM + width, np.uint32)
     padded[width - 1 : width - 1 + len(least)] = least
     most = _slide(padded, width, np.maximum)
-    at = np.flatnonzero((most[: len(low)] == low) & (low > 0))
+    at = np.flatnonzero(most[: len(low)] == low)
     return at, h[at]
 
 
@@ -118,18 +117,30 @@ def _rows(block: list[int], kind: int, bucket: list[int], payload: list[bytes])
 class Block:
     """The documents of one block and what came back for it."""
 
-    def __init__(self, table: pa.Table, messages: pa.Table | None, min_len: int) -> None:
+    def __init__(self, table: pa.Table, messages: pa.Table | None, min_len: int, key: str) -> None:
         claim("suffixes")
         self.min_len = min_len
-        self.block = table.column(KEY)[0].as_py() if table.num_rows else -1
+        self.block = table.column(key)[0].as_py() if key in table.column_names else -1
         self.ids = table.column("doc_id").to_pylist()
         self.texts = column_bytes(table.column("text"))
         self.messages = messages
-        self.copies: set[int] = set()
+        self.marks = np.zeros(len(self.ids), np.int64)  # tells the texts of a repeated id apart, whatever order rows come in
+        rows: dict[int, list[int]] = {}
+        for i, d in enumerate(self.ids):
+            rows.setdefault(d, []).append(i)
+        for same in rows.values():
+            if len(same) > 1:
+                place = {x: k for k, x in enumerate(sorted({self.texts[i] for i in same}))}
+                self.marks[same] = [place[self.texts[i]] for i in same]
+        named: dict[int, set[str]] = {}
         if messages is not None:
             for kind, payload in zip(messages.column("kind").to_pylist(), messages.column("payload").to_pylist(), strict=True):
                 if kind == COPIES:
-                    self.copies.update(map(int, payload.split(b",")))
+                    for entry in payload.decode().split(","):
+                        d, digest = entry.split(":")
+                        named.setdefault(int(d), set()).add(digest)
+        #: whether each row's whole text stands in a document with a smaller id
+        self.copy = [d in named and hashlib.sha256(x).hexdigest() in named[d] for d, x in zip(self.ids, self.texts, strict=True)]
 
     def of_kind(self, kind: int) -> Iterator[tuple[int, bytes]]:
         m = self.messages
@@ -138,24 +149,24 @@ class Block:
                 yield b, p
 
     def sources(self) -> list[bytes]:
-        """Texts that take part: with an id, and no copy of an earlier document."""
-        return [b"" if d is None or d in self.copies else x for d, x in zip(self.ids, self.texts, strict=True)]
+        """Texts that take part: no copy of an earlier document."""
+        return [b"" if copy else x for copy, x in zip(self.copy, self.texts, strict=True)]
 
     def distinct(self) -> tuple[np.ndarray, ...]:
         doc, at, h = _block_anchors(self.sources(), self.min_len)
         keys, inverse = np.unique(h, return_inverse=True)
-        ids = np.array([-1 if d is None else d for d in self.ids], np.int64)[doc] if len(doc) else np.zeros(0, np.int64)
+        ids = np.array(self.ids, np.int64)[doc] if len(doc) else np.zeros(0, np.int64)
         return doc, at, h, keys, inverse, ids
 
 
 # ---- step 1: which anchor hashes lie in several documents -----------------------------------------------------------------
 
 
-def _names(min_len: int, buckets: int):
+def _names(min_len: int, key: str, buckets: int):
     def run(docs: pa.Table, messages: pa.Table) -> pa.Table:
         if not docs.num_rows:
             return MSG.empty_table()
-        b = Block(docs, messages, min_len)
+        b = Block(docs, messages, min_len, key)
         _, _, _, keys, inverse, ids = b.distinct()
         low = np.full(len(keys), np.iinfo(np.int64).max)
         high = np.full(len(keys), np.iinfo(np.int64).min)
@@ -220,11 +231,11 @@ def _contexts(texts: list[bytes], doc: np.ndarray, at: np.ndarray, min_len: int)
     return np.concatenate([right, before], axis=1), np.minimum(room, min_len).astype(np.uint8), np.minimum(at, left).astype(np.uint8)
 
 
-def _runs(min_len: int, buckets: int):
+def _runs(min_len: int, key: str, buckets: int):
     def run(docs: pa.Table, messages: pa.Table) -> pa.Table:
         if not docs.num_rows:
             return MSG.empty_table()
-        b = Block(docs, messages, min_len)
+        b = Block(docs, messages, min_len, key)
         doc, at, h, keys, inverse, ids = b.distinct()
         live = np.zeros(len(keys), bool)
         cuts = np.searchsorted(_bucket_of(keys, buckets), np.arange(buckets + 1))
@@ -233,7 +244,7 @@ def _runs(min_len: int, buckets: int):
             live[cuts[i] : cuts[i + 1]] = np.unpackbits(bits)[: n[0]].astype(bool)
         keep = live[inverse] if len(keys) else np.zeros(0, bool)
         doc, at, h, ids = doc[keep], at[keep], h[keep], ids[keep]
-        marks = np.array([zlib.crc32(x) for x in b.texts], np.int64)
+        marks = b.marks
         sent_blocks, sent_buckets, sent, own = [], [], [], []
         where = _bucket_of(h, buckets)
         order = np.argsort(where, kind="stable")
@@ -430,34 +441,32 @@ def char_spans(text: bytes, spans: list[tuple[int, int]]) -> list[tuple[int, int
     return out
 
 
-def keep_bytes(text: bytes, spans: list[tuple[int, int]]) -> bytes:
+def keep_bytes(text: bytes, spans: list[tuple[int, int]], gap: bytes = b"") -> bytes:
+    """What the spans leave; ``gap`` stands where a cut would join two sides into a word that neither had."""
     out, last = [], 0
     for s, e in spans:
         out.append(text[last:s])
+        if gap and s and e < len(text) and not text[s - 1 : s].isspace() and not text[e : e + 1].isspace():
+            out.append(gap)
         last = e
     out.append(text[last:])
     return b"".join(out)
 
 
-def _cut(min_len: int, mode: str, schema: pa.Schema):
-    def run(docs: pa.Table, messages: pa.Table) -> pa.Table:
+def _cut(min_len: int, key: str, mode: str, schema: pa.Schema):
+    def run(docs: pa.Table, messages: pa.Table | None) -> pa.Table:
         if not docs.num_rows:
             return schema.empty_table()
-        b = Block(docs, messages, min_len)
+        b = Block(docs, messages, min_len, key)
         cuts: dict[tuple[int, int], list[tuple[int, int]]] = {}
-        parts = [unpack_arrays(p) for _, p in b.of_kind(CUTS)]
+        parts = [unpack_arrays(p) for _, p in b.of_kind(CUTS)] if messages is not None else []
         if parts:
             merged = merge_cuts(*(np.concatenate(x) for x in zip(*parts, strict=True)))
             for d, m, s, e in zip(*(x.tolist() for x in merged), strict=True):
                 cuts.setdefault((d, m), []).append((s, e))
-        spans = []
-        for d, x in zip(b.ids, b.texts, strict=True):
-            if d is not None and d in b.copies and len(x) >= min_len:
-                spans.append([(0, len(x))])
-            else:
-                spans.append(cuts.get((d, zlib.crc32(x)), []) if cuts and d is not None else [])
+        spans = [([(0, len(x))] if len(x) >= min_len else []) if copy else cuts.get((d, m), []) for d, m, x, copy in zip(b.ids, b.marks.tolist(), b.texts, b.copy, strict=True)]
         if mode == "text":
-            kept = [keep_bytes(x, char_spans(x, s)).decode() for x, s in zip(b.texts, spans, strict=True)]
+            kept = [keep_bytes(x, char_spans(x, s), b"\n").decode() for x, s in zip(b.texts, spans, strict=True)]
             kept = [None if old is None else new for old, new in zip(docs.column("text").to_pylist(), kept, strict=True)]
             columns = {n: docs.column(n) for n in schema.names}
             columns["text"] = pa.array(kept, schema.field("text").type)
@@ -475,6 +484,7 @@ def _cut(min_len: int, mode: str, schema: pa.Schema):
     return run
 
 
+DIGEST_SQL = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
 DIGEST = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept_sha256", pa.string())])
 
 
@@ -482,32 +492,40 @@ def suffix_dedup(docs: DataFrame, min_len: int = 50, mode: str = "digest", block
     """Cut repeated strings of ``min_len`` bytes out of ``docs`` (doc_id, text, others).
 
     ``mode="digest"``: doc_id, n_bytes, n_removed, n_spans, kept_sha256 of each row. ``mode="text"``: the rows with their
-    text cut (spans shrunk to whole characters) and n_chars set anew. Blocks have ``block_bytes`` of text; the default grows
-    with the root of the input, so that neither blocks nor messages become too many.
+    text cut (spans shrunk to whole characters, a line break where a cut would join two words) and n_chars set anew. Blocks
+    have ``block_bytes`` of text; the default grows with the root of the input, so that neither blocks nor messages become
+    too many, up to BLOCK_MOST, which a task must hold. Beyond that there are more blocks, and still as many buckets.
     """
     if min_len < 2 * GRAM:
         raise ValueError(f"min_len must be {2 * GRAM} at least")
     size = total_bytes(docs)
-    block_bytes = block_bytes or max(4 << 20, int(math.sqrt(size * 1024)))
-    blocks = max(32, math.ceil(size / block_bytes))
+    root = block_bytes or max(4 << 20, int(math.sqrt(size * 1024)))
+    blocks, buckets = max(32, math.ceil(size / min(root, BLOCK_MOST))), max(32, math.ceil(size / root))
+    key = unused(docs, KEY)
     names = docs.columns if mode == "text" else ["doc_id", "text"]
-    placed = docs.select(*(F.col(f"`{c}`") for c in names)).withColumn(KEY, F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).cast("int"))
-    digests = docs.where("doc_id is not null").select("doc_id", F.sha2(F.col("text").cast("binary"), 256).alias("d")).where("d is not null")
+    block = F.pmod(F.xxhash64(F.col("doc_id").cast("long")), F.lit(blocks)).cast("int")
+    known, unknown = docs.where("doc_id is not null"), docs.where("doc_id is null")
+    placed = known.select(*(F.col(f"`{c}`") for c in names), block.alias(key))
+    digests = known.select(F.col("doc_id").cast("long").alias("doc_id"), F.sha2(F.col("text").cast("binary"), 256).alias("d")).where("d is not null")
     firsts = digests.groupBy("d").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("last > first").select("d", "first")
-    # a text with very many copies is dealt over SALTS keys
-    salted = digests.withColumn("salt", F.pmod(F.hash("doc_id"), F.lit(SALTS)))
-    spread = firsts.withColumn("salt", F.explode(F.array(*map(F.lit, range(SALTS)))))
-    copies = salted.join(spread, ["d", "salt"]).where("doc_id > first").withColumn("block", F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).cast("int"))
-    copies = copies.groupBy("block").agg(F.collect_set(F.col("doc_id").cast("string")).alias("ids")).select("block", F.lit(COPIES).alias("kind"), F.lit(0).alias("bucket"), F.concat_ws(",", "ids").cast("binary").alias("payload"))
+    copies = salted_join(digests, firsts, ["d"], "doc_id").where("doc_id > first")
+    copies = copies.select(block.alias("block"), F.concat_ws(":", F.col("doc_id").cast("string"), "d").alias("copy"))
+    copies = copies.groupBy("block").agg(F.collect_set("copy").alias("ids")).select("block", F.lit(COPIES).alias("kind"), F.lit(0).alias("bucket"), F.concat_ws(",", "ids").cast("binary").alias("payload"))
 
     def with_docs(messages: DataFrame, run, schema) -> DataFrame:
-        return placed.groupBy(KEY).cogroup(messages.groupBy("block")).applyInArrow(run, schema)
+        return placed.groupBy(key).cogroup(messages.groupBy("block")).applyInArrow(run, schema)
 
-    shared = with_docs(copies, _names(min_len, blocks), MESSAGE).groupBy("bucket").applyInArrow(_answers, MESSAGE)
-    runs = with_docs(shared.union(copies), _runs(min_len, blocks), MESSAGE)
+    shared = with_docs(copies, _names(min_len, key, buckets), MESSAGE).groupBy("bucket").applyInArrow(_answers, MESSAGE)
+    runs = with_docs(shared.union(copies), _runs(min_len, key, buckets), MESSAGE)
     # intervals settled inside a block go back as they are, each under a group of its own
     route = F.when(F.col("kind") == RUN, F.col("bucket")).otherwise(-1 - F.col("block"))
     cuts = runs.withColumn("route", route).groupBy("route").applyInArrow(_merge_bucket(min_len), MESSAGE)
-    if mode == "text":
-        return with_docs(cuts.union(copies), _cut(min_len, mode, to_arrow_schema(docs.schema)), docs.schema)
-    return with_docs(cuts.union(copies), _cut(min_len, mode, DIGEST), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    arrow, result = (to_arrow_schema(docs.schema), docs.schema) if mode == "text" else (DIGEST, DIGEST_SQL)
+    finish = _cut(min_len, key, mode, arrow)
+
+    def alone(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield from finish(pa.Table.from_batches([batch]), None).to_batches()
+
+    # rows without an id meet nobody: they need no block
+    return with_docs(cuts.union(copies), finish, result).union(unknown.select(*(F.col(f"`{c}`") for c in names)).mapInArrow(alone, result))
