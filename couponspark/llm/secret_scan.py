@@ -1,12 +1,14 @@
 """Secret scan with corpus-wide ownership of each candidate.
 
 Every text gives candidates: assignments, access keys and long hexadecimal runs (the base kinds), and some wider kinds (service
-tokens, signed web tokens, private key headers, mixed long strings). Each candidate's value is hashed and aggregated over the
-corpus by distinct owners and repositories. A value that at least ``max_owners`` owners hold is an example that people copy;
-one that few hold is taken as live, unless it is short and a placeholder. Base spans are always reported; wider ones only while live.
+tokens, signed web tokens, private key headers, addresses with passwords). Each candidate's value is hashed and aggregated over the
+corpus by distinct owners and repositories. A value that at least ``max_owners`` owners hold is an example that people copy, and so is
+one that two owners hold in ``max_repos`` repositories together: it travels. A value of one owner is never an example, in however many
+of their repositories it lies; it is taken as live, unless it is short and a placeholder. Base spans are always reported; wider ones
+only while live. Ownership may be counted over another corpus than the one that is scanned: over the one before copies were dropped.
 
 Edge cases: null text is empty; null owner or repository counts as one unnamed; a repeated row counts once in ownership and
-is reported each time; extra columns are ignored; an empty table gives an empty one. Offsets are code points.
+is reported each time; extra columns, whatever their names, are ignored; an empty table gives an empty one. Offsets are code points.
 """
 
 from __future__ import annotations
@@ -19,9 +21,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import claim, stage
+from .common import claim, salted_join, stage, unused
 
-SALTS = 16
 SHORT = 40  # characters up to which a value may be a placeholder
 #: Fixed patterns of the base kinds, with the group that holds the value and its least length.
 BASE = (
@@ -55,7 +56,8 @@ def candidates(text: str) -> list[tuple[str, int, int, str]]:
 
 
 def row_key() -> Column:
-    return F.xxhash64(F.col("doc_id").cast("long"), F.col("text"))
+    """256 bits of a row's id and text."""
+    return F.sha2(F.concat(F.coalesce(F.col("doc_id").cast("long").cast("string"), F.lit("")), F.lit(":"), F.coalesce(F.col("text"), F.lit(""))).cast("binary"), 256)
 
 
 def placeholder(value: str) -> bool:
@@ -84,22 +86,33 @@ def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.record_batch([batch.column(0), batch.column(2), batch.column(3), batch.column(4), *(pa.array(c, pa.int64()) for c in counts), pa.array(digest, pa.string()), pa.array(cands, CAND_TYPE)], names=["doc_id", "owner", "repo", "key", "n_assign", "n_access", "n_hex", "base_sha256", "cands"])
 
 
-def scan_secrets(docs: DataFrame, owner: Column | str = "source", repo: Column | None = None, max_owners: int = 4) -> DataFrame:
-    """A row for each row of ``docs``: doc_id, counts and digest of the base kinds, ``spans`` (kind:start:end, comma-joined), n_live, n_example, ``found`` (array of kind, start, end, owners, repos, verdict), ``key`` (hash of id and text)."""
-    owner = F.col(owner) if isinstance(owner, str) else owner
+SCANNED = f"doc_id long, owner string, repo string, key string, n_assign long, n_access long, n_hex long, base_sha256 string, cands {CAND}"
+
+
+def _scanned(docs: DataFrame, owner: Column, repo: Column | None) -> DataFrame:
+    """Candidates of each row, with its owner and repository."""
     repo = F.concat_ws("/", owner.cast("string"), F.col("lang").cast("string")) if repo is None and "lang" in docs.columns else owner if repo is None else repo
     picked = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text"), F.coalesce(owner.cast("string"), F.lit("")).alias("owner"), F.coalesce(repo.cast("string"), F.lit("")).alias("repo"), row_key().alias("key"))
-    scanned = picked.mapInArrow(_scan, f"doc_id long, owner string, repo string, key long, n_assign long, n_access long, n_hex long, base_sha256 string, cands {CAND}")
-    scanned = stage(scanned.withColumn("row", F.monotonically_increasing_id()), "secrets")
+    return picked.mapInArrow(_scan, SCANNED)
+
+
+def ownership(found: DataFrame) -> DataFrame:
+    """(value_hash, owners, repos) of each value that more than one owner or repository holds; ``found``: value_hash, owner, repo."""
+    held = found.groupBy("value_hash", "owner", "repo").agg(F.lit(1).alias("one")).groupBy("value_hash", "owner").agg(F.count("*").alias("repos"))
+    return held.groupBy("value_hash").agg(F.count("*").alias("owners"), F.sum("repos").alias("repos")).where((F.col("owners") > 1) | (F.col("repos") > 1))
+
+
+def scan_secrets(docs: DataFrame, owner: Column | str = "source", repo: Column | None = None, max_owners: int = 4, max_repos: int = 8, corpus: DataFrame | None = None) -> DataFrame:
+    """A row for each row of ``docs``: doc_id, counts and digest of the base kinds, ``spans`` (kind:start:end, comma-joined), n_live, n_example, ``found`` (array of kind, start, end, owners, repos, verdict), ``key`` (digest of id and text). Owners and repositories are counted in ``corpus`` (``docs`` if None)."""
+    owner = F.col(owner) if isinstance(owner, str) else owner
+    scanned = stage(_scanned(docs, owner, repo).withColumn("row", F.monotonically_increasing_id()), "secrets")
     flat = scanned.select("row", "owner", "repo", F.explode("cands").alias("c")).select("row", "owner", "repo", "c.*")
-    held = flat.groupBy("value_hash", "owner", "repo").agg(F.lit(1).alias("one")).groupBy("value_hash", "owner").agg(F.count("*").alias("repos"))
-    held = held.groupBy("value_hash").agg(F.count("*").alias("owners"), F.sum("repos").alias("repos")).where((F.col("owners") > 1) | (F.col("repos") > 1))
-    # a value with very many holders is dealt over SALTS keys
-    spread = held.withColumn("salt", F.explode(F.array(*map(F.lit, range(SALTS)))))
-    judged = flat.withColumn("salt", F.pmod(F.hash("row"), F.lit(SALTS))).join(spread, ["value_hash", "salt"], "left")
-    owners = F.coalesce("owners", F.lit(1))
-    verdict = F.when(owners >= max_owners, "example").when(F.col("placeholder"), "plain").otherwise("live")
-    judged = judged.select("row", "kind", "start", "end", owners.cast("long").alias("owners"), F.coalesce("repos", F.lit(1)).cast("long").alias("repos"), verdict.alias("verdict"))
+    everywhere = flat if corpus is None else _scanned(corpus, owner, repo).select("owner", "repo", F.explode("cands.value_hash").alias("value_hash"))
+    judged = salted_join(flat, ownership(everywhere), ["value_hash"], "row", "left")
+    owners, repos = F.coalesce("owners", F.lit(1)).cast("long"), F.coalesce("repos", F.lit(1)).cast("long")
+    travels = (owners >= max_owners) | (owners > 1) & (repos >= max_repos)
+    verdict = F.when(travels, "example").when(F.col("placeholder"), "plain").otherwise("live")
+    judged = judged.select("row", "kind", "start", "end", owners.alias("owners"), repos.alias("repos"), verdict.alias("verdict"))
     judged = judged.where(F.col("kind").isin([k for k, *_ in BASE]) | (F.col("verdict") == "live"))
     rank = F.element_at(F.create_map(*[F.lit(x) for k, i in ORDER.items() for x in (k, i)]), F.col("kind"))
     by_row = judged.groupBy("row").agg(F.array_sort(F.collect_list(F.struct("start", rank.alias("rank"), "end", "kind", "owners", "repos", "verdict"))).alias("found"))
@@ -122,25 +135,29 @@ def redact(text: str, spans: list[tuple[int, int]], mark: str = "[removed]") ->
     return "".join([*out, text[at:]])
 
 
-def remove_live(docs: DataFrame, max_owners: int = 4, mark: str = "[removed]") -> DataFrame:
-    """``docs`` with live secrets replaced in the text (n_chars follows); copied examples and all other rows stay as they are."""
+def remove_live(docs: DataFrame, max_owners: int = 4, max_repos: int = 8, mark: str = "[removed]", corpus: DataFrame | None = None) -> DataFrame:
+    """``docs`` with live secrets replaced in the text (n_chars follows); copied examples and all other rows stay as they are.
+    Where ``docs`` have lost their copies, ``corpus`` is what still has them: ownership is counted there."""
+    key, cut = unused(docs, "__key"), unused(docs, "__spans")
     live = F.filter("found", lambda x: x["verdict"] == "live")
-    spans = scan_secrets(docs, max_owners=max_owners).where("n_live > 0").select(F.col("key").alias("__key"), F.transform(live, lambda x: F.array(x["start"], x["end"])).alias("__spans")).dropDuplicates(["__key"])
+    found = scan_secrets(docs, max_owners=max_owners, max_repos=max_repos, corpus=corpus).where("n_live > 0")
+    spans = found.select(F.col("key").alias(key), F.transform(live, lambda x: F.array(x["start"], x["end"])).alias(cut)).dropDuplicates([key])
     schema = docs.schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         claim("secrets")
         for batch in batches:
-            texts, found = batch.column("text").to_pylist(), batch.column("__spans").to_pylist()
+            texts, found = batch.column(text_at).to_pylist(), batch.column(batch.num_columns - 1).to_pylist()
             clean = [t if t is None or not s else redact(t, [tuple(x) for x in s], mark) for t, s in zip(texts, found, strict=True)]
             columns = []
-            for f in schema:
-                old = batch.column(f.name)
-                if f.name == "text":
+            for i, f in enumerate(schema):
+                old = batch.column(i)
+                if i == text_at:
                     old = pa.array(clean, old.type)
                 elif f.name == "n_chars":
                     old = pa.array([n if t is c else len(c) for n, t, c in zip(old.to_pylist(), texts, clean, strict=True)], old.type)
                 columns.append(old)
             yield pa.record_batch(columns, names=schema.names)
 
-    return docs.withColumn("__key", row_key()).join(spans, "__key", "left").select(*(F.col(f"`{c}`") for c in docs.columns), "__spans").mapInArrow(run, schema)
+    text_at = schema.names.index("text")
+    return docs.withColumn(key, row_key()).join(spans, key, "left").select(*(F.col(f"`{c}`") for c in docs.columns), F.col(cut)).mapInArrow(run, schema)

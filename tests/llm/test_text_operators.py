@@ -192,6 +192,23 @@ def test_ownership(spark):
     assert S.candidates("toKen=ſecret token=aaaaaa")[-1][0] == "assign"
 
 
+def test_repositories_and_corpus(spark):
+    """Two owners with many repositories share an example; one owner with as many does not; ownership may come from another corpus."""
+    shared, own = "password = Abcdef123456", "password = Zyxwvu987654"
+    rows = [(i, shared, f"o{i % 2}", f"r{i}") for i in range(8)] + [(20 + i, own, "o0", f"r{i}") for i in range(8)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string, lang string").withColumn("__key", F.lit(1)).withColumn("__spans", F.lit(2))
+    got = {r.doc_id: r.found[0] for r in S.scan_secrets(docs).collect()}
+    assert {(f.owners, f.repos, f.verdict) for d, f in got.items() if d < 20} == {(2, 8, "example")}
+    assert {(f.owners, f.repos, f.verdict) for d, f in got.items() if d >= 20} == {(1, 8, "live")}
+    few = docs.where("doc_id in (0, 20)")
+    alone = {r.doc_id: r.text for r in S.remove_live(few).collect()}
+    assert alone[0] != shared and alone[20] != own
+    clean = S.remove_live(few, corpus=docs)
+    assert clean.columns == docs.columns
+    kept = {r.doc_id: r.text for r in clean.collect()}
+    assert kept[0] == shared and kept[20] == "[removed]"
+
+
 def test_live_secrets_need_not_look_random(spark):
     rng = random.Random(5)
     letters = "".join(rng.choice("abcdefghijkLMNOPQRS0123+/") for _ in range(600))
