@@ -9,12 +9,13 @@ resolved exactly on full sets. In a cluster of many classes, pivots are compared
 outside the cluster's largest component become pivots, until no link between two components can be missing.
 
 Edge cases: null or empty text, and text without words, has an empty set, links with nothing and stays; fewer words than a
-shingle form one shingle; rows without an id stay and have no component; rows that repeat an id share its fate; extra columns
-are ignored; an empty table gives an empty result.
+shingle form one shingle; rows without an id stay and have no component; rows that repeat an id are one document with several
+texts: a link of any of them links all, and they go or stay together; extra columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -22,17 +23,16 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import TextHash, claim, column_bytes, stage
-from .components import Forest, components
+from .common import SALTS, TextHash, claim, column_bytes, mark, salted_join, stage, sweep, unused
+from .components import Forest, chain, components
 
 WIDTH = 64
 LEAF = 64
-TREES = 12
+RECALL = 0.99
 DEPTH = 8
 STUBBORN = 3  # from this level on, a large node that keeps half of its parent is one cluster
 BRANCH = 0.33  # chance that a node picks a second coordinate
 CHUNK = 256
-SALTS = 16
 HASH = TextHash(3)
 _RNG = np.random.default_rng(5)
 MULTIPLY = _RNG.integers(0, 1 << 63, WIDTH, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -88,6 +88,33 @@ def _sketch(words: int):
     return run
 
 
+def stay(similarity: float, depth: int = DEPTH, branch: float = BRANCH) -> float:
+    """Chance that a pair of a similarity shares a node on the last level of one tree."""
+    chance = 1.0
+    for _ in range(depth):
+        one = similarity * chance
+        chance = one + branch * one * (1 - one)  # a second coordinate helps where the first has parted them
+    return chance
+
+
+def recall_of(trees: int, similarity: float, depth: int = DEPTH, branch: float = BRANCH) -> float:
+    """Chance that a pair at ``similarity`` shares a last node in one of some trees. All trees read one signature, so the chance is taken over the
+    share of its values that the pair has in common."""
+    chance = 0.0
+    for agree in range(WIDTH + 1):
+        weight = math.comb(WIDTH, agree) * similarity**agree * (1 - similarity) ** (WIDTH - agree)
+        chance += weight * (1 - (1 - stay(agree / WIDTH, depth, branch)) ** trees)
+    return chance
+
+
+def trees_for(recall: float, similarity: float, depth: int = DEPTH, branch: float = BRANCH) -> int:
+    """The least number of trees with that recall."""
+    trees = 1
+    while recall_of(trees, similarity, depth, branch) < recall and trees < 1000:
+        trees += 1
+    return trees
+
+
 # ---- trees ---------------------------------------------------------------------------------------------------------------
 
 
@@ -109,7 +136,6 @@ def _compare(least: float):
         for batch in batches:
             a, b = [], []
             for members in batch.column(0).to_pylist():
-                members = sorted(members, key=lambda m: m["rep"])
                 reps = [m["rep"] for m in members]
                 sig = np.array([m["sig"] for m in members], np.int32)
                 forest = Forest()
@@ -117,52 +143,49 @@ def _compare(least: float):
                     near = np.flatnonzero((sig[i + 1 :] == sig[i]).mean(axis=1) >= least)
                     for j in near:
                         forest.join(reps[i], reps[i + 1 + int(j)])
-                last: dict[int, int] = {}
-                for r in reps:
-                    root = forest.root(r)
-                    if root in last:
-                        a.append(last[root])
-                        b.append(r)
-                    last[root] = r
+                for x, before in chain((x, root) for x, root in forest.links() if x != root):
+                    a.append(before)
+                    b.append(x)
             yield pa.record_batch([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
 
     return run
 
 
-def candidate_links(classes: DataFrame, similarity: float, leaf: int = LEAF, trees: int = TREES, depth: int = DEPTH) -> DataFrame:
+def candidate_links(classes: DataFrame, similarity: float, leaf: int = LEAF, recall: float = RECALL, depth: int = DEPTH) -> DataFrame:
     """Links (a, b) between classes (rep, sig) that connect all likely similar ones."""
-    roots = F.flatten(F.array(*[_children(F.xxhash64(F.lit(t)), F.col("sig")) for t in range(trees)]))
+    spark, since = classes.sparkSession, mark()
+    roots = F.flatten(F.array(*[_children(F.xxhash64(F.lit(t)), F.col("sig")) for t in range(trees_for(recall, similarity, depth))]))
     at = classes.select("rep", F.explode(roots).alias("node"), F.lit(0).cast("long").alias("above"))
-    found: DataFrame | None = None
+    found: list[DataFrame] = []
     for level in range(1, depth + 1):
         at = stage(at, f"level{level}")
         sizes = stage(at.groupBy("node").agg(F.count("*").alias("n"), F.max("above").alias("above")).where("n > 1"), "nodes")
         large = sizes.where(F.col("n") > leaf)
-        # members of small nodes; those of a large one are dealt over SALTS keys
-        spread = large.withColumn("salt", F.explode(F.array(*map(F.lit, range(SALTS)))))
-        salted = at.withColumn("salt", F.pmod(F.hash("rep"), F.lit(SALTS)))
         any_large = large.limit(1).count() > 0
-        rest = salted.join(spread, ["node", "salt"], "left_anti") if any_large else at
+        # members of small nodes; those of a large one are dealt over several keys
+        rest = salted_join(at, large.select("node"), ["node"], "rep", "left_anti") if any_large else at
         lists = rest.groupBy("node").agg(F.array_sort(F.collect_set("rep")).alias("reps")).where("size(reps) > 1").select("reps").distinct()
         lists = lists.select(F.xxhash64("reps").alias("list"), F.explode("reps").alias("rep"))
         groups = lists.join(classes.select("rep", "sig"), "rep").groupBy("list").agg(F.collect_list(F.struct("rep", "sig")).alias("m")).select("m")
-        links = stage(groups.mapInArrow(_compare(similarity - 0.25), "a long, b long"), "near")
-        found = links if found is None else found.union(links)
-        if not any_large:
-            return found
-        inside = stage(salted.select("rep", "node", "salt").join(spread.select("node", "salt", "n", "above"), ["node", "salt"]).select("node", "rep", "n", "above"), "large")
-        dense = (F.lit(level) == depth) | (F.lit(level) >= STUBBORN) & (2 * F.col("n") >= F.col("above"))
-        if level >= STUBBORN or level == depth:
-            # links by slices to the smallest class of each slice, and these to one another: no class has very many
-            slices = inside.where(dense).select("node", "rep", F.pmod(F.hash("rep"), F.ceil(F.col("n") / leaf)).alias("slice"))
-            heads = slices.groupBy("node", "slice").agg(F.min("rep").alias("head"))
-            tied = heads.groupBy("node").agg(F.min("head").alias("a"), F.collect_set("head").alias("h")).select("a", F.explode("h").alias("b"))
-            found = found.union(stage(slices.join(heads, ["node", "slice"]).select(F.col("head").alias("a"), F.col("rep").alias("b")).union(tied).where("a <> b").distinct(), "dense"))
-        if level == depth:
-            return found
-        more = inside.where(~dense)
+        found.append(stage(groups.mapInArrow(_compare(similarity - 0.25), "a long, b long"), "near"))
+        if any_large:
+            inside = stage(salted_join(at.select("rep", "node"), large, ["node"], "rep").select("node", "rep", "n", "above"), "large")
+            dense = (F.lit(level) == depth) | (F.lit(level) >= STUBBORN) & (2 * F.col("n") >= F.col("above"))
+            if level >= STUBBORN or level == depth:
+                # links by slices to the smallest class of each slice, and these to the smallest of all: no class has very many
+                slices = inside.where(dense).select("node", "rep", F.pmod(F.hash("rep"), F.ceil(F.col("n") / leaf)).alias("slice"))
+                heads = slices.groupBy("node", "slice").agg(F.min("rep").alias("head"))
+                tied = salted_join(heads, heads.groupBy("node").agg(F.min("head").alias("a")), ["node"], "head").select("a", F.col("head").alias("b"))
+                found.append(stage(slices.join(heads, ["node", "slice"]).select(F.col("head").alias("a"), F.col("rep").alias("b")).union(tied).where("a <> b").distinct(), "dense"))
+            more = inside.where(~dense)
+        sweep(spark, since, *found, *([inside] if any_large else []))
+        if not any_large or level == depth:
+            break
         at = more.join(classes.select("rep", "sig"), "rep").select("rep", F.explode(_children(F.col("node"), F.col("sig"))).alias("node"), F.col("n").alias("above"))
-    return found
+    out = found[0]
+    for links in found[1:]:
+        out = out.union(links)
+    return out
 
 
 # ---- exact links on full sets ---------------------------------------------------------------------------------------------
@@ -259,11 +282,11 @@ def _large_clusters(sets: DataFrame, percent: int) -> DataFrame:
             # all outside the largest component of their cluster that have not been pivots
             counts = label.groupBy("cluster", "component").count()
             main = counts.groupBy("cluster").agg(F.max(F.struct("count", "component")).alias("m")).select("cluster", F.col("m.component").alias("main"))
-            open_ = stage(label.join(main, "cluster").where("component <> main").select("rep", "cluster").join(done, "rep", "left_anti"), "pivot-open")
+            open_ = stage(salted_join(label, main, ["cluster"], "rep").where("component <> main").select("rep", "cluster").join(done, "rep", "left_anti"), "pivot-open")
         # those whose hash is below a bar that about ``share`` members of each cluster pass; all, once few are open
         sizes = open_.groupBy("cluster").agg(F.count("*").alias("open"))
         bar = F.pmod(F.xxhash64("rep", F.lit(share)), F.lit(1 << 30)) < (F.lit(float(share)) / F.col("open") * (1 << 30))
-        pivots = stage(open_.join(sizes, "cluster").where(bar | (F.col("open") <= share)).select("rep", "cluster"), "pivots")
+        pivots = stage(salted_join(open_, sizes, ["cluster"], "rep").where(bar | (F.col("open") <= share)).select("rep", "cluster"), "pivots")
         share *= 8
         if not pivots.limit(1).count():
             if not open_.limit(1).count():
@@ -277,35 +300,44 @@ def _large_clusters(sets: DataFrame, percent: int) -> DataFrame:
         label = sets.select("rep", "cluster").join(found.withColumnRenamed("id", "rep"), "rep", "left").select("rep", "cluster", F.coalesce("component", "rep").alias("component"))
 
 
-def near_duplicates(docs: DataFrame, percent: int = 75, words: int = 5) -> DataFrame:
+def near_duplicates(docs: DataFrame, percent: int = 75, words: int = 5, recall: float = RECALL) -> DataFrame:
     """doc_id, n_shingles, component_id, kept of each row of ``docs`` (doc_id, text): linked at ``percent`` of similarity."""
+    spark, since = docs.sparkSession, mark()
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     sketches = stage(docs.mapInArrow(_sketch(words), "doc_id long, n_shingles long, k1 long, k2 long, sig array<int>"), "sketches")
     with_set = sketches.where("n_shingles > 0 and doc_id is not null")
     classes = stage(with_set.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n"), F.first("sig").alias("sig")), "classes")
-    clusters = components(candidate_links(classes.select("rep", "sig"), percent / 100))
+    clusters = components(candidate_links(classes.select("rep", "sig"), percent / 100, recall=recall))
     clusters = stage(clusters.union(clusters.select("component", "component").distinct()).toDF("rep", "cluster"), "clusters")
     sizes = clusters.groupBy("cluster").agg(F.count("*").alias("size"))
-    placed = clusters.join(sizes, "cluster").withColumn("chunk", F.pmod(F.hash("rep"), F.ceil(F.col("size") / CHUNK)).cast("int"))
-    placed = stage(placed.join(classes.select("rep", "k1", "k2"), "rep"), "placed")
+    placed = salted_join(clusters, sizes, ["cluster"], "rep").withColumn("chunk", F.pmod(F.hash("rep"), F.ceil(F.col("size") / CHUNK)).cast("int"))
+    placed = stage(placed.join(classes.select("rep", "k1", "k2"), "rep").select("rep", "cluster", "chunk", "size", "k1", "k2"), "placed")
+    sweep(spark, since, sketches, classes, placed)
     # texts meet their classes by shuffle at any size; then only the sets of candidates are moved
     members = docs.withColumnRenamed("doc_id", "rep").join(placed.hint("merge"), "rep").select("rep", "cluster", "chunk", "size", "k1", "k2", "text")
     sets = stage(members.mapInArrow(_to_sets(words), "rep long, cluster long, chunk int, size long, shingles binary").dropDuplicates(["rep"]), "sets")
     links = stage(sets.where(F.col("size") <= CHUNK).groupBy("cluster").applyInArrow(_exact_small(percent), "a long, b long"), "links")
     if placed.where(F.col("size") > CHUNK).limit(1).count():
         links = links.union(_large_clusters(sets.where(F.col("size") > CHUNK).select("rep", "cluster", "chunk", "shingles"), percent))
-    final = components(links)
+    # classes that share a document with several texts
+    repeated = with_set.groupBy("doc_id").agg(F.min("k1").alias("a"), F.max("k1").alias("b")).where("a <> b").select("doc_id")
+    several = stage(with_set.join(repeated, "doc_id").select("doc_id", "k1", "k2").distinct(), "several")
+    if several.limit(1).count():
+        held = several.join(classes.select("k1", "k2", "rep"), ["k1", "k2"]).select("doc_id", "rep")
+        links = links.union(held.join(held.groupBy("doc_id").agg(F.min("rep").alias("a")), "doc_id").select("a", F.col("rep").alias("b")))
+    final = stage(components(links), "final")
     named = classes.join(final.withColumnRenamed("id", "rep"), "rep", "left").select("k1", "k2", F.coalesce("component", "rep").alias("component_id"), ((F.col("n") > 1) | F.col("component").isNotNull()).alias("moved"))
-    # a class of very many copies is dealt over SALTS keys
-    spread = named.where("moved").select("k1", "k2", "component_id", F.explode(F.array(*map(F.lit, range(SALTS)))).alias("salt"))
-    rows = sketches.select("doc_id", "n_shingles", "k1", "k2", F.pmod(F.hash("doc_id"), F.lit(SALTS)).alias("salt"))
-    out = rows.join(spread, ["k1", "k2", "salt"], "left")
+    sweep(spark, since, sketches, classes, final)
+    rows = sketches.select("doc_id", "n_shingles", "k1", "k2")
+    # a class of very many copies is dealt over several keys
+    out = salted_join(rows, named.where("moved").select("k1", "k2", "component_id"), ["k1", "k2"], "doc_id", "left")
     component = F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id")).otherwise(F.col("doc_id"))
     return out.select("doc_id", "n_shingles", component.alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
 
 def drop_near_duplicates(docs: DataFrame, percent: int = 75, words: int = 5) -> DataFrame:
     """The rows of ``docs`` without those whose component has a smaller id; all columns as they are."""
-    judged = near_duplicates(docs, percent, words).where("doc_id is not null").groupBy("doc_id").agg(F.bool_or("kept").alias("stay"))
-    gone = judged.where(~F.col("stay")).select(F.col("doc_id").alias("__gone"))
-    return docs.join(gone, docs["doc_id"] == gone["__gone"], "left_anti")
+    judged = near_duplicates(docs, percent, words).where("doc_id is not null and n_shingles > 0").groupBy("doc_id").agg(F.bool_or("kept").alias("stay"))
+    name = unused(docs, "__gone")
+    gone = judged.where(~F.col("stay")).select(F.col("doc_id").alias(name))
+    return docs.join(gone, docs["doc_id"] == gone[name], "left_anti")
