@@ -1,10 +1,12 @@
 """Near-duplicate vectors by p-stable hashing and exact cosine.
 
 Unit vectors at cosine c lie sqrt(2 - 2c) apart, so quantised random projections put close vectors into one bucket. Each of
-several tables joins some projections to a key; the number of projections grows with the logarithm of the input, so buckets
-stay small, and the number of tables follows from the recall wanted at the threshold itself. In each bucket all pairs are
+several tables joins some projections to a key. The number of projections lets a bucket of unrelated vectors grow with the root
+of the input, which keeps matrix products a small share and the tables few: their number follows from the recall wanted at the
+threshold itself. In each bucket all pairs are
 compared by matrix products in double precision. A pair counts in the first table where both keys agree, so no pair is sent or
-counted twice, and none is emitted: a bucket returns how many links each vector has there, and a spanning forest of them.
+counted twice, and none is emitted: a bucket returns how many links each vector has there, and a spanning forest of them. Vectors
+travel in the precision that they came in and without keys: a bucket works out the keys of those that have a link there.
 
 Equal vectors are one point with a weight. A bucket of more than ``BLOCK`` points is cut into blocks, and pairs of blocks are
 separate tasks, so that no bucket is ever gathered in one place.
@@ -22,12 +24,12 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import FloatType
 
-from .common import stage
-from .components import Forest, components
+from .common import salted_join, stage
+from .components import Forest, chain, components
 
 BLOCK = 512
-SALTS = 16
 WIDTH_FACTOR = 4.0  # bucket width, in distances at the threshold
 
 
@@ -43,8 +45,9 @@ def collide(distance: float, width: float) -> float:
     return 1 - 2 * _phi(-r) - 2 / (math.sqrt(2 * math.pi) * r) * (1 - math.exp(-r * r / 2))
 
 
-def plan(points: int, threshold: float, recall: float, bucket: int = 64) -> tuple[float, int, int]:
-    """Bucket width, projections a table, tables."""
+def plan(points: int, threshold: float, recall: float, bucket: int = 0) -> tuple[float, int, int]:
+    """Bucket width, projections a table, tables. ``bucket``: unrelated vectors in one bucket, the root of ``points`` but BLOCK at least."""
+    bucket = bucket or max(BLOCK, math.isqrt(points))
     near = math.sqrt(2 - 2 * threshold)
     width = WIDTH_FACTOR * near
     far = collide(math.sqrt(2), width)  # vectors that have nothing to do with each other
@@ -61,7 +64,8 @@ def _projections(dim: int, k: int, tables: int, seed: int) -> tuple[np.ndarray,
 def table_keys(x: np.ndarray, width: float, k: int, tables: int, seed: int) -> np.ndarray:
     """64-bit key of each unit vector in each table."""
     a, shift = _projections(x.shape[1], k, tables, seed)
-    cells = np.floor(x @ a / width + shift).astype(np.int64).view(np.uint64).reshape(len(x), tables, k)
+    # one vector after the other in a fixed order of sums: equal vectors get equal keys in whatever company
+    cells = np.floor(np.einsum("ij,jk->ik", x, a) / width + shift).astype(np.int64).view(np.uint64).reshape(len(x), tables, k)
     h = np.full((len(x), tables), np.uint64(0x9E3779B97F4A7C15))
     for i in range(k):
         h = (h ^ cells[:, :, i]) * np.uint64(0xFF51AFD7ED558CCD)
@@ -79,41 +83,46 @@ def _vectors(column: pa.ChunkedArray) -> list[np.ndarray | None]:
     return out
 
 
-def _points(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        rows = [None if x is None else (x / np.abs(x).max()).tobytes() for x in _vectors(pa.chunked_array([batch.column(1)]))]
-        yield pa.record_batch([batch.column(0), pa.array(rows, pa.binary())], names=["vec_id", "x"])
+def _points(single: bool):
+    """Usable vectors as bytes; those in double precision are scaled, so that no square overflows."""
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = [None if x is None else (x.astype(np.float32) if single else x / np.abs(x).max()).tobytes() for x in _vectors(pa.chunked_array([batch.column(1)]))]
+            yield pa.record_batch([batch.column(0), pa.array(rows, pa.binary())], names=["vec_id", "x"])
+
+    return run
 
-def _keyed(width: float, k: int, tables: int, seed: int):
+
+def units(raw: list[bytes], single: bool) -> np.ndarray:
+    """Vectors of one length, normalised in double precision."""
+    x = np.array([np.frombuffer(v, np.float32 if single else np.float64) for v in raw], np.float64)
+    return x / np.linalg.norm(x, axis=1, keepdims=True)
+
+
+def _keyed(width: float, k: int, tables: int, seed: int, single: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            raw = [np.frombuffer(x) for x in batch.column(2).to_pylist()]
-            keys: list[bytes] = [b""] * len(raw)
-            for dim in {len(x) for x in raw}:
-                at = [i for i, x in enumerate(raw) if len(x) == dim]
-                x = np.array([raw[i] for i in at])
-                h = table_keys(x / np.linalg.norm(x, axis=1, keepdims=True), width, k, tables, seed)
+            raw = batch.column(1).to_pylist()
+            keys: list[np.ndarray | None] = [None] * len(raw)
+            for size in {len(x) for x in raw}:
+                at = [i for i, x in enumerate(raw) if len(x) == size]
+                h = table_keys(units([raw[i] for i in at], single), width, k, tables, seed)
                 for i, row in zip(at, h, strict=True):
-                    keys[i] = (row ^ np.uint64(dim)).tobytes()
-            lists = [np.frombuffer(b, np.int64) for b in keys]
-            yield pa.record_batch([batch.column(0), batch.column(1), batch.column(2), pa.array(keys, pa.binary()), pa.array(lists, pa.list_(pa.int64()))], names=["rep", "weight", "x", "keys", "buckets"])
+                    keys[i] = (row ^ np.uint64(size)).view(np.int64)
+            yield pa.record_batch([batch.column(0), pa.array(keys, pa.list_(pa.int64()))], names=["rep", "buckets"])
 
     return run
 
 
-def _pairs(threshold: float):
+def _pairs(threshold: float, width: float, k: int, tables: int, seed: int, single: bool):
     """Links between the two sides of a task (block a and block b of a bucket; both the same for the diagonal)."""
 
     def run(table: pa.Table) -> pa.Table:
         number = table.column("table")[0].as_py()
         a, b = table.column("a")[0].as_py(), table.column("b")[0].as_py()
-        reps = np.array(table.column("rep").to_pylist(), np.int64)
-        side = np.array(table.column("block").to_pylist())
-        weight = np.array(table.column("weight").to_pylist(), np.int64)
-        x = np.array([np.frombuffer(v) for v in table.column("x").to_pylist()])
-        x = x / np.linalg.norm(x, axis=1, keepdims=True)
-        keys = np.array([np.frombuffer(v, np.uint64) for v in table.column("keys").to_pylist()])[:, :number]
+        reps, side, weight = (table.column(c).to_numpy().astype(np.int64) for c in ("rep", "block", "weight"))
+        x = units(table.column("x").to_pylist(), single)
         left = np.flatnonzero(side == a)
         right = left if a == b else np.flatnonzero(side == b)
         got, forest = np.zeros(len(reps), np.int64), Forest()
@@ -123,55 +132,50 @@ def _pairs(threshold: float):
         i, j = np.nonzero(near)
         i, j = left[i], right[j]
         if number and len(i):
+            # a pair that an earlier table has in one bucket counts there
+            ends, at = np.unique(np.r_[i, j], return_inverse=True)
+            keys = table_keys(x[ends], width, k, tables, seed)[:, :number]
             fresh = np.ones(len(i), bool)
             for lo in range(0, len(i), 1 << 16):
-                fresh[lo : lo + (1 << 16)] = ~(keys[i[lo : lo + (1 << 16)]] == keys[j[lo : lo + (1 << 16)]]).any(axis=1)
+                part = slice(lo, min(lo + (1 << 16), len(i)))
+                fresh[part] = ~(keys[at[: len(i)][part]] == keys[at[len(i) :][part]]).any(axis=1)
             i, j = i[fresh], j[fresh]
         np.add.at(got, i, weight[j])
         np.add.at(got, j, weight[i])
         for p, q in zip(reps[i].tolist(), reps[j].tolist(), strict=True):
             forest.join(p, q)
         ids = np.flatnonzero(got)
-        roots = [forest.root(r) for r in reps[ids].tolist()]
         # a chain through each tree, so that no vector gets many links
-        last: dict[int, int] = {}
-        other = []
-        for r, root in zip(reps[ids].tolist(), roots, strict=True):
-            other.append(last.get(root, root))
-            last[root] = r
-        return pa.table([pa.array(reps[ids]), pa.array(got[ids]), pa.array(other, pa.int64())], names=["rep", "links", "other"])
+        before = dict(chain((x, root) for x, root in forest.links() if x != root))
+        return pa.table([pa.array(reps[ids]), pa.array(got[ids]), pa.array([before.get(r, r) for r in reps[ids].tolist()], pa.int64())], names=["rep", "links", "other"])
 
     return run
 
 
 def near_vectors(vectors: DataFrame, threshold: float = 0.9, recall: float = 0.995, seed: int = 3) -> DataFrame:
     """vec_id, n_links, component_id, kept of each row of ``vectors`` (vec_id, embedding)."""
-    rows = stage(vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding")).mapInArrow(_points, "vec_id long, x binary"), "vectors")
+    single = isinstance(vectors.schema["embedding"].dataType.elementType, FloatType)
+    rows = stage(vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding")).mapInArrow(_points(single), "vec_id long, x binary"), "vectors")
     usable = rows.where("x is not null and vec_id is not null")
     points = stage(usable.groupBy("x").agg(F.min("vec_id").alias("rep"), F.count("*").alias("weight")).select("rep", "weight", "x"), "points")
     width, k, tables = plan(points.count(), threshold, recall)
-    keyed = stage(points.mapInArrow(_keyed(width, k, tables, seed), "rep long, weight long, x binary, keys binary, buckets array<long>"), "keyed")
-    slots = keyed.select("rep", F.posexplode("buckets").alias("table", "bucket"))
-    sizes = slots.groupBy("table", "bucket").agg(F.count("*").alias("n")).where("n > 1")
-    # buckets of several points; members of a large one are dealt over SALTS keys on the way
-    large = sizes.where(F.col("n") > BLOCK).withColumn("salt", F.explode(F.array(*map(F.lit, range(SALTS)))))
-    salted = slots.withColumn("salt", F.pmod(F.hash("rep"), F.lit(SALTS)))
-    big = salted.join(large, ["table", "bucket", "salt"]).select("rep", "table", "bucket", "n")
-    rest = salted.join(large.select("table", "bucket", "salt"), ["table", "bucket", "salt"], "left_anti").join(sizes.where(F.col("n") <= BLOCK), ["table", "bucket"]).select("rep", "table", "bucket", "n")
-    members = rest.union(big).withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int")).withColumn("block", F.pmod(F.hash("rep", "table"), F.col("blocks")).cast("int"))
+    keyed = points.select("rep", "x").mapInArrow(_keyed(width, k, tables, seed, single), "rep long, buckets array<long>")
+    slots = stage(keyed.select("rep", F.posexplode("buckets").alias("table", "bucket")), "slots")
+    sizes = stage(slots.groupBy("table", "bucket").agg(F.count("*").alias("n")).where("n > 1"), "buckets")
+    # buckets of several points; members of a large one are dealt over several keys on the way
+    members = salted_join(slots, sizes, ["table", "bucket"], "rep").withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int"))
+    members = members.withColumn("block", F.pmod(F.hash("rep", "table"), F.col("blocks")).cast("int"))
     # block pairs (a, b) with a <= b that a member takes part in
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
     tasks = members.withColumn("o", other).withColumn("a", F.least("block", "o")).withColumn("b", F.greatest("block", "o")).select("rep", "table", "bucket", "block", "a", "b")
-    found = tasks.join(keyed.select("rep", "weight", "x", "keys"), "rep").groupBy("table", "bucket", "a", "b").applyInArrow(_pairs(threshold), "rep long, links long, other long")
+    found = tasks.join(points, "rep").withColumn("size", F.length("x")).groupBy("table", "bucket", "a", "b", "size").applyInArrow(_pairs(threshold, width, k, tables, seed, single), "rep long, links long, other long")
     found = stage(found, "vector-links")
     counts = found.groupBy("rep").agg(F.sum("links").alias("links"))
     labels = components(found.select(F.col("rep").alias("a"), F.col("other").alias("b"))).withColumnRenamed("id", "rep")
     known = points.join(counts, "rep", "left").join(labels, "rep", "left")
     known = known.select("x", (F.coalesce("links", F.lit(0)) + F.col("weight") - 1).alias("n_links"), F.coalesce("component", "rep").alias("component_id"))
-    # a vector with very many copies is dealt over SALTS keys
-    spread = known.where("n_links > 0").withColumn("salt", F.explode(F.array(*map(F.lit, range(SALTS)))))
-    out = rows.withColumn("salt", F.pmod(F.hash("vec_id"), F.lit(SALTS))).join(spread, ["x", "salt"], "left")
+    # a vector with very many copies is dealt over several keys
+    out = salted_join(rows, known.where("n_links > 0"), ["x"], "vec_id", "left")
     own = F.col("vec_id").isNotNull()
     component = F.when(own, F.coalesce("component_id", "vec_id"))
     return out.select("vec_id", F.when(own, F.coalesce("n_links", F.lit(0))).otherwise(0).alias("n_links"), component.alias("component_id")).withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))
-
