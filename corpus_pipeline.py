@@ -9,7 +9,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from couponspark.llm.common import stage
+from couponspark.llm.common import mark, stage, sweep
 from couponspark.llm.packing import pack_documents
 from couponspark.llm.secret_scan import remove_live
 from couponspark.llm.set_join import drop_near_duplicates
@@ -33,8 +33,9 @@ def cut_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def hide_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts with live secrets replaced."""
-    return remove_live(docs)
+    """Texts with live secrets replaced. Owners are counted in all of ``documents``: earlier stages drop the copies that tell an
+    example from a secret."""
+    return remove_live(docs, corpus=spark.read.parquet(f"{sf_dir}/documents.parquet"))
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -50,8 +51,10 @@ ORACLE_SQL = None  # a trained network and sequence packing are not SQL; tests c
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Apply all stages to ``documents``; each result is written and read again."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    since = mark()
     for i, (name, step) in enumerate(STAGES):
         docs = step(spark, docs, sf_dir)
         if i + 1 < len(STAGES):
             docs = stage(docs, f"pipeline-{name}")
+            sweep(spark, since, docs)
     return docs
