@@ -28,7 +28,7 @@ from .components import Forest, chain, components
 
 WIDTH = 64
 LEAF = 64
-RECALL = 0.99
+RECALL = 0.98
 DEPTH = 8
 STUBBORN = 3  # from this level on, a large node that keeps half of its parent is one cluster
 BRANCH = 0.33  # chance that a node picks a second coordinate
