@@ -82,31 +82,39 @@ def likeliest_registers(h: np.ndarray, k: int) -> np.ndarray:
     return 2.0 ** ((lo + hi) / 2)
 
 
+def _counts_upto(values: np.ndarray, where: np.ndarray, upto: np.ndarray, size: int) -> np.ndarray:
+    """How often each of 0..size-1 occurs among ``values`` whose place in ``where`` (rising) lies before each of ``upto``."""
+    order = np.argsort(values.astype(np.int8), kind="stable")
+    edges = np.searchsorted(values[order], np.arange(size + 1))
+    places = where[order]
+    return np.stack([np.searchsorted(places[lo:hi], upto, side="left") for lo, hi in zip(edges[:-1], edges[1:], strict=True)], axis=1).astype(float)
+
+
 def along(k: int, run: tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray], points: np.ndarray) -> dict[str, np.ndarray]:
     """All six estimates at each count in ``points``."""
     rows, cols, at, rest = run
     upto = np.searchsorted(at, points, side="right")
-    occ = np.zeros((len(points), COLUMNS))
-    hist = np.zeros((len(points), COLUMNS + 1))
-    regs, history, rhistory, mass = np.zeros(k, np.int64), np.r_[0.0, np.cumsum(1 / rest)], 0.0, 1.0
-    counts = np.zeros(COLUMNS)
-    out = {"register": np.zeros(len(points)), "register_history": np.zeros(len(points))}
-    inverse, i = float(k), 0
-    for t in np.argsort(upto, kind="stable"):
-        for j in range(i, upto[t]):
-            r, c = rows[j], cols[j]
-            counts[c - 1] += 1
-            if c > regs[r]:
-                rhistory += k / inverse
-                inverse += 2.0**-c - 2.0 ** -regs[r]
-                regs[r] = c
-        i = max(i, upto[t])
-        occ[t], hist[t] = counts, np.bincount(regs, minlength=COLUMNS + 1)
-        inverse = float((2.0**-regs).sum())
-        raw, empty = register_alpha(k) * k * k / inverse, int((regs == 0).sum())
-        out["register"][t] = k * np.log(k / empty) if raw <= 2.5 * k and empty else raw
-        out["register_history"][t] = rhistory
-    return out | {"count_inverse": invert_counts(occ.sum(axis=1), k), "code_length": shortest_code(occ, k), "register_code_length": likeliest_registers(hist, k), "history": history[upto]}
+    occ = _counts_upto(cols - 1, np.arange(len(cols)), upto, COLUMNS)
+    history = np.r_[0.0, np.cumsum(1 / rest)]
+    # the largest column of each row before each discovery: a running maximum in which later rows start higher
+    order = np.argsort(rows.astype(np.int32), kind="stable")
+    lifted = np.maximum.accumulate(rows[order] * (COLUMNS + 1) + cols[order])
+    before = np.empty(len(cols), np.int64)
+    before[order] = np.r_[0, np.maximum(lifted[:-1] - rows[order][1:] * (COLUMNS + 1), 0)]
+    up = np.flatnonzero(cols > before)
+    old, new = before[up], cols[up]
+    hist = _counts_upto(new, up, upto, COLUMNS + 1) - _counts_upto(old, up, upto, COLUMNS + 1)
+    hist[:, 0] += k
+    # register mass before each rise, summed from the far end so that it never cancels
+    loss = 2.0**-old - 2.0**-new
+    ends = np.zeros(k, np.int64)
+    np.maximum.at(ends, rows, cols)
+    mass = (2.0**-ends).sum() + np.cumsum(loss[::-1])[::-1]
+    rhistory = np.r_[0.0, np.cumsum(k / mass)][np.searchsorted(up, upto, side="left")]
+    inverse = hist @ 2.0 ** -np.arange(COLUMNS + 1)
+    raw, empty = register_alpha(k) * k * k / inverse, hist[:, 0]
+    register = np.where((raw <= 2.5 * k) & (empty > 0), k * np.log(k / np.maximum(empty, 0.5)), raw)
+    return {"register": register, "register_history": rhistory, "count_inverse": invert_counts(occ.sum(axis=1), k), "code_length": shortest_code(occ, k), "register_code_length": likeliest_registers(hist, k), "history": history[upto]}
 
 
 def simulate(spark: SparkSession, ks: Sequence[int], trials: int, log_from: float, log_to: float, n_points: int, seed: int = 1) -> DataFrame:
@@ -155,15 +163,17 @@ def fit_inverse_k(points: DataFrame, value: str) -> DataFrame:
     return points.groupBy("estimator").applyInPandas(fit, "estimator string, c0 double, c1 double, c2 double")
 
 
-def digits_uncertain(runs: DataFrame, folds: int = 8) -> DataFrame:
-    """(estimator, c0, digits): the fitted limit and how many digits of it the spread over disjoint parts of the trials leaves."""
-    parts = moments(runs.withColumn("fold", F.pmod("trial", F.lit(folds))), ["fold"])
+def digits_uncertain(runs: DataFrame, log_from: float, log_to: float, folds: int = 10) -> DataFrame:
+    """(estimator, c0, digits): the limit by a quadratic fit in 1/k, made anew from each of ``folds`` disjoint stretches of the flat part, and
+    how many digits of their mean the spread between them leaves."""
+    stretch = F.least(F.floor((F.log2(F.col("n") / F.col("k")) - log_from) / (log_to - log_from) * folds), F.lit(folds - 1)).cast("int")
+    parts = moments(runs.withColumn("fold", F.greatest(stretch, F.lit(0))), ["fold"])
 
     def fit(g: pd.DataFrame) -> pd.DataFrame:
         limits = []
         for _, part in g.groupby("fold"):
             x = 1 / part["k"].to_numpy(float)
-            limits.append(np.linalg.lstsq(np.stack([np.ones_like(x), x], axis=1), part["scaled_error"].to_numpy(float), rcond=None)[0][0])
+            limits.append(np.linalg.lstsq(np.stack([np.ones_like(x), x, x * x], axis=1), part["scaled_error"].to_numpy(float), rcond=None)[0][0])
         mean, error = float(np.mean(limits)), float(np.std(limits, ddof=1) / len(limits) ** 0.5)
         return pd.DataFrame({"estimator": [g["estimator"].iloc[0]], "c0": [mean], "digits": [-np.log10(error / mean)]})
 

@@ -2,58 +2,122 @@
 
 from __future__ import annotations
 
+import math
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import functions as F
 
+from couponspark.functions import hashing as H
 from couponspark.operators import codec as C
 from couponspark.operators import simulate as X
+from couponspark.operators import state
+from couponspark.sources import sketch_store
+from couponspark.sources.sketch_store import scratch
 
-from .registry import query
+from .registry import query, table
 
-KS, TRIALS, POINTS = (16, 32, 64, 128), 120, 24
+KS = tuple(1 << e for e in range(4, 14))
+TRIALS, POINTS, FLAT = 64, 200, (25, 75)  # the flat part of the curves: counts from k 2^25 to k 2^75
+#: Limits that theory gives for sqrt(k) * relative error, and the next coefficient of one of them.
+THEORY = {"count_inverse": math.log(2), "history": math.sqrt(math.log(2) / 2), "register": math.sqrt(3 * math.log(2) - 1), "register_history": math.sqrt(math.log(2))}
+NEXT = {"register_history": 0.449347}
+_RUNS: dict[str, str] = {}
 
 
-def flat(spark, seed=1):
-    """Moments over the flat part of the curves, far above k."""
-    return X.moments(X.simulate(spark, KS, TRIALS, 25, 70, POINTS, seed))
+def flat_runs(spark):
+    """Runs over the flat part, simulated once a session and written to the shared folder: five reports read them."""
+    app = spark.sparkContext.applicationId
+    if app not in _RUNS:
+        path = f"{scratch(spark)}/flat-{uuid.uuid4().hex[:12]}"
+        X.simulate(spark, KS, TRIALS, *FLAT, POINTS).write.parquet(path)
+        _RUNS[app] = path
+    return spark.read.parquet(_RUNS[app])
+
+
+def fitted(spark):
+    """(estimator, c0, c1, c2, theory, theory_c1): limits by a quadratic fit in 1/k beside theory."""
+    known = lambda values: F.create_map(*[F.lit(x) for pair in values.items() for x in pair])[F.col("estimator")]
+    return X.fit_inverse_k(X.moments(flat_runs(spark)), "scaled_error").withColumn("theory", known(THEORY)).withColumn("theory_c1", known(NEXT))
 
 
 @query("simulated_error_constants")
 def _(spark, d):
-    return flat(spark).select("k", "estimator", "runs", "scaled_error")
+    return X.moments(flat_runs(spark)).select("k", "estimator", "runs", "scaled_error")
 
 
 @query("simulated_bias_constants")
 def _(spark, d):
-    return flat(spark).select("k", "estimator", "runs", "scaled_bias")
+    return X.moments(flat_runs(spark)).select("k", "estimator", "runs", "scaled_bias")
 
 
 @query("inverse_k_fit")
 def _(spark, d):
-    return X.fit_inverse_k(flat(spark), "scaled_error")
+    return fitted(spark)
 
 
 @query("digits_uncertain")
 def _(spark, d):
-    """How many digits of each limit these few runs fix."""
-    return X.digits_uncertain(X.simulate(spark, KS, TRIALS, 25, 70, POINTS))
+    """How many digits of each limit the flat part fixes, by its disjoint stretches."""
+    return X.digits_uncertain(flat_runs(spark), *FLAT)
 
 
-@query("error_curve_simulated")
+@query("digits_match")
 def _(spark, d):
-    """Scaled error against n for six estimators, k = 64: the ordering of the methods, from small counts to the flat part."""
-    runs = X.simulate(spark, (64,), 200, -4, 10, 15)
+    """How many digits of each measured limit agree with theory."""
+    return fitted(spark).where("theory is not null").select("estimator", "c0", "theory", (-F.log10(F.abs(F.col("c0") / F.col("theory") - 1))).alias("digits"))
+
+
+def curve(runs, *by):
     r = F.col("estimate") / F.col("n") - 1
-    return runs.groupBy("n", "estimator").agg((8 * F.sqrt(F.avg(r * r))).alias("scaled_error"))
+    return runs.groupBy("n", "estimator", *by).agg(F.sqrt(F.avg(r * r)).alias("error"), F.count("*").alias("runs"))
+
+
+@query("error_curve_simulated")
+def _(spark, d):
+    """Scaled error against n for six estimators, k = 512: the ordering of the methods, from small counts to the flat part."""
+    return curve(X.simulate(spark, (512,), 200, -4, 12, 17)).select("n", "estimator", (F.sqrt(F.lit(512.0)) * F.col("error")).alias("scaled_error"))
+
+
+MATCHED = {"summary": ("count_inverse", "register"), "code_length": ("code_length", "register_code_length"), "history": ("history", "register_history")}
+
+
+@query("matched_space_simulated")
+def _(spark, d):
+    """Errors of a matrix of 2^15 rows and of registers of 2^16, which take about the same compressed space, for counts from 2^6 to
+    2^26: three pairs of methods and the ratio of their errors."""
+    kind = F.create_map(*[F.lit(x) for name, pair in MATCHED.items() for e in pair for x in (e, name)])[F.col("estimator")]
+    runs = X.simulate(spark, (1 << 15,), 24, -9, 11, 11).where(F.col("estimator").isin([m for m, _ in MATCHED.values()]))
+    runs = runs.union(X.simulate(spark, (1 << 16,), 24, -10, 10, 11, seed=2).where(F.col("estimator").isin([r for _, r in MATCHED.values()])))
+    both = curve(runs, "k").withColumn("kind", kind).groupBy("kind", "n")
+    out = both.agg(F.max(F.when(F.col("k") == 1 << 15, F.col("error"))).alias("matrix"), F.max(F.when(F.col("k") == 1 << 16, F.col("error"))).alias("registers"))
+    return out.withColumn("ratio", F.col("registers") / F.col("matrix"))
+
+
+@query("space_at_prefixes")
+def _(spark, d):
+    """Compressed bytes of the matrix (2^15 rows) and of registers (2^16) after growing prefixes of ``lineitem``, and their share of the rows."""
+    li, ks = table(spark, d, "lineitem"), {"window_zstd": 1 << 15, "register_zstd": 1 << 16}
+    order = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice", "l_quantity", "l_shipdate", "l_discount", "l_tax", "l_returnflag", "l_linestatus"]
+    marks = spark.createDataFrame([(1 << e,) for e in range(8, 28, 2)], "upto long")
+    longest = li.groupBy().agg(F.max("l_orderkey").alias("last"))
+    out = None
+    for codec, k in ks.items():
+        first = state.first_arrivals(li, order, ["l_orderkey"], (), k)
+        near = marks.crossJoin(F.broadcast(longest)).where(F.col("upto") <= F.col("last"))
+        words = first.join(F.broadcast(near), F.col("first_pos.l_orderkey") <= F.col("upto")).groupBy("upto", "row_id").agg(F.bit_or(H.shift_left(F.lit(1).cast("bigint"), F.col("col_id") - 1)).alias("word"))
+        part = sketch_store.unpacked_size(words, ["upto"], k, C.encode_window if codec == "window_zstd" else lambda w: C.encode_register_zstd(C.registers_of(w)))
+        part = part.select("upto", F.lit(codec).alias("codec"), F.lit(k).alias("k"), "coupons", "size", (8 * F.col("size") / k).alias("bits_per_row"))
+        out = part if out is None else out.union(part)
+    return out
 
 
 @query("small_n_simulation")
 def _(spark, d):
     """n = 64, k = 512 by real draws."""
-    return X.moments(X.simulate_direct(spark, 512, 64, 3000)).select("k", "estimator", "runs", "scaled_error")
+    return X.moments(X.simulate_direct(spark, 512, 64, 20000)).select("k", "estimator", "runs", "scaled_error")
 
 
 def sizes(spark, cases, measure):
