@@ -9,7 +9,7 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 PORTABLE_COLUMNS = 61  # leading zeros of 60 bits, 0..60
@@ -40,16 +40,25 @@ def present(ids: str | Column | Sequence[str | Column]) -> Column:
 
 
 def canonical(c: Column, kind: str) -> Column:
-    """One rendering for equal values: integers widened, negative zero as zero."""
+    """One value for equal ids whatever type holds them: integers widened, negative zero as zero, text free of its length."""
     if kind in ("tinyint", "smallint", "int"):
         return c.cast("bigint")
     if kind in ("float", "double"):
         return F.when(c == 0, F.lit(0.0)).otherwise(c.cast("double"))
+    if kind.startswith(("varchar", "char")):
+        return c.cast("string")
     return c
 
 
+def typed(df: DataFrame, ids: str | Column | Sequence[str | Column]) -> list[Column]:
+    """The id columns of ``df`` in one rendering, so that a sketch of INT ids merges with one of BIGINT ids."""
+    cols = as_columns(ids)
+    return [canonical(c, f.dataType.simpleString()) for c, f in zip(cols, df.select(*cols).schema, strict=True)]
+
+
 def portable_pair(ids: str | Column | Sequence[str | Column], seed: str | Column | None = None) -> tuple[Column, Column]:
-    """(hi, lo): 60 bits for the column and 60 for the row."""
+    """(hi, lo): 60 bits for the column and 60 for the row. Parts of an id are joined by ``|``, as SQL twins do: parts that may hold
+    that sign themselves need the fast profile."""
     parts = [c.cast("string") for c in as_columns(ids)]
     if seed is not None:
         parts = [(F.lit(seed) if isinstance(seed, str) else seed).cast("string"), *parts]

@@ -59,18 +59,21 @@ def est_history(arrivals: DataFrame, by: By = (), k: int = 1024, columns: int =
     return history_steps(arrivals, by, k, columns).groupBy(*by).agg(F.count("*").alias("coupons"), F.sum("step").alias("estimate"))
 
 
-def register_history_steps(arrivals: DataFrame, by: By = (), k: int = 1024, columns: int = H.FAST_COLUMNS) -> DataFrame:
-    """Coupons that raise their row's register, with one over the register mass before."""
+def register_history_steps(arrivals: DataFrame, by: By = (), k: int = 1024, columns: int = H.FAST_COLUMNS, every: bool = False) -> DataFrame:
+    """Coupons that raise their row's register, with one over the register mass before; ``every``: the others too, with step 0."""
     one = F.lit(1).cast("bigint")
     in_row = Window.partitionBy(*by, "row_id").orderBy("first_pos", "col_id").rowsBetween(Window.unboundedPreceding, -1)
-    raised = arrivals.withColumn("old", F.coalesce(F.max("col_id").over(in_row), F.lit(0))).where("col_id > old")
+    raised = arrivals.withColumn("old", F.coalesce(F.max("col_id").over(in_row), F.lit(0)))
+    rises = F.col("col_id") > F.col("old")
+    raised = raised if every else raised.where(rises)
     unit = lambda c: H.shift_left(one, F.lit(columns) - c).cast("decimal(20,0)")
     before = Window.partitionBy(*by).orderBy("first_pos", "row_id").rowsBetween(Window.unboundedPreceding, -1)
     # a row at register v leaves mass 2^-v to columns beyond v
     loss = F.when(F.col("old") == 0, F.lit(str(1 << columns)).cast("decimal(20,0)")).otherwise(unit(F.col("old"))) - unit(F.col("col_id"))
     total = k << columns
     rest = F.lit(str(total)).cast("decimal(38,0)") - F.coalesce(F.sum("loss").over(before), F.lit(0).cast("decimal(38,0)"))
-    return raised.withColumn("loss", loss).withColumn("step", F.lit(float(total)) / rest.cast("double"))
+    raised = raised.withColumn("loss", F.when(rises, loss).otherwise(F.lit(0).cast("decimal(20,0)")))
+    return raised.withColumn("step", F.when(F.col("col_id") > F.col("old"), F.lit(float(total)) / rest.cast("double")).otherwise(0.0))
 
 
 def est_register_history(arrivals: DataFrame, by: By = (), k: int = 1024, columns: int = H.FAST_COLUMNS) -> DataFrame:
@@ -83,18 +86,17 @@ def est_hybrid_history(arrivals: DataFrame, by: By = (), k: int = 1024, columns:
     steps = history_steps(arrivals, by, k, columns)
     upto = Window.partitionBy(*by).orderBy("first_pos", "row_id", "col_id").rowsBetween(Window.unboundedPreceding, 0)
     early = steps.withColumn("sum", F.sum("step").over(upto)).withColumn("early", F.col("sum") - F.col("step") < switch * k)
-    regs = register_history_steps(arrivals, by, k, columns).select(*by, "row_id", "col_id", F.col("step").alias("register_step"))
-    both = early.join(regs, [*by, "row_id", "col_id"], "left")
-    step = F.when(F.col("early"), F.col("step")).otherwise(F.coalesce("register_step", F.lit(0.0)))
+    both = register_history_steps(early.withColumnRenamed("step", "matrix_step"), by, k, columns, every=True)
+    step = F.when(F.col("early"), F.col("matrix_step")).otherwise(F.col("step"))
     return both.groupBy(*by).agg(F.sum(step).alias("estimate"), F.sum(F.col("early").cast("bigint")).alias("matrix_coupons"))
 
 
 def est_hybrid(words: DataFrame, by: By = (), k: int = 1024, columns: int = H.FAST_COLUMNS, switch: float = 0.1) -> DataFrame:
     """Count-inverse below ``switch`` * k, the register estimate of the same state from there on."""
-    a = est_count_inverse(words, by, k, columns).withColumnRenamed("estimate", "matrix")
-    b = est_register(state.registers(words, by), by, k).withColumnRenamed("estimate", "registers")
-    joined = a.join(b, list(by)) if by else a.crossJoin(b)
-    return joined.select(*by, F.when(F.col("matrix") < switch * k, F.col("matrix")).otherwise(F.col("registers")).alias("estimate"))
+    lost = F.sum(F.pow(F.lit(2.0), -F.length(F.bin("word"))))
+    sums = words.groupBy(*by).agg(F.coalesce(F.sum(F.bit_count("word")), F.lit(0)).cast("bigint").alias("coupons"), (F.coalesce(lost, F.lit(0.0)) + k - F.count("*")).alias("s"), (F.lit(k) - F.count("*")).alias("empty"))
+    both = sums.select(*by, S.count_inverse(F.col("coupons"), k, columns).alias("matrix"), S.register_estimate(F.col("s"), F.col("empty"), k).alias("registers"))
+    return both.select(*by, F.when(F.col("matrix") < switch * k, F.col("matrix")).otherwise(F.col("registers")).alias("estimate"))
 
 
 def count_inverse_table(spark: SparkSession, k: int, columns: int = H.FAST_COLUMNS, upto: int | None = None) -> DataFrame:

@@ -14,7 +14,7 @@ By = Sequence[str]
 
 def coupon_rows(df: DataFrame, ids, by: By = (), k: int = 1024, profile: str = "fast", seed=None, extra: Sequence[str | Column] = ()) -> DataFrame:
     """One (by.., row_id, bit) for each input row with an id."""
-    row, bit = H.coupon(ids, k, profile, seed)
+    row, bit = H.coupon(H.typed(df, ids) if profile == "fast" else ids, k, profile, seed)
     return df.where(H.present(ids)).select(*by, *extra, row.alias("row_id"), bit.alias("bit"))
 
 
@@ -92,9 +92,24 @@ def downsize(words: DataFrame, k: int, by: By = ()) -> DataFrame:
 
 
 def first_arrivals(df: DataFrame, ids, order: Sequence[str], by: By = (), k: int = 1024, profile: str = "fast") -> DataFrame:
-    """(by.., row_id, col_id, first_pos): when each coupon came first; order must be total."""
-    rows = coupon_rows(df, ids, by, k, profile, extra=[F.struct(*order).alias("pos")])
-    return rows.groupBy(*by, "row_id", "bit").agg(F.min("pos").alias("first_pos")).select(*by, "row_id", H.column_number(F.col("bit")).alias("col_id"), "first_pos")
+    """(by.., row_id, col_id, first_pos): when each coupon came first; order must be total.
+
+    The least value of the first order column is a hash aggregate over all rows, which sorts nothing. Further columns decide only
+    among the rows that share it, at most a few for each of k * 63 coupons a group.
+    """
+    first, *more = order
+    rows = coupon_rows(df, ids, by, k, profile, extra=[F.col(c).alias(f"__{i}") for i, c in enumerate(order)])
+    least = rows.groupBy(*by, "row_id", "bit").agg(F.min("__0").alias("__least"))
+    if more:
+        least = least.toDF(*[f"__g{i}" for i in range(len(by))], "__row", "__bit", "__least")
+        same = (F.col("row_id") == F.col("__row")) & (F.col("bit") == F.col("__bit")) & F.col("__0").eqNullSafe(F.col("__least"))
+        for i, c in enumerate(by):
+            same = same & F.col(c).eqNullSafe(F.col(f"__g{i}"))
+        ties = rows.join(least, same).groupBy(*by, "row_id", "bit")
+        least = ties.agg(F.min(F.struct(*[F.col(f"__{i}").alias(c) for i, c in enumerate(order)])).alias("first_pos"))
+    else:
+        least = least.withColumn("first_pos", F.struct(F.col("__least").alias(first)))
+    return least.select(*by, "row_id", H.column_number(F.col("bit")).alias("col_id"), "first_pos")
 
 
 def merge_first_arrivals(a: DataFrame, b: DataFrame, by: By = ()) -> DataFrame:

@@ -26,6 +26,13 @@ def _(spark, d):
     return state.collected(sketch_store.unpack(packed.merge_bodies(parts, ["event_type"]), ["event_type"]), ["event_type"])
 
 
+@query("partition_history", G.history(G.arrivals(G.source("orders", ["o_custkey"], extra=["o_orderkey"]), "o_orderkey")))
+def _(spark, d):
+    """The Arrow path of the history: one partition in order equals the window over first arrivals."""
+    one = table(spark, d, "orders").select("o_orderkey", "o_custkey").repartition(1).sortWithinPartitions("o_orderkey")
+    return packed.partition_histories(one, "o_custkey", K, "portable").select("coupons", F.round("estimate", 4).alias("estimate"))
+
+
 @query("udtf_unpack", G.coupons(G.source("orders", ["o_custkey"])))
 def _(spark, d):
     udtf.register(spark)

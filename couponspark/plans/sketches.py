@@ -296,6 +296,27 @@ def _(spark, d):
     return rounded(E.est_hybrid(w, ["event_type"], K, J), "estimate", digits=2)
 
 
+NULLED = "(SELECT *, CASE WHEN event_type <> 'click' THEN event_type END AS kind FROM events)"
+NULL_WORDS = G.words(G.source(NULLED, ["user_id"], ["kind"]), ["kind"])
+
+
+def nulled(spark, d):
+    return table(spark, d, "events").withColumn("kind", F.when(F.col("event_type") != "click", F.col("event_type")))
+
+
+@query("hybrid_estimate_null_group", f"SELECT kind, CASE WHEN a.estimate < {0.1 * K} THEN a.estimate ELSE b.estimate END AS estimate FROM ({G.count_inverse(G.collected(NULL_WORDS, ['kind']), ['kind'])}) a JOIN (SELECT kind AS g, estimate FROM ({G.register(G.registers(NULL_WORDS, ['kind']), ['kind'], digits=2)})) b ON a.kind IS NOT DISTINCT FROM b.g")
+def _(spark, d):
+    """Groups with a null key are groups as all others."""
+    w = state.row_words(nulled(spark, d), "user_id", ["kind"], **P)
+    return rounded(E.est_hybrid(w, ["kind"], K, J), "estimate", digits=2)
+
+
+@query("hybrid_history_null_group", f"SELECT CASE WHEN g <> 'none' THEN g END AS kind, estimate, matrix_coupons FROM ({' UNION ALL '.join('SELECT ' + repr(g) + ' AS g, * FROM (' + G.hybrid_history(G.arrivals(G.source(NULLED, ['user_id'], extra=['event_id'], where=w), 'event_id')) + ')' for g, w in (('none', 'kind IS NULL'), ('view', "kind = 'view'")))})")
+def _(spark, d):
+    a = state.first_arrivals(nulled(spark, d).where("kind is null or kind = 'view'"), "user_id", ["event_id"], ["kind"], **P)
+    return rounded(E.est_hybrid_history(a, ["kind"], K, J), "estimate")
+
+
 @query("exact_distinct", "SELECT count(DISTINCT o_custkey) AS n, count(DISTINCT o_orderkey) AS n_orders FROM orders")
 def _(spark, d):
     return orders(spark, d).agg(F.count_distinct("o_custkey").alias("n"), F.count_distinct("o_orderkey").alias("n_orders"))
@@ -320,8 +341,8 @@ def _(spark, d):
     """The production profile against the truth in five groups."""
     ev = table(spark, d, "events")
     ours = E.est_count_inverse(state.row_words(ev, ["user_id", "props"], ["event_type"], k=4096), ["event_type"], 4096)
-    exact = ev.groupBy("event_type").agg(F.count_distinct("user_id", "props").alias("exact"))
-    return ours.join(exact, "event_type").select("event_type", "estimate", "exact", (F.col("estimate") / F.col("exact") - 1).alias("relative_error"))
+    exact = ev.groupBy(F.col("event_type").alias("kind")).agg(F.count_distinct("user_id", "props").alias("exact"))
+    return ours.join(exact, F.col("event_type").eqNullSafe(F.col("kind"))).select("event_type", "estimate", "exact", (F.col("estimate") / F.col("exact") - 1).alias("relative_error"))
 
 
 # ---- workloads: accuracy on the tables

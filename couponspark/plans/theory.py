@@ -94,9 +94,24 @@ both("count_inverse_error_theory", {"k": "cast(pow(2e0, e) AS BIGINT)", "bias":
 _XK = "pow(2e0, -1e0 / pow(2e0, e))"
 both("history_error_theory", {"k": "cast(pow(2e0, e) AS BIGINT)", "series": f"round((1e0 - {_XK}) / (1e0 + {_XK}), 10)", "bound": "round((pow(2e0, 1e0 / pow(2e0, e)) - 1e0) / 2e0, 10)", "standard_error": "round(sqrt(ln(2e0) / (2e0 * pow(2e0, e))), 8)"}, {"e": (4, 17)})
 both("bitmap_variance", {"n": "n", "variance": f"round({num(K)} * exp(n / {num(K)}) - n - {num(K)}, 6)", "small_n": f"round(n * n / {num(2 * K)}, 6)", "relative_error": f"round(sqrt({num(K)} * exp(n / {num(K)}) - n - {num(K)}) / n, 7)"}, {"n": (1, 400)})
-both("collision_laws", {"balls": "balls", "all_apart_matrix": "round(CASE balls WHEN 2 THEN 2e0 / 3e0 ELSE 2e0 / 7e0 END, 10)", "one_pair_matrix": "round(CASE balls WHEN 2 THEN 1e0 / 3e0 ELSE 4e0 / 7e0 END, 10)", "all_one_matrix": "round(CASE balls WHEN 2 THEN 1e0 / 3e0 ELSE 1e0 / 7e0 END, 10)", "all_apart_three_bins": "round(CASE balls WHEN 2 THEN 2e0 / 3e0 ELSE 2e0 / 9e0 END, 10)", "all_one_three_bins": "round(pow(3e0, 1 - balls), 10)"}, {"balls": (2, 4)})
+@query("collision_laws", "SELECT * FROM (VALUES (2, round(2 / 3::DOUBLE, 10), round(1 / 3::DOUBLE, 10), round(1 / 3::DOUBLE, 10), round(2 / 3::DOUBLE, 10), round(1 / 3::DOUBLE, 10)), (3, round(2 / 7::DOUBLE, 10), round(4 / 7::DOUBLE, 10), round(1 / 7::DOUBLE, 10), round(2 / 9::DOUBLE, 10), round(1 / 9::DOUBLE, 10))) t(balls, all_apart_matrix, one_pair_matrix, all_one_matrix, all_apart_three_bins, all_one_three_bins)")
+def _(spark, d):
+    """Two or three balls in one row: how often they fall into one, two or three cells, summed over all outcomes for the columns of
+    a matrix (halving masses, 60 of them) and for three equal bins. The SQL twin has the closed forms."""
+    bins = spark.range(1, 61).select(F.lit("matrix").alias("law"), "id", F.pow(F.lit(2.0), -F.col("id")).alias("p"))
+    bins = bins.union(spark.range(3).select(F.lit("three_bins"), "id", F.lit(1 / 3)))
+    power = bins.groupBy("law").agg(*[F.sum(F.pow("p", F.lit(float(i)))).alias(f"s{i}") for i in (1, 2, 3)])
+    # power sums give the chances of outcomes: all equal; exactly one pair among three; all apart
+    rows = power.select("law", F.explode(F.array(*[F.lit(b) for b in (2, 3)])).alias("balls"), "s1", "s2", "s3")
+    one = F.when(F.col("balls") == 2, F.col("s2")).otherwise(F.col("s3"))
+    pair = F.when(F.col("balls") == 2, F.col("s2")).otherwise(3 * (F.col("s2") * F.col("s1") - F.col("s3")))
+    apart = F.when(F.col("balls") == 2, F.col("s1") ** 2 - F.col("s2")).otherwise(F.col("s1") ** 3 - 3 * F.col("s1") * F.col("s2") + 2 * F.col("s3"))
+    wide = rows.select("law", "balls", one.alias("one"), pair.alias("pair"), apart.alias("apart")).groupBy("balls")
+    of = lambda law, c: F.round(F.max(F.when(F.col("law") == law, F.col(c))), 10)
+    return wide.agg(of("matrix", "apart").alias("all_apart_matrix"), of("matrix", "pair").alias("one_pair_matrix"), of("matrix", "one").alias("all_one_matrix"), of("three_bins", "apart").alias("all_apart_three_bins"), of("three_bins", "one").alias("all_one_three_bins"))
+
+
 both("buffer_overhead", {"bits_per_row": "round(items * 22 / 65536e0, 6)", "items": "items"}, {"items": (2000, 2001)})
-both("digits_match", {"i": "i", "digits": "round(-log10(abs(pow(1e1, -i) / 3e0)), 6)"}, {"i": (1, 8)})
 
 _C = ERROR_CONSTANTS
 _EFF = [("summary", _C["register"], _C["count_inverse"]), ("code_length", _C["register_code_length"], _C["code_length"]), ("history", _C["register_history"], _C["history"])]

@@ -35,16 +35,31 @@ def pack(words: DataFrame, by: Sequence[str], k: int, columns: int, profile: str
     gathered = words.groupBy(*by).agg(F.sum(F.bit_count("word")).alias("coupons"), F.collect_list(F.struct("row_id", "word")).alias("rows"))
 
     @F.pandas_udf("binary")
-    def body(rows):  # noqa: ANN001, ANN202
+    def body(rows, words):  # noqa: ANN001, ANN202
         out = []
-        for r in rows:
+        for r, v in zip(rows, words, strict=True):
             w = np.zeros(k, np.int64)
-            for x in r:
-                w[x["row_id"]] = x["word"]
+            w[np.asarray(r, np.int64)] = v
             out.append(encode_window(w))
         return pd.Series(out)
 
-    return gathered.select(*by, F.lit(k).alias("k"), F.lit(profile).alias("profile"), F.lit(columns).alias("columns"), "coupons", body("rows").alias("body"))
+    return gathered.select(*by, F.lit(k).alias("k"), F.lit(profile).alias("profile"), F.lit(columns).alias("columns"), "coupons", body("rows.row_id", "rows.word").alias("body"))
+
+
+def unpacked_size(words: DataFrame, by: Sequence[str], k: int, encode) -> DataFrame:  # noqa: ANN001
+    """(by.., coupons, size): bytes that a codec needs for the words of each group, at most k rows."""
+    gathered = words.groupBy(*by).agg(F.sum(F.bit_count("word")).alias("coupons"), F.collect_list(F.struct("row_id", "word")).alias("rows"))
+
+    @F.pandas_udf("long")
+    def size(rows, found):  # noqa: ANN001, ANN202
+        out = []
+        for r, v in zip(rows, found, strict=True):
+            w = np.zeros(k, np.int64)
+            w[np.asarray(r, np.int64)] = v
+            out.append(len(encode(w)))
+        return pd.Series(out)
+
+    return gathered.select(*by, "coupons", size("rows.row_id", "rows.word").alias("size"))
 
 
 def unpack(sketches: DataFrame, by: Sequence[str] = ()) -> DataFrame:

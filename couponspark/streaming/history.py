@@ -34,13 +34,17 @@ class History:
 def history_stream(stream: DataFrame, ids, key: str, order: Sequence[str], k: int = 1024, profile: str = "fast") -> DataFrame:
     """(key, coupons, estimate) after each micro-batch (update mode)."""
     columns = H.columns_of(profile)
-    row, bit = H.coupon(ids, k, profile)
+    row, bit = H.coupon(H.typed(stream, ids) if profile == "fast" else ids, k, profile)
     rows = stream.where(H.present(ids)).select(F.col(key).cast("string").alias(key), row.alias("row_id"), bit.alias("bit"), *order)
 
     def update(group: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         known, total, rest = state.get if state.exists else ([], 0.0, str(k << (columns - 1)))
         h = History(k, columns, {int(known[i]): int(known[i + 1]) for i in range(0, len(known), 2)}, float(total), int(rest))
-        new = pd.concat(list(batches)).sort_values(list(order), kind="stable")
+        firsts = ["row_id", "bit"]
+        new: pd.DataFrame | None = None
+        for batch in batches:  # at most k * 63 rows are held, whatever the micro-batch has
+            batch = batch if new is None else pd.concat([new, batch])
+            new = batch.sort_values(list(order), kind="stable").drop_duplicates(firsts)
         for r, b in zip(new["row_id"], new["bit"], strict=True):
             h.add(int(r), int(b))
         state.update(([v for pair in h.words.items() for v in pair], h.total, str(h.rest)))
