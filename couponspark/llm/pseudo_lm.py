@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 from .common import TextHash, claim, column_bytes, mark, pack_arrays, stage, sweep, total_bytes, unpack_arrays
 
 BUCKETS = 1 << 16  # of the network's inputs only
-OWN_CLASS, GROUPS, GROUP, BANDS = 32, 64, 64, 32
+OWN_CLASS, GROUPS, GROUP, BANDS = 32, 32, 64, 32
 CLASSES, TOP = OWN_CLASS + GROUPS + BANDS, OWN_CLASS + GROUPS * GROUP
 RARE, ONCE = -1, -2  # in place of a word's place in its group: words of a band, and those that the corpus holds once
 CONTEXTS, OWN_CONTEXT = 1024, 768
@@ -136,15 +136,12 @@ class Lexicon:
 
 def windows(ids: np.ndarray, sizes: np.ndarray, context: np.ndarray) -> np.ndarray:
     """Context numbers beside every word; CONTEXTS beyond a text's ends."""
-    n = len(ids)
-    owner = np.repeat(np.arange(len(sizes)), sizes)
-    c, at, out = context[ids], np.arange(n), np.full((len(SIDES), n), CONTEXTS, np.int64)
-    for k, d in enumerate(SIDES):
-        j = at + d
-        ok = (j >= 0) & (j < n)
-        ok[ok] = owner[j[ok]] == owner[at[ok]]
-        out[k, ok] = c[j[ok]]
-    return out
+    # texts laid end to end with a gap as wide as the farthest side between them
+    gap = max(map(abs, SIDES))
+    at = np.arange(len(ids)) + gap * (np.repeat(np.arange(len(sizes)), sizes) + 1)
+    padded = np.full(len(ids) + gap * (len(sizes) + 1), CONTEXTS, np.int64)
+    padded[at] = context[ids]
+    return np.stack([padded[at + d] for d in SIDES])
 
 
 class Net:
@@ -172,13 +169,11 @@ class Net:
         net.inner_bias[:] = np.log(np.maximum(lexicon.inner, 0.5)).astype(np.float32)
         return net
 
-    def forward(self, around: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Hidden states and log probabilities of the classes."""
+    def hidden(self, around: np.ndarray) -> np.ndarray:
         h = self.hide + self.side[0][around[0]]
         for k in range(1, len(SIDES)):
             h += self.side[k][around[k]]
-        np.tanh(h, out=h)
-        return h, _log_softmax(h @ self.out + self.bias)
+        return np.tanh(h, out=h)
 
     def grouped(self, klass: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
         """Rows whose word lies in each group."""
@@ -195,19 +190,19 @@ class Net:
         for lo in range(0, len(klass), BATCH):
             a, y, z = around[:, lo : lo + BATCH], klass[lo : lo + BATCH], place[lo : lo + BATCH]
             flat[:] = 0
-            h, logp = self.forward(a)
-            d = np.exp(logp)
-            d[np.arange(len(y)), y] -= 1
-            d /= len(y)
+            h = self.hidden(a)
+            part = h * np.float32(1 / len(y))  # the mean over the batch
+            d = _surplus(h, self.out, self.bias, y)
             back = d @ self.out.T
-            grad.out[:], grad.bias[:] = h.T @ d, d.sum(axis=0)
+            np.matmul(part.T, d, out=grad.out)
+            grad.bias[:] = d.sum(axis=0) / len(y)
             for g, rows in self.grouped(y):
-                e = np.exp(_log_softmax(h[rows] @ self.inner[g] + self.inner_bias[g]))
-                e[np.arange(len(rows)), z[rows]] -= 1
-                e /= len(y)
+                e = _surplus(h[rows], self.inner[g], self.inner_bias[g], z[rows])
                 back[rows] += e @ self.inner[g].T
-                grad.inner[g], grad.inner_bias[g] = h[rows].T @ e, e.sum(axis=0)
-            back *= 1 - h * h
+                np.matmul(part[rows].T, e, out=grad.inner[g])
+                grad.inner_bias[g] = e.sum(axis=0) / len(y)
+            h *= h
+            back *= (1 - h) / np.float32(len(y))
             grad.hide[:] = back.sum(axis=0)
             for k in range(len(SIDES)):
                 order = np.argsort(a[k].astype(np.int16), kind="stable")
@@ -222,17 +217,31 @@ class Net:
         out = np.where(place < 0, log_share, 0).astype(np.float32)
         for lo in range(0, len(klass), BATCH):
             y, z, here = klass[lo : lo + BATCH], place[lo : lo + BATCH], out[lo : lo + BATCH]
-            h, logp = self.forward(around[:, lo : lo + BATCH])
-            here += logp[np.arange(len(y)), y]
+            h = self.hidden(around[:, lo : lo + BATCH])
+            here += _chosen(h, self.out, self.bias, y)
             for g, rows in self.grouped(y):
-                here[rows] += _log_softmax(h[rows] @ self.inner[g] + self.inner_bias[g])[np.arange(len(rows)), z[rows]]
+                here[rows] += _chosen(h[rows], self.inner[g], self.inner_bias[g], z[rows])
         return out
 
 
-def _log_softmax(logit: np.ndarray) -> np.ndarray:
+def _surplus(h: np.ndarray, out: np.ndarray, bias: np.ndarray, target: np.ndarray) -> np.ndarray:
+    """Softmax of each row, less one at its target."""
+    p = h @ out
+    p += bias
+    p -= p.max(axis=1, keepdims=True)
+    np.exp(p, out=p)
+    p *= 1 / p.sum(axis=1, keepdims=True)
+    p[np.arange(len(p)), target] -= 1
+    return p
+
+
+def _chosen(h: np.ndarray, out: np.ndarray, bias: np.ndarray, target: np.ndarray) -> np.ndarray:
+    """Log probability of each row's target."""
+    logit = h @ out
+    logit += bias
     logit -= logit.max(axis=1, keepdims=True)
-    logit -= np.log(np.exp(logit).sum(axis=1, keepdims=True))
-    return logit
+    own = logit[np.arange(len(logit)), target]
+    return own - np.log(np.exp(logit, out=logit).sum(axis=1))
 
 
 # ---- the corpus -----------------------------------------------------------------------------------------------------------
