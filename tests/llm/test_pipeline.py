@@ -29,3 +29,26 @@ def test_run_equals_stages_and_repeats(spark):
     tokens = lambda rows: sorted({(d, t) for d, _, _, t in rows})
     assert tokens(a) == tokens(b) and len(a) > 0
     assert np.sum([n for _, _, n, _ in a]) == np.sum([n for _, _, n, _ in b])
+
+
+def test_copied_example_survives(spark, tmp_path):
+    """A key that eight sources hold is an example, though earlier stages drop its copies; one source's key goes; cuts make no secret."""
+    rng = np.random.default_rng(3)
+    word = lambda n: " ".join("".join(rng.choice(list("abcdefghijkm"), 6)) for _ in range(n))
+    tutorial = word(60) + " password = Abcdef123456 and so on " + word(60)
+    lead = word(40)
+    rows = [(i, tutorial if i < 4 else word(30) + " " + tutorial + " " + word(30), "en", f"s{i}", 0) for i in range(8)]
+    rows += [(20, word(50) + " password = Zyxwvu987654 " + word(50), "en", "s1", 0)]
+    rows += [(30, lead + " end", "en", "s2", 0), (31, word(40) + " 0123456789abcdef" + lead + "0123456789abcdef " + word(40), "en", "s3", 0)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    docs = spark.read.parquet(f"{tmp_path}/documents.parquet")
+    kept = docs
+    for name, step in C.STAGES[1:4]:
+        kept = step(spark, kept, str(tmp_path))
+        if name != "secret_scan":
+            kept = kept.cache()
+    left = {r.doc_id: r.text for r in kept.collect()}
+    assert left[0] == tutorial and {1, 2, 3} & set(left) == set()
+    assert "Zyxwvu987654" not in left[20] and "[removed]" in left[20]
+    assert " 0123456789abcdef\n0123456789abcdef " in left[31]
