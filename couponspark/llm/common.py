@@ -83,6 +83,14 @@ def salted_join(many: DataFrame, one: DataFrame, on: Sequence[str], by: str, how
     return many.withColumn("__salt", F.pmod(F.hash(by), F.lit(SALTS))).join(spread, [*on, "__salt"], how).drop("__salt")
 
 
+def one_each(df: DataFrame, key: str) -> DataFrame:
+    """One row of each value of ``key``, the one whose other columns have the least hash: however many rows share a value, each
+    task sends one of them."""
+    rest = [c for c in df.columns if c != key]
+    least = F.min(F.struct(F.xxhash64(*rest).alias("__hash"), *rest))
+    return df.groupBy(key).agg(least.alias("__one")).select(key, *(f"__one.{c}" for c in rest))
+
+
 _HELD: dict[str, Callable[[], None]] = {}
 
 

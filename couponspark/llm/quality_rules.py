@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import column_bytes
+from .common import column_bytes, one_each
 
 SAMPLE = 20_000  # labelled rows that the fit reads at most
 SYMBOLS = re.compile(rb"[#*$%&|<>]")
@@ -171,9 +171,11 @@ def verdict(rules: list[list[Condition]], names: list[str]) -> Column:
 
 
 def fit_rules(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> list[list[Condition]]:
-    """Rules from at most ``sample`` labelled rows (``labels``: doc_id, quality with 0 for bad)."""
-    picked = labels.where("doc_id is not null and quality is not null").select(F.col("doc_id").cast("long"), F.col("quality").cast("int").alias("quality")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
-    rows = features(docs.join(F.broadcast(picked.select("doc_id")), "doc_id", "left_semi")).join(F.broadcast(picked), "doc_id").toPandas()
+    """Rules from at most ``sample`` labelled ids (``labels``: doc_id, quality with 0 for bad). An id that several rows have gives the
+    features of one of them; one that is labelled both ways counts as bad."""
+    known = labels.where("doc_id is not null and quality is not null").groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.min(F.col("quality").cast("int")).alias("quality"))
+    picked = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
+    rows = one_each(features(docs.join(F.broadcast(picked.select("doc_id")), "doc_id", "left_semi")), "doc_id").join(F.broadcast(picked), "doc_id").toPandas()
     if not len(rows):
         return []
     rows = rows.sort_values("doc_id", kind="stable")

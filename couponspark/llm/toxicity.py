@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import TextHash, claim, column_bytes
+from .common import TextHash, claim, column_bytes, one_each
 
 SAMPLE = 1200  # labelled texts of each class that the fit reads at most
 WINDOW, STRIDE = 32, 24
@@ -320,12 +320,17 @@ def held_out(doc_id: Column) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % 4 == 2, F.lit(False))
 
 
-def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Network:
-    """Train on at most ``sample`` labelled texts of each class, none of them held out."""
-    known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("toxic")).where("doc_id is not null and toxic in (0, 1)").where(~held_out(F.col("doc_id"))).dropDuplicates(["doc_id"])
+def training_rows(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame:
+    """doc_id, text, toxic of at most ``sample`` labelled ids of each class, none of them held out. An id that several rows have
+    gives one of its texts; one that is labelled both ways counts as toxic."""
+    known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("toxic")).where("doc_id is not null and toxic in (0, 1)").where(~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     picked = [known.where(F.col("toxic") == c).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample) for c in (0, 1)]
     picked = picked[0].union(picked[1])
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(picked), "doc_id")
+    return one_each(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(picked), "doc_id"), "doc_id").select("doc_id", "text", "toxic")
+
+
+def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Network:
+    """Train on ``training_rows``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         claim("toxicity")
@@ -335,7 +340,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Network:
         yield pa.record_batch([pa.array([pickle.dumps(net)], pa.binary())], names=["net"])
 
     # one task trains on the bounded sample; the driver gets the network alone
-    made = rows.select("doc_id", "text", "toxic").repartition(1).mapInArrow(run, "net binary").collect()
+    made = training_rows(docs, labels, sample).repartition(1).mapInArrow(run, "net binary").collect()
     return pickle.loads(bytes(made[0]["net"])) if made else Network(constant=True)
 
 

@@ -2,6 +2,7 @@
 
 import hashlib
 import random
+import zlib
 
 import numpy as np
 import pyarrow as pa
@@ -10,6 +11,7 @@ from pyspark.sql import functions as F
 
 from couponspark.llm import components as CC
 from couponspark.llm import pseudo_lm as L
+from couponspark.llm import quality_rules as QR
 from couponspark.llm import queries
 from couponspark.llm import set_join as J
 from couponspark.llm import suffix_dedup as X
@@ -354,6 +356,21 @@ def test_toxicity_query(spark):
     assert all(0 <= r.score <= 1 and r.predicted == int(r.score >= 0.3) for r in rows.values())
 
 
+def test_samples_stay_bounded(spark, monkeypatch):
+    """An id that very many rows have, and labels that repeat or contradict each other, leave one row of each id to the fits."""
+    ids = [i for i in range(1, 40) if zlib.crc32(str(i).encode()) % 4 != 2][:6]
+    hot, both = ids[0], ids[1]
+    docs = spark.createDataFrame([(hot, f"copy number {i} of a text") for i in range(3000)] + [(i, f"only text of {i}") for i in ids[1:]], "doc_id long, text string")
+    labels = spark.createDataFrame([(hot, 0, 1)] * 3 + [(both, 0, 1), (both, 1, 0)] + [(i, 1, 0) for i in ids[2:]] + [(None, 1, 1)], "doc_id long, quality int, toxic int")
+    got = sorted((r.doc_id, r.toxic) for r in T.training_rows(docs, labels).collect())
+    assert got == [(hot, 1), (both, 1), *((i, 0) for i in ids[2:])]
+    again = {r.text for d in (docs, docs.repartition(7).orderBy(F.desc("text"))) for r in T.training_rows(d, labels).where(F.col("doc_id") == hot).collect()}
+    assert len(again) == 1
+    seen = []
+    monkeypatch.setattr(QR, "learn", lambda x, y: seen.append((len(x), int(y.sum()))) or [])
+    assert QR.fit_rules(docs, labels) == [] and seen == [(6, 2)]
+
+
 def test_toxicity_edges(spark):
     docs = spark.createDataFrame([(1, None, 1), (2, "", 1), (3, "some words", 1), (None, "no id", 1)], "doc_id long, text string, score int")
     none = spark.createDataFrame([], "doc_id long, quality int, toxic int")

@@ -52,3 +52,31 @@ def test_copied_example_survives(spark, tmp_path):
     assert left[0] == tutorial and {1, 2, 3} & set(left) == set()
     assert "Zyxwvu987654" not in left[20] and "[removed]" in left[20]
     assert " 0123456789abcdef\n0123456789abcdef " in left[31]
+
+
+def test_stages_on_odd_tables(spark, tmp_path):
+    """Nulls in any column, repeated rows, a long text, clashing column names, and a table without rows go through all stages."""
+    long = " ".join(f"w{i}x{i * 7 % 1013}" for i in range(40000))
+    schema = "doc_id long, text string, lang string, source string, n_chars long, __key int, __spans string, __gone int, __block int, key string, score double, row int"
+    rows = [(1, long, "en", "a", len(long)), (2, None, "en", "b", None), (3, "", None, None, 0), (None, "text without an id " * 3, "en", "c", None), (4, "alone here", "en", "a", 10), (4, "alone here", "en", "a", 10), (5, "  \n ", "en", "b", 4)]
+    extra = (1, "s", 2, 3, "k", 0.5, 4)
+    docs = spark.createDataFrame([(*r, *extra) for r in rows], schema)
+    for name, table in (("full", docs), ("none", docs.where("false"))):
+        d = f"{tmp_path}/{name}"
+        table.write.parquet(f"{d}/documents.parquet")
+        spark.createDataFrame([], "doc_id long, quality int, toxic int").write.parquet(f"{d}/labels.parquet")
+        kept = spark.read.parquet(f"{d}/documents.parquet")
+        for stage, step in C.STAGES[:-1]:
+            out = step(spark, kept, d).cache()
+            assert out.dtypes == docs.dtypes, stage
+            assert out.count() <= kept.count()
+            kept = out
+        rest = kept.collect()
+        pieces = C.STAGES[-1][1](spark, kept, d).collect()
+        if name == "none":
+            assert rest == [] and pieces == []
+            continue
+        assert {r.doc_id for r in rest} == {1, 2, 3, 4, 5, None} and {tuple(r[5:]) for r in rest} == {extra}
+        assert {r.doc_id: r.text for r in rest}[1] == long
+        size = {r.doc_id: r.doc_tokens for r in pieces}
+        assert sum(r.length for r in pieces) == sum(size[r.doc_id] for r in rest)
