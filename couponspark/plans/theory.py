@@ -1,4 +1,5 @@
-"""Queries on the theory: probabilities, entropies, variances and constants. One scalar expression serves Spark and DuckDB."""
+"""Queries on the theory: probabilities, entropies, variances and constants. Spark and DuckDB get each value by another way: closed
+forms here, and recurrences, series, other bases or identities of moments there."""
 
 from __future__ import annotations
 
@@ -21,15 +22,16 @@ def num(x: float) -> str:
     return r if "e" in r else f"{r}e0"
 
 
-def both(name: str, columns: dict[str, str], ranges: dict[str, tuple[int, int]], group: list[str] | None = None, outer: dict[str, str] | None = None):
-    """Register ``SELECT columns FROM ranges [GROUP BY group]``, and a projection of that, in both engines."""
+def both(name: str, columns: dict[str, str], ranges: dict[str, tuple[int, int]], group: list[str] | None = None, outer: dict[str, str] | None = None, twin: str | None = None):
+    """Register ``SELECT columns FROM ranges [GROUP BY group]``, and a projection of that, for Spark; DuckDB runs ``twin``, or the
+    same if None."""
     duck = ", ".join(f"range({a}, {b}) t_{v}({v})" for v, (a, b) in ranges.items()) or "(SELECT 1)"
     select = ", ".join(f"{e} AS {c}" for c, e in columns.items())
     sql = f"SELECT {select} FROM {duck}" + (f" GROUP BY {', '.join(group)}" if group else "")
     if outer:
         sql = f"SELECT {', '.join(f'{e} AS {c}' for c, e in outer.items())} FROM ({sql})"
 
-    @query(name, sql)
+    @query(name, twin or sql)
     def _(spark, d):
         df = None
         for v, (a, b) in ranges.items():
@@ -61,10 +63,17 @@ def q(n: str, j: str = "j", k: int = K) -> str:
 
 N = "pow(2e0, i)"
 
-both("prob_collected", {"i": "i", "j": "j", "q": f"round({q(N)}, 8)"}, {"i": (0, 24), "j": (1, 31)})
-both("expected_coupons", {"i": "i", "c": f"round({num(K)} * sum({q(N)}), 4)"}, {"i": (0, 30), "j": (1, J + 1)}, ["i"])
-both("expected_coupons_asym", {"i": "i", "exact": f"round({num(K)} * sum({q('pow(2e0, i)')}), 3)", "approximate": f"round(any_value({num(K)} * ln({N} / ({num(0.79402362 * K)})) / ln(2e0)), 3)"}, {"i": (14, 34), "j": (1, J + 1)}, ["i"])
-both("variance_coupons", {"i": "i", "exact_over_k": f"round(sum({q(N)} * (1e0 - {q(N)})), 6)", "telescoped": f"round(any_value(exp(-{N} / ({num(K)} * pow(2e0, {J - 1}))) - exp(-{N} / {num(K)})), 6)"}, {"i": (8, 34), "j": (1, J + 1)}, ["i"])
+
+def doubled(a: int, b: int, columns: str, tail: str = "", last: int = J) -> str:
+    """SQL over t(i, j, q), a <= i < b and j <= last: chances to be collected in 2^i draws. Two halves of a stream miss a cell
+    independently, so q becomes q (2 - q) with each doubling: neither powers nor logarithms."""
+    seed = f"SELECT 0::BIGINT AS i, j, pow(0.5, least(j, {J - 1})) / {K} AS q FROM range(1, {last + 1}) r(j)"
+    return f"WITH RECURSIVE t AS ({seed} UNION ALL SELECT i + 1, j, q * (2 - q) FROM t WHERE i < {b - 1}) SELECT {columns} FROM t WHERE i >= {a}{tail}"
+
+both("prob_collected", {"i": "i", "j": "j", "q": f"round({q(N)}, 8)"}, {"i": (0, 24), "j": (1, 31)}, twin=doubled(0, 24, "i, j, round(q, 8) AS q", last=30))
+both("expected_coupons", {"i": "i", "c": f"round({num(K)} * sum({q(N)}), 4)"}, {"i": (0, 30), "j": (1, J + 1)}, ["i"], twin=doubled(0, 30, f"i, round({K} * sum(q), 4) AS c", " GROUP BY i"))
+both("expected_coupons_asym", {"i": "i", "exact": f"round({num(K)} * sum({q('pow(2e0, i)')}), 3)", "approximate": f"round(any_value({num(K)} * ln({N} / ({num(0.79402362 * K)})) / ln(2e0)), 3)"}, {"i": (14, 34), "j": (1, J + 1)}, ["i"], twin=doubled(14, 34, f"i, round({K} * sum(q), 3) AS exact, round({K} * (i - log2({num(0.79402362 * K)})), 3) AS approximate", " GROUP BY i"))
+both("variance_coupons", {"i": "i", "exact_over_k": f"round(sum({q(N)} * (1e0 - {q(N)})), 6)", "telescoped": f"round(any_value(exp(-{N} / ({num(K)} * pow(2e0, {J - 1}))) - exp(-{N} / {num(K)})), 6)"}, {"i": (8, 34), "j": (1, J + 1)}, ["i"], twin=doubled(8, 34, f"i, round(sum(q) - sum(q * q), 6) AS exact_over_k, round(pow(exp({num(-1 / (K * 2.0 ** (J - 1)))}), pow(2, i)) - pow(exp({num(-1 / K)}), pow(2, i)), 6) AS telescoped", " GROUP BY i"))
 
 
 def entropy(x: str) -> str:
@@ -73,8 +82,10 @@ def entropy(x: str) -> str:
 
 
 X = "least(pow(2e0, i / 256e0 - d), 700e0)"
-both("entropy_matrix_curve", {"i": "i", "bits": f"round(sum({entropy(X)}), 7)"}, {"i": (0, 256), "d": (-80, 81)}, ["i"])
-both("entropy_register_curve", {"i": "i", "bits": f"round(sum(exp(-{X}) * {entropy(X)}), 7)"}, {"i": (0, 256), "d": (-80, 81)}, ["i"])
+_CELLS = """WITH e AS (SELECT i, exp(-least(pow(2, i / 256.0::DOUBLE) * pow(0.5, d), 700)) AS e FROM range(0, 256) a(i), range(-80, 81) b(d)),
+h AS (SELECT i, e, CASE WHEN e <= 0 OR e >= 1 THEN 0 ELSE -e * log2(e) - (1 - e) * log2(1 - e) END AS h FROM e) """
+both("entropy_matrix_curve", {"i": "i", "bits": f"round(sum({entropy(X)}), 7)"}, {"i": (0, 256), "d": (-80, 81)}, ["i"], twin=f"{_CELLS}SELECT i, round(sum(h), 7) AS bits FROM h GROUP BY i")
+both("entropy_register_curve", {"i": "i", "bits": f"round(sum(exp(-{X}) * {entropy(X)}), 7)"}, {"i": (0, 256), "d": (-80, 81)}, ["i"], twin=f"{_CELLS}SELECT i, round(sum(e * h), 7) AS bits FROM h GROUP BY i")
 _ANGLE = f"(i * {num(2 * math.pi / 256)})"
 both(
     "entropy_fourier",
@@ -85,15 +96,16 @@ both(
     {"i": (0, 256), "d": (-80, 81)},
     [],
     {"matrix_mean": "round(m0, 8)", "matrix_amplitude": "round(sqrt(mc * mc + ms * ms), 8)", "register_mean": "round(r0, 8)", "register_amplitude": "round(sqrt(rc * rc + rs * rs), 8)"},
+    f"{_CELLS}, m AS (SELECT sum(h) / 256 AS m0, sum(cos(i * pi() / 128) * h) / 128 AS mc, sum(sin(i * pi() / 128) * h) / 128 AS ms, sum(e * h) / 256 AS r0, sum(cos(i * pi() / 128) * e * h) / 128 AS rc, sum(sin(i * pi() / 128) * e * h) / 128 AS rs FROM h) SELECT round(m0, 8) AS matrix_mean, round(hypot_m, 8) AS matrix_amplitude, round(r0, 8) AS register_mean, round(hypot_r, 8) AS register_amplitude FROM (SELECT *, sqrt(mc * mc + ms * ms) AS hypot_m, sqrt(rc * rc + rs * rs) AS hypot_r FROM m)",
 )
-both("entropy_finite", {"i": "i", "bits_per_row": f"round(sum(-(CASE WHEN {q(N)} <= 0e0 OR {q(N)} >= 1e0 THEN 0e0 ELSE {q(N)} * ln({q(N)}) + (1e0 - {q(N)}) * ln(1e0 - {q(N)}) END)) / ln(2e0), 6)"}, {"i": (4, 34), "j": (1, J + 1)}, ["i"])
-both("prob_retained", {"d": "d", "c": "round(1e0 + i / 8e0, 3)", "p": "round(exp(-(1e0 + i / 8e0) * pow(2e0, -d)), 8)"}, {"d": (-6, 20), "i": (0, 8)})
+both("entropy_finite", {"i": "i", "bits_per_row": f"round(sum(-(CASE WHEN {q(N)} <= 0e0 OR {q(N)} >= 1e0 THEN 0e0 ELSE {q(N)} * ln({q(N)}) + (1e0 - {q(N)}) * ln(1e0 - {q(N)}) END)) / ln(2e0), 6)"}, {"i": (4, 34), "j": (1, J + 1)}, ["i"], twin=doubled(4, 34, "i, round(-sum(CASE WHEN q >= 1 THEN 0 ELSE q * log2(q) + (1 - q) * log2(1 - q) END), 6) AS bits_per_row", " GROUP BY i"))
+both("prob_retained", {"d": "d", "c": "round(1e0 + i / 8e0, 3)", "p": "round(exp(-(1e0 + i / 8e0) * pow(2e0, -d)), 8)"}, {"d": (-6, 20), "i": (0, 8)}, twin="SELECT d, round(c, 3) AS c, round(pow(exp(-c), pow(0.5, d)), 8) AS p FROM range(-6, 20) a(d), (SELECT (8 + i) / 8.0::DOUBLE AS c FROM range(0, 8) r(i)) b")
 
 L2 = f"({num(math.log(2) ** 2)})"
-both("count_inverse_error_theory", {"k": "cast(pow(2e0, e) AS BIGINT)", "bias": f"round(exp({L2} / (2e0 * pow(2e0, e))) - 1e0, 9)", "variance": f"round(exp(2e0 * {L2} / pow(2e0, e)) - exp({L2} / pow(2e0, e)), 9)", "mse": f"round(exp(2e0 * {L2} / pow(2e0, e)) - 2e0 * exp({L2} / (2e0 * pow(2e0, e))) + 1e0, 9)", "leading_bias": f"round({L2} / (2e0 * pow(2e0, e)), 9)", "leading_error": "round(ln(2e0) / sqrt(pow(2e0, e)), 9)"}, {"e": (4, 17)})
+both("count_inverse_error_theory", {"k": "cast(pow(2e0, e) AS BIGINT)", "bias": f"round(exp({L2} / (2e0 * pow(2e0, e))) - 1e0, 9)", "variance": f"round(exp(2e0 * {L2} / pow(2e0, e)) - exp({L2} / pow(2e0, e)), 9)", "mse": f"round(exp(2e0 * {L2} / pow(2e0, e)) - 2e0 * exp({L2} / (2e0 * pow(2e0, e))) + 1e0, 9)", "leading_bias": f"round({L2} / (2e0 * pow(2e0, e)), 9)", "leading_error": "round(ln(2e0) / sqrt(pow(2e0, e)), 9)"}, {"e": (4, 17)}, twin="WITH w AS (SELECT k, a, sqrt(w) - 1 AS bias, w * (w - 1) AS variance FROM (SELECT k, ln(2) * ln(2) / k AS a, exp(ln(2) * ln(2) / k) AS w FROM (SELECT (1::BIGINT << e::INTEGER) AS k FROM range(4, 17) t(e)))) SELECT k, round(bias, 9) AS bias, round(variance, 9) AS variance, round(variance + bias * bias, 9) AS mse, round(a / 2, 9) AS leading_bias, round(sqrt(a), 9) AS leading_error FROM w")
 _XK = "pow(2e0, -1e0 / pow(2e0, e))"
-both("history_error_theory", {"k": "cast(pow(2e0, e) AS BIGINT)", "series": f"round((1e0 - {_XK}) / (1e0 + {_XK}), 10)", "bound": "round((pow(2e0, 1e0 / pow(2e0, e)) - 1e0) / 2e0, 10)", "standard_error": "round(sqrt(ln(2e0) / (2e0 * pow(2e0, e))), 8)"}, {"e": (4, 17)})
-both("bitmap_variance", {"n": "n", "variance": f"round({num(K)} * exp(n / {num(K)}) - n - {num(K)}, 6)", "small_n": f"round(n * n / {num(2 * K)}, 6)", "relative_error": f"round(sqrt({num(K)} * exp(n / {num(K)}) - n - {num(K)}) / n, 7)"}, {"n": (1, 400)})
+both("history_error_theory", {"k": "cast(pow(2e0, e) AS BIGINT)", "series": f"round((1e0 - {_XK}) / (1e0 + {_XK}), 10)", "bound": "round((pow(2e0, 1e0 / pow(2e0, e)) - 1e0) / 2e0, 10)", "standard_error": "round(sqrt(ln(2e0) / (2e0 * pow(2e0, e))), 8)"}, {"e": (4, 17)}, twin="SELECT k, round(tanh(ln(2) / (2 * k)), 10) AS series, round((exp(ln(2) / k) - 1) / 2, 10) AS bound, round(sqrt(ln(2) / 2) / sqrt(k), 8) AS standard_error FROM (SELECT (1::BIGINT << e::INTEGER) AS k FROM range(4, 17) t(e))")
+both("bitmap_variance", {"n": "n", "variance": f"round({num(K)} * exp(n / {num(K)}) - n - {num(K)}, 6)", "small_n": f"round(n * n / {num(2 * K)}, 6)", "relative_error": f"round(sqrt({num(K)} * exp(n / {num(K)}) - n - {num(K)}) / n, 7)"}, {"n": (1, 400)}, twin=f"WITH v AS (SELECT n, {K} * sum(pow(n / {num(K)}, m) / factorial(m::INTEGER)::DOUBLE) AS v FROM range(1, 400) a(n), range(2, 19) b(m) GROUP BY n) SELECT n, round(v, 6) AS variance, round(n * n / {num(2 * K)}, 6) AS small_n, round(sqrt(v) / n, 7) AS relative_error FROM v")
 @query("collision_laws", "SELECT * FROM (VALUES (2, round(2 / 3::DOUBLE, 10), round(1 / 3::DOUBLE, 10), round(1 / 3::DOUBLE, 10), round(2 / 3::DOUBLE, 10), round(1 / 3::DOUBLE, 10)), (3, round(2 / 7::DOUBLE, 10), round(4 / 7::DOUBLE, 10), round(1 / 7::DOUBLE, 10), round(2 / 9::DOUBLE, 10), round(1 / 9::DOUBLE, 10))) t(balls, all_apart_matrix, one_pair_matrix, all_one_matrix, all_apart_three_bins, all_one_three_bins)")
 def _(spark, d):
     """Two or three balls in one row: how often they fall into one, two or three cells, summed over all outcomes for the columns of
