@@ -74,13 +74,28 @@ def unused(df: DataFrame, name: str) -> str:
 
 
 SALTS = 16
+HOT = 4096  # rows of a key from which ``dealt_join`` spreads it
 
 
 def salted_join(many: DataFrame, one: DataFrame, on: Sequence[str], by: str, how: str = "inner") -> DataFrame:
-    """Join rows that may share a key very often (``many``, told apart by column ``by``) with at most one row a key (``one``):
-    each key is dealt over SALTS tasks."""
+    """Join rows that may share a key very often (``many``, told apart by column ``by``) with at most one row a key (``one``, which
+    should be few): each key is dealt over SALTS tasks. Never broadcast: Spark's estimate of ``one`` knows neither the salts nor
+    how far ids unfold in memory, and the driver would hold them all."""
     spread = one.withColumn("__salt", F.explode(F.array(*map(F.lit, range(SALTS)))))
-    return many.withColumn("__salt", F.pmod(F.hash(by), F.lit(SALTS))).join(spread, [*on, "__salt"], how).drop("__salt")
+    return many.withColumn("__salt", F.pmod(F.hash(by), F.lit(SALTS))).join(spread.hint("merge"), [*on, "__salt"], how).drop("__salt")
+
+
+def dealt_join(many: DataFrame, one: DataFrame, on: Sequence[str], by: str, count: str, how: str = "inner") -> DataFrame:
+    """``salted_join`` for a ``one`` that may have as many keys as ``many`` has rows: its column ``count`` tells how many rows of
+    ``many`` a key has, and only keys of more than HOT rows are repeated. ``one`` should be staged."""
+    hot = F.col(count) > HOT
+    heavy = one.where(hot).select(*on, F.lit(True).alias("__hot"))
+    if not heavy.limit(1).count():
+        return many.join(one.hint("merge"), [*on], how)
+    salts = F.array(*map(F.lit, range(SALTS)))
+    spread = one.withColumn("__salt", F.explode(F.when(hot, salts).otherwise(F.array(F.lit(0)))))
+    marked = salted_join(many, heavy, on, by, "left").withColumn("__salt", F.when(F.col("__hot"), F.pmod(F.hash(by), F.lit(SALTS))).otherwise(0))
+    return marked.join(spread.hint("merge"), [*on, "__salt"], how).drop("__salt", "__hot")
 
 
 def one_each(df: DataFrame, key: str) -> DataFrame:

@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import FloatType
 
-from .common import salted_join, stage
+from .common import dealt_join, stage
 from .components import Forest, chain, components
 
 BLOCK = 512
@@ -155,27 +155,29 @@ def _pairs(threshold: float, width: float, k: int, tables: int, seed: int, singl
 def near_vectors(vectors: DataFrame, threshold: float = 0.9, recall: float = 0.995, seed: int = 3) -> DataFrame:
     """vec_id, n_links, component_id, kept of each row of ``vectors`` (vec_id, embedding)."""
     single = isinstance(vectors.schema["embedding"].dataType.elementType, FloatType)
-    rows = stage(vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding")).mapInArrow(_points(single), "vec_id long, x binary"), "vectors")
+    rows = stage(vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding")).mapInArrow(_points(single), "vec_id long, x binary").withColumn("digest", F.unhex(F.sha2("x", 256))), "vectors")
     usable = rows.where("x is not null and vec_id is not null")
-    points = stage(usable.groupBy("x").agg(F.min("vec_id").alias("rep"), F.count("*").alias("weight")).select("rep", "weight", "x"), "points")
+    points = stage(usable.groupBy("x", "digest").agg(F.min("vec_id").alias("rep"), F.count("*").alias("weight")).select("rep", "weight", "digest", "x"), "points")
     width, k, tables = plan(points.count(), threshold, recall)
     keyed = points.select("rep", "x").mapInArrow(_keyed(width, k, tables, seed, single), "rep long, buckets array<long>")
     slots = stage(keyed.select("rep", F.posexplode("buckets").alias("table", "bucket")), "slots")
     sizes = stage(slots.groupBy("table", "bucket").agg(F.count("*").alias("n")).where("n > 1"), "buckets")
     # buckets of several points; members of a large one are dealt over several keys on the way
-    members = salted_join(slots, sizes, ["table", "bucket"], "rep").withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int"))
+    members = dealt_join(slots, sizes, ["table", "bucket"], "rep", "n").withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int"))
     members = members.withColumn("block", F.pmod(F.hash("rep", "table"), F.col("blocks")).cast("int"))
     # block pairs (a, b) with a <= b that a member takes part in
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
     tasks = members.withColumn("o", other).withColumn("a", F.least("block", "o")).withColumn("b", F.greatest("block", "o")).select("rep", "table", "bucket", "block", "a", "b")
-    found = tasks.join(points, "rep").withColumn("size", F.length("x")).groupBy("table", "bucket", "a", "b", "size").applyInArrow(_pairs(threshold, width, k, tables, seed, single), "rep long, links long, other long")
+    found = tasks.join(points.select("rep", "weight", "x").hint("merge"), "rep").withColumn("size", F.length("x")).groupBy("table", "bucket", "a", "b", "size").applyInArrow(_pairs(threshold, width, k, tables, seed, single), "rep long, links long, other long")
     found = stage(found, "vector-links")
     counts = found.groupBy("rep").agg(F.sum("links").alias("links"))
     labels = components(found.select(F.col("rep").alias("a"), F.col("other").alias("b"))).withColumnRenamed("id", "rep")
-    known = points.join(counts, "rep", "left").join(labels, "rep", "left")
-    known = known.select("x", (F.coalesce("links", F.lit(0)) + F.col("weight") - 1).alias("n_links"), F.coalesce("component", "rep").alias("component_id"))
+    # vectors of no link need no more than their own row; copies of one vector are linked, whatever else is
+    known = points.select("rep", "weight", "digest").join(counts.hint("merge"), "rep", "left").join(labels.hint("merge"), "rep", "left")
+    known = known.select("digest", "weight", (F.coalesce("links", F.lit(0)) + F.col("weight") - 1).alias("n_links"), F.coalesce("component", "rep").alias("component_id"))
+    known = stage(known.where("n_links > 0"), "known")
     # a vector with very many copies is dealt over several keys
-    out = salted_join(rows, known.where("n_links > 0"), ["x"], "vec_id", "left")
+    out = dealt_join(rows.select("vec_id", "digest"), known, ["digest"], "vec_id", "weight", "left")
     own = F.col("vec_id").isNotNull()
     component = F.when(own, F.coalesce("component_id", "vec_id"))
     return out.select("vec_id", F.when(own, F.coalesce("n_links", F.lit(0))).otherwise(0).alias("n_links"), component.alias("component_id")).withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))

@@ -9,6 +9,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
+from couponspark.llm import common as C
 from couponspark.llm import components as CC
 from couponspark.llm import pseudo_lm as L
 from couponspark.llm import quality_rules as QR
@@ -212,6 +213,20 @@ def test_components(spark):
         assert all(got[i] == 0 for i in range(1, n + 1)) and all(got[1000 + i] == 1000 for i in range(1, 50))
 
 
+@pytest.mark.parametrize("hot", [2, 4096])
+def test_joins_hold_nothing_in_the_driver(spark, monkeypatch, hot):
+    """However small Spark takes a side to be, it is not broadcast; keys of many rows, of few and of none meet their one row."""
+    monkeypatch.setattr(C, "HOT", hot)
+    many = spark.createDataFrame([(i, i % 7 if i < 60 else 7 + i % 2) for i in range(100)] + [(100, 50), (101, None)], "id long, key long")
+    one = many.where("key is not null and key <> 50").groupBy("key").agg(F.count("*").alias("n"))
+    one = C.stage(one.where("n > 1"), "one")
+    for how in ("inner", "left"):
+        for joined in (C.dealt_join(many, one, ["key"], "id", "n", how), C.salted_join(many, one, ["key"], "id", how)):
+            assert "Broadcast" not in joined._jdf.queryExecution().sparkPlan().toString()
+            got = sorted((r.id, r.key, r.n) for r in joined.select("id", "key", "n").collect())
+            assert got == sorted((r.id, r.key, r.n) for r in many.join(one, "key", how).collect())
+
+
 def test_vectors(spark, monkeypatch):
     monkeypatch.setattr(V, "BLOCK", 16)
     rng = np.random.default_rng(1)
