@@ -227,6 +227,24 @@ def test_joins_hold_nothing_in_the_driver(spark, monkeypatch, hot):
             assert got == sorted((r.id, r.key, r.n) for r in many.join(one, "key", how).collect())
 
 
+def test_pairs_hold_nothing_in_the_driver(spark, monkeypatch):
+    """No join that a query of pairs runs is broadcast, but for labels whose number is bounded."""
+    rng, seen, stage = np.random.default_rng(4), [], C.stage
+
+    def watched(df, name):
+        seen.append((name, df._jdf.queryExecution().sparkPlan().toString()))
+        return stage(df, name)
+
+    for module in (V, J, CC):
+        monkeypatch.setattr(module, "stage", watched)
+    x = rng.standard_normal((40, 8))
+    vectors = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(np.r_[x, x[:10] + 0.01])], "vec_id long, embedding array<float>")
+    docs = spark.createDataFrame([(i, " ".join(f"w{i % 20}x{j}" for j in range(30))) for i in range(50)], "doc_id long, text string")
+    for df in (V.near_vectors(vectors), J.near_duplicates(docs), J.drop_near_duplicates(docs)):
+        seen.append(("result", df._jdf.queryExecution().sparkPlan().toString()))
+    assert len(seen) > 10 and [name for name, text in seen if "Broadcast" in text] == []
+
+
 def test_vectors(spark, monkeypatch):
     monkeypatch.setattr(V, "BLOCK", 16)
     rng = np.random.default_rng(1)
