@@ -6,6 +6,7 @@ from couponspark.plans import catalog
 
 NAMES = """
 bitmap_variance
+bits_report
 """.split()
 
 
