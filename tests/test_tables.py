@@ -7,6 +7,7 @@ from couponspark.plans import catalog
 NAMES = """
 bitmap_variance
 bits_report
+buffer_overhead
 """.split()
 
 
