@@ -172,7 +172,7 @@ def variants(words):
 
 @query("codec_ablation")
 def _(spark, d):
-    return sizes(spark, [(32768, r) for r in (10.0, 64.0, 1000.0, 100000.0)], variants)
+    return table_sizes(spark, d, 32768, variants)
 
 
 @query("bits_report")

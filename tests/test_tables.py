@@ -8,6 +8,7 @@ NAMES = """
 bitmap_variance
 bits_report
 buffer_overhead
+codec_ablation
 """.split()
 
 
