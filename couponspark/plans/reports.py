@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import math
 import uuid
-from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
@@ -120,17 +119,6 @@ def _(spark, d):
     return X.moments(X.simulate_direct(spark, 512, 64, 20000)).select("k", "estimator", "runs", "scaled_error")
 
 
-def sizes(spark, cases, measure):
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            for k, ratio in zip(b["k"], b["ratio"], strict=True):
-                words = X.sample_state(int(k), float(k) * ratio, np.random.default_rng([5, int(k), int(ratio)]))
-                for name, bits in measure(words):
-                    yield pd.DataFrame({"k": [k], "n_over_k": [ratio], "codec": [name], "bits_per_row": [bits / k]})
-
-    return spark.createDataFrame(cases, "k long, ratio double").repartition(len(cases)).mapInPandas(run, "k long, n_over_k double, codec string, bits_per_row double")
-
-
 IDS = {"parts": ["l_partkey"], "orders": ["l_orderkey"], "lines": ["l_orderkey", "l_linenumber"]}
 
 
@@ -162,7 +150,7 @@ def all_codecs(words):
 
 @query("codec_sizes")
 def _(spark, d):
-    return sizes(spark, [(4096, r) for r in (10.0, 64.0, 1000.0, 100000.0)], all_codecs)
+    return table_sizes(spark, d, 4096, all_codecs)
 
 
 def variants(words):

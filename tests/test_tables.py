@@ -9,6 +9,7 @@ bitmap_variance
 bits_report
 buffer_overhead
 codec_ablation
+codec_sizes
 """.split()
 
 
