@@ -10,6 +10,7 @@ bits_report
 buffer_overhead
 codec_ablation
 codec_sizes
+collision_laws
 """.split()
 
 
