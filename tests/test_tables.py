@@ -11,6 +11,7 @@ buffer_overhead
 codec_ablation
 codec_sizes
 collision_laws
+count_inverse_error_theory
 """.split()
 
 
