@@ -12,6 +12,7 @@ codec_ablation
 codec_sizes
 collision_laws
 count_inverse_error_theory
+coupon_mass_sum
 """.split()
 
 
