@@ -43,9 +43,12 @@ def _(spark, d):
 
 @query("data_source_runs")
 def _(spark, d):
+    """Errors to expect at the numbers of orders that ``lineitem`` has by return flag, from runs of the data source at those counts."""
     simulation_source.register(spark)
-    runs = spark.read.format("coupon_runs").option("k", "64").option("trials", "60").option("points", "1048576,16777216").load()
-    return moments(runs)
+    counts = table(spark, d, "lineitem").groupBy("l_returnflag").agg(F.count_distinct("l_orderkey").cast("double").alias("n")).where("n > 0")
+    points = sorted({r.n for r in counts.select("n").collect()})
+    runs = spark.read.format("coupon_runs").option("k", "64").option("trials", "60").option("points", ",".join(map(repr, points)) or "1").load()
+    return moments(runs.join(F.broadcast(counts), "n"), ["l_returnflag", "n"])
 
 
 @query("generic_law_estimates")

@@ -13,6 +13,7 @@ codec_sizes
 collision_laws
 count_inverse_error_theory
 coupon_mass_sum
+data_source_runs
 """.split()
 
 
