@@ -14,6 +14,7 @@ collision_laws
 count_inverse_error_theory
 coupon_mass_sum
 data_source_runs
+efficiency_table
 """.split()
 
 
