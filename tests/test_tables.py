@@ -15,6 +15,7 @@ count_inverse_error_theory
 coupon_mass_sum
 data_source_runs
 efficiency_table
+entropy_finite
 """.split()
 
 
