@@ -16,6 +16,7 @@ coupon_mass_sum
 data_source_runs
 efficiency_table
 entropy_finite
+entropy_fourier
 """.split()
 
 
