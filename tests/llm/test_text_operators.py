@@ -263,3 +263,17 @@ def test_learner():
     for r in rules:
         hit |= Q._covers(r, x)
     assert (hit == y).mean() > 0.99 and Q.learn(x, np.zeros(2000, bool)) == []
+
+
+def test_queue_drops_what_has_merged():
+    """Pre-tokens whose merges overlap, repeat and undo each other equal tiktoken's; no bucket or bit stays for the next one."""
+    path = P.path("byte_bpe_50k.tiktoken")
+    bpe = B.ByteBpe(path, P.PATTERN)
+    core = tiktoken.Encoding("bytes", pat_str=P.PATTERN, mergeable_ranks=bpe.ranks, special_tokens={})._core_bpe
+    rng = random.Random(8)
+    words = ["".join(rng.choice(letters) for _ in range(rng.randrange(2, 201))) for letters in ("a", "ab", "etaoin", "eé", "The quick", "0123") for _ in range(100)]
+    for w in words:
+        raw = w.encode()[: B.SHORT]
+        if raw not in bpe.ranks:
+            assert bpe.merge_short(raw) == core.encode_single_piece(raw)
+            assert not any(bpe.places) and not any(bpe.queue.low)
