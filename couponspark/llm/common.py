@@ -9,7 +9,7 @@ import itertools
 import tempfile
 import uuid
 import weakref
-from collections.abc import Callable, Sequence
+from collections.abc import Callable, Iterator, Sequence
 from functools import lru_cache
 
 import numpy as np
@@ -126,11 +126,29 @@ def claim(operator: str, drop: Callable[[], None] = lambda: None) -> None:
         _HELD.pop(other)()
         gc.collect()
     _HELD[operator] = drop
+    give_back()
+
+
+def give_back() -> None:
+    """Freed memory of this worker goes back to the system."""
     pa.default_memory_pool().release_unused()
     if _libc() is not None:
         _libc().malloc_trim(0)
 
 
+def slices(batches: Iterator[pa.RecordBatch], rows: int = 512) -> Iterator[pa.RecordBatch]:
+    """The same rows in small batches, so that a task holds the Python objects of few texts at once; at the end of the task the worker,
+    which may stay idle while others work, keeps no more than it must."""
+    try:
+        for batch in batches:
+            for at in range(0, batch.num_rows, rows):
+                yield batch.slice(at, rows)
+    finally:
+        batch = None
+        gc.collect()
+        give_back()
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 

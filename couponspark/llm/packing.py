@@ -21,8 +21,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import claim, column_bytes
-from .word_bpe import word_bpe
+from .common import claim, column_bytes, give_back, slices
+from .word_bpe import id_bpe
 
 Piece = tuple  # doc_id, start, ids (bytes), tokens of the document
 
@@ -30,8 +30,8 @@ Piece = tuple  # doc_id, start, ids (bytes), tokens of the document
 class Packer:
     """Online packing of one stream of documents; ``done`` gathers closed pieces."""
 
-    def __init__(self, capacity: int, first_sequence: int = 0) -> None:
-        self.capacity = capacity
+    def __init__(self, capacity: int, first_sequence: int = 0, with_ids: bool = True) -> None:
+        self.capacity, self.with_ids = capacity, with_ids
         self.open = np.zeros(capacity + 1, np.int64)
         self.bins: list[list[list[Piece]]] = [[] for _ in range(capacity + 1)]
         self.sequence = first_sequence
@@ -55,7 +55,7 @@ class Packer:
         at = 0
         for doc, start, ids, total in pieces:
             n = len(ids) // 4
-            self.done.append((doc, start, n, zlib.crc32(ids), total, self.sequence, at, ids))
+            self.done.append((doc, start, n, zlib.crc32(ids), total, self.sequence, at, ids if self.with_ids else None))
             at += n
         self.sequence += 1
 
@@ -151,9 +151,10 @@ def pack_documents(docs: DataFrame, tokenizer: str, capacity: int = 4096, end_id
     end = end_id.to_bytes(4, "little")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        claim("words", word_bpe.cache_clear)
-        bpe, packer = word_bpe(tokenizer), Packer(capacity, TaskContext.get().partitionId() << 40)
-        for batch in batches:
+        claim("ids", id_bpe.cache_clear)
+        bpe, packer = id_bpe(tokenizer), Packer(capacity, TaskContext.get().partitionId() << 40, with_ids)
+        give_back()
+        for batch in slices(batches):
             for doc, text in zip(batch.column(0).to_pylist(), column_bytes(batch.column(1)), strict=True):
                 packer.add(doc, bpe.encode_bytes(text.decode()) + end)
             yield _batch(packer.done, with_ids)

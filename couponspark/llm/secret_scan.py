@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import claim, salted_join, stage, unused
+from .common import claim, salted_join, slices, stage, unused
 
 SHORT = 40  # characters up to which a value may be a placeholder
 #: Fixed patterns of the base kinds, with the group that holds the value and its least length.
@@ -73,7 +73,7 @@ CAND_TYPE = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("
 def _scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     claim("secrets")
     base_kinds = [k for k, *_ in BASE]
-    for batch in batches:
+    for batch in slices(batches):
         counts: list[list[int]] = [[] for _ in BASE]
         digest, cands = [], []
         for text in batch.column(1).to_pylist():
@@ -146,7 +146,7 @@ def remove_live(docs: DataFrame, max_owners: int = 4, max_repos: int = 8, mark:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         claim("secrets")
-        for batch in batches:
+        for batch in slices(batches):
             texts, found = batch.column(text_at).to_pylist(), batch.column(batch.num_columns - 1).to_pylist()
             clean = [t if t is None or not s else redact(t, [tuple(x) for x in s], mark) for t, s in zip(texts, found, strict=True)]
             columns = []

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import TextHash, claim, column_bytes, dealt_join, mark, salted_join, stage, sweep, unused
+from .common import TextHash, claim, column_bytes, dealt_join, mark, salted_join, slices, stage, sweep, unused
 from .components import Forest, chain, components
 
 WIDTH = 64
@@ -74,7 +74,7 @@ def signature(s: np.ndarray) -> np.ndarray:
 def _sketch(words: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         claim("sets")
-        for batch in batches:
+        for batch in slices(batches):
             n, k1, k2, sig = [], [], [], []
             for text in column_bytes(batch.column(1)):
                 s = shingles(text, words)
@@ -256,7 +256,7 @@ def _exact_pivots(percent: int):
 def _to_sets(words: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         claim("sets")
-        for batch in batches:
+        for batch in slices(batches):
             keep, raw = [], []
             for i, (k1, k2, text) in enumerate(zip(batch.column("k1").to_pylist(), batch.column("k2").to_pylist(), column_bytes(batch.column("text")), strict=True)):
                 s = shingles(text, words)

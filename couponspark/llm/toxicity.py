@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import TextHash, claim, column_bytes, one_each
+from .common import TextHash, claim, column_bytes, one_each, slices
 
 SAMPLE = 1200  # labelled texts of each class that the fit reads at most
 WINDOW, STRIDE = 32, 24
@@ -368,7 +368,7 @@ def keep_clean(docs: DataFrame, net: Network, threshold: float = 0.3) -> DataFra
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         claim("toxicity")
-        for batch in batches:
+        for batch in slices(batches, 1 << 30):
             at = batch.schema.get_field_index("text")
             yield batch.filter(pa.array(shared.value.scores(column_bytes(batch.column(at))) < threshold, pa.bool_()))
 

@@ -330,3 +330,13 @@ class WordBpe:
 def word_bpe(path: str) -> WordBpe:
     """One instance a worker process."""
     return WordBpe(path)
+
+
+@lru_cache(maxsize=4)
+def id_bpe(path: str) -> WordBpe:
+    """One that only encodes: the tables that its merger was made from, and that counts need, are dropped."""
+    out = WordBpe(path)
+    out._piece, out.four = out._merger()
+    for name in ("merge", "parts", "vocab", "text_of", "inner", "final", "back_inner", "back_final", "_edge_memo", "_fits", "_whole"):
+        setattr(out, name, {})
+    return out

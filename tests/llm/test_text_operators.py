@@ -7,6 +7,7 @@ import zlib
 
 import numpy as np
 import public_tokenizers as P
+import pyarrow as pa
 import pytest
 import tiktoken
 from pyspark.sql import functions as F
@@ -15,9 +16,10 @@ from couponspark.llm import byte_bpe as B
 from couponspark.llm import quality_rules as Q
 from couponspark.llm import queries
 from couponspark.llm import secret_scan as S
+from couponspark.llm.common import slices
 from couponspark.llm.packing import Packer, pack_documents
 from couponspark.llm.token_counts import PrefixTable, token_counts
-from couponspark.llm.word_bpe import word_bpe
+from couponspark.llm.word_bpe import id_bpe, word_bpe
 
 WORD = P.path("word_bpe_49k.json")
 BYTE = P.path("byte_bpe_50k.tiktoken")
@@ -277,3 +279,19 @@ def test_queue_drops_what_has_merged():
         if raw not in bpe.ranks:
             assert bpe.merge_short(raw) == core.encode_single_piece(raw)
             assert not any(bpe.places) and not any(bpe.queue.low)
+
+
+def test_packing_workers_hold_little():
+    """The encoder that packs keeps no table it doesn't need, batches are worked off in small parts, closed windows let go of their ids."""
+    path = P.path("word_bpe_49k.json")
+    small, full = id_bpe(path), word_bpe(path)
+    for text in ("Hello, wörld's <|endoftext|> 12345 x", "日本語 abc Σ", "", "a" * 500):
+        assert small.encode_bytes(text) == full.encode_bytes(text)
+    assert full.merge and not (small.merge or small.vocab or small.inner or small.parts)
+    batch = pa.record_batch([pa.array(range(1300))], names=["x"])
+    parts = list(slices(iter([batch, batch.slice(0, 0)])))
+    assert [p.num_rows for p in parts] == [512, 512, 276] and pa.Table.from_batches(parts)["x"].to_pylist() == list(range(1300))
+    packer = Packer(4, with_ids=False)
+    packer.add(1, b"\1\0\0\0" * 9)
+    packer.finish()
+    assert [p[7] for p in packer.done] == [None] * 3
